@@ -50,6 +50,24 @@ class WordHashes(dict):
         return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
 
 
+class Recent(dict):
+    """Memo of a function in two generations: when the young one is full it becomes the old one, which is looked up before computing."""
+
+    def __init__(self, work: Callable, most: int):
+        super().__init__()
+        self.work, self.most, self.old = work, most, {}
+
+    def __missing__(self, key):
+        if len(self) >= self.most:
+            self.old = dict(self)
+            self.clear()
+        value = self.old.get(key)
+        if value is None:
+            value = self.work(key)
+        self[key] = value
+        return value
+
+
 def mixed(h: np.ndarray) -> np.ndarray:
     """A bijection of 64-bit words that spreads every input bit."""
     with np.errstate(over="ignore"):

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from biblake.llm import chat, fingerprint, mixing, simhash
+from biblake.llm import bpe, chat, fingerprint, language, licenses, mixing, simhash
 from biblake.session import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -17,7 +17,10 @@ def queries() -> dict[str, Query]:
         "op1_fingerprint": lambda s, d: fingerprint.compare_with_next(table(s, d, "documents")),
         "op2_simhash": lambda s, d: simhash.digest(table(s, d, "documents")),
         "op4_chat": lambda s, d: chat.digests(s, table(s, d, "conversations")),
+        "op6_language": lambda s, d: language.digest(table(s, d, "documents")),
         "op8_mixing": lambda s, d: mixing.digest(table(s, d, "documents")),
+        "op9_licenses": lambda s, d: licenses.scan(table(s, d, "documents")),
+        "op10_bpe": lambda s, d: bpe.digest(table(s, d, "documents")),
     }
 
 
