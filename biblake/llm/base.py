@@ -76,17 +76,17 @@ def mixed(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(31))
 
 
-def split_hot(members: DataFrame, keys: list[str], spread: Column, target: int) -> DataFrame:
+def split_hot(members: DataFrame, keys: list[str], spread: Column, target: int, having: Column | None = None) -> DataFrame:
     """Rows of keys that have company, dealt so that any two rows of a key meet in some (key, part_a, part_b) of bounded size.
 
     A key with up to ``target`` rows is one part. A larger one is cut by ``spread`` (a hash of the row) into chunks of
-    about that size, and each row goes to every pair of chunks that holds its own. All pairs still meet; no row is dropped.
+    about that size, and each row goes to every pair of chunks that holds its own. All pairs still meet; only rows of keys without company (or that fail ``having``) go.
     """
-    sizes = members.groupBy(*keys).agg(F.count("*").alias("_rows")).where(F.col("_rows") > 1)
+    sizes = members.groupBy(*keys).agg(F.count("*").alias("_rows"), (F.lit(True) if having is None else having).alias("_use")).where((F.col("_rows") > 1) & F.col("_use")).drop("_use")
     chunks = F.ceil(F.col("_rows") / F.lit(target)).cast("int")
-    dealt = members.join(rekeyed(sizes, *keys), keys).withColumns({"_chunks": chunks, "_own": F.pmod(spread, chunks).cast("int")})
+    dealt = members.join(rekeyed(sizes, *keys), keys).withColumns({"_chunks": chunks, "own_part": F.pmod(spread, chunks).cast("int")})
     other = F.explode(F.sequence(F.lit(0), F.col("_chunks") - 1))
-    return dealt.withColumn("_other", other).withColumns({"part_a": F.least("_own", "_other"), "part_b": F.greatest("_own", "_other")}).drop("_rows", "_chunks", "_own", "_other")
+    return dealt.withColumn("_other", other).withColumns({"part_a": F.least("own_part", "_other"), "part_b": F.greatest("own_part", "_other")}).drop("_rows", "_chunks", "_other")
 
 
 def grouped(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Table]:
