@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from biblake.llm import bpe, chat, fingerprint, language, lattice, licenses, mixing, simhash
+from biblake.llm import bpe, chat, fingerprint, language, lattice, licenses, mixing, passages, simhash
 from biblake.session import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -19,6 +19,7 @@ def queries() -> dict[str, Query]:
         "op4_chat": lambda s, d: chat.digests(s, table(s, d, "conversations")),
         "op5_lattice": lambda s, d: lattice.near_duplicates(table(s, d, "embeddings")),
         "op6_language": lambda s, d: language.digest(table(s, d, "documents")),
+        "op7_passages": lambda s, d: passages.passages(table(s, d, "documents")),
         "op8_mixing": lambda s, d: mixing.digest(table(s, d, "documents")),
         "op9_licenses": lambda s, d: licenses.scan(table(s, d, "documents")),
         "op10_bpe": lambda s, d: bpe.digest(table(s, d, "documents")),
