@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from biblake.llm import bpe, chat, fingerprint, language, lattice, licenses, mixing, passages, simhash
+from biblake.llm import bpe, chat, fingerprint, language, lattice, licenses, mixing, pages, passages, simhash
 from biblake.session import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -16,6 +16,7 @@ def queries() -> dict[str, Query]:
     return {
         "op1_fingerprint": lambda s, d: fingerprint.compare_with_next(table(s, d, "documents")),
         "op2_simhash": lambda s, d: simhash.digest(table(s, d, "documents")),
+        "op3_pages": lambda s, d: pages.extract(table(s, d, "pages")),
         "op4_chat": lambda s, d: chat.digests(s, table(s, d, "conversations")),
         "op5_lattice": lambda s, d: lattice.near_duplicates(table(s, d, "embeddings")),
         "op6_language": lambda s, d: language.digest(table(s, d, "documents")),
