@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable, Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -50,6 +52,51 @@ class WordHashes(dict):
         return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
 
 
+_BASE = 0x9E3779B97F4A7C15
+_GAPS = np.zeros(256, bool)
+_GAPS[[9, 10, 11, 12, 13, 32]] = True
+
+
+@lru_cache(1)
+def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of an odd number and of its inverse modulo 2^64."""
+    up, down = np.full(n, _BASE, np.uint64), np.full(n, pow(_BASE, -1, 1 << 64), np.uint64)
+    up[0] = down[0] = 1
+    return np.multiply.accumulate(up), np.multiply.accumulate(down)
+
+
+def word_hashes(text: str | None, piece: int = 1 << 18) -> np.ndarray:
+    """64-bit hashes of the words between ASCII white space, A-Z lowered: differences of one running polynomial over the bytes.
+
+    Long texts are worked on in pieces that end at white space, so memory does not grow with a text's length beyond the text itself.
+    """
+    raw = (text or "").encode().lower()
+    if len(raw) > piece:
+        cuts, at = [0], piece
+        gap = re.compile(rb"[\x09-\x0d\x20]")
+        while at < len(raw) and (m := gap.search(raw, at)):
+            cuts.append(m.start())
+            at = m.start() + piece
+        cuts.append(len(raw))
+        return np.concatenate([_hashes(raw[s:e]) for s, e in zip(cuts, cuts[1:])])
+    return _hashes(raw)
+
+
+def _hashes(raw: bytes) -> np.ndarray:
+    x = np.frombuffer(raw, np.uint8)
+    edge = np.flatnonzero(np.diff(_GAPS[x].view(np.int8), prepend=1, append=1))
+    start, end = edge[::2], edge[1::2]
+    if not len(start):
+        return np.zeros(0, np.uint64)
+    size = 1 << 19
+    while size <= len(x):
+        size *= 2
+    up, down = _powers(size)
+    with np.errstate(over="ignore"):
+        run = np.concatenate([np.zeros(1, np.uint64), np.cumsum((x.astype(np.uint64) + np.uint64(1)) * up[: len(x)], dtype=np.uint64)])
+        return mixed((run[end] - run[start]) * down[start] + (end - start).astype(np.uint64))
+
+
 class Recent(dict):
     """Memo of a function in two generations: when the young one is full it becomes the old one, which is looked up before computing."""
 
