@@ -18,10 +18,17 @@ MASK = (1 << 64) - 1
 
 
 def over_batches(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
-    importable(df.sparkSession)
+    small_batches(df.sparkSession)
     return df.mapInArrow(work, schema)
 
 
+def small_batches(spark) -> None:
+    """Workers can import the package, and Arrow batches of texts are a thousand rows where the session has Spark's default of ten thousand."""
+    importable(spark)
+    if spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == "10000":
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1000")
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int = SLICE) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of a few hundred, so that Python holds few texts at a time."""
     for batch in batches:

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from biblake.llm.base import batch, over_batches, slices
+from biblake.llm.base import batch, over_batches, slices, small_batches
 
 BINS = 1 << 13
 #: The classifier is fitted to about this many labelled documents in all, spread over the languages (a hash of the id chooses).
@@ -129,9 +129,7 @@ def train(documents: DataFrame, sample: int = SAMPLE) -> Model:
 
 def predict(documents: DataFrame, model: Model, text: str = "text") -> DataFrame:
     """Adds lang_pred, score and ambiguous to every row, from its whole text only. Without a letter: und, 0, true."""
-    from biblake.session import importable
-
-    importable(documents.sparkSession)
+    small_batches(documents.sparkSession)
     names = model.labels or ["und"]
 
     @F.pandas_udf("struct<lang_pred:string,score:double,ambiguous:boolean>")
