@@ -19,3 +19,22 @@ def register(spark: SparkSession) -> list[str]:
     for head, body in _BODIES.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {head} RETURN {body}")
     return [h.split("(")[0] for h in _BODIES]
+
+
+def register_search(spark: SparkSession) -> None:
+    """parse_search(expression) as a table function: a row (branch, field, value) for each term."""
+    from pyspark.sql.functions import udtf
+
+    from biblake.operators.search import parse
+    from biblake.session import importable
+
+    importable(spark)
+
+    @udtf(returnType="branch int, field string, value string")
+    class ParseSearch:
+        def eval(self, expression: str):
+            for i, terms in enumerate(parse(expression)):
+                for t in terms:
+                    yield i, t.field, t.value
+
+    spark.udtf.register("parse_search", ParseSearch)

@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 TEXT = frozenset(("title", "author", "editor", "publisher", "venue"))
+PHRASES = 100_000
 EXACT = frozenset(("id", "volume", "issue"))
 
 
@@ -111,12 +112,15 @@ def search_postings(index: DataFrame, expr: str, rows: DataFrame, key: str) -> D
 def phrase_hits(texts: DataFrame, phrases: DataFrame, key: str, text: str, item: str, phrase: str, lead: int = 4) -> DataFrame:
     """(item, key): texts that hold a phrase verbatim. Both sides meet on the hash of the phrase's first whole words, then are compared.
 
-    The first word is left out of the key, as the phrase may start inside a word. Every phrase longer than ``lead`` + 2 words is found; the
-    phrases are broadcast by Spark if they are small, else joined by exchange.
+    The first word is left out of the key, as the phrase may start inside a word; phrases of at least ``lead`` + 2 words are found. Up to
+    PHRASES counted phrases are broadcast, more are joined by exchange. Texts move only to be compared with their candidates.
     """
     cut = lambda c: F.filter(F.split(c, "[\\x20\\x09-\\x0D]+"), lambda w: w != "")
     gram = lambda ws, i: F.xxhash64(F.array_join(F.slice(ws, i, lead), " "))
     wanted = phrases.select(F.col(item).alias("item"), F.col(phrase).alias("phrase"), gram(cut(F.col(phrase)), 2).alias("h"))
-    ws = texts.select(F.col(key).alias("key"), F.col(text).alias("text"), cut(F.col(text)).alias("ws"))
-    grams = ws.select("key", "text", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size("ws") - lead + 1, F.lit(1))), lambda i: gram(F.col("ws"), i)))).alias("h"))
-    return grams.join(F.broadcast(wanted) if phrases.count() <= 100_000 else wanted, "h").where(F.col("text").contains(F.col("phrase"))).select("item", "key").distinct()
+    few = phrases.count() <= PHRASES
+    ws = texts.select(F.col(key).alias("key"), cut(F.col(text)).alias("ws"))
+    places = F.sequence(F.lit(1), F.greatest(F.size("ws") - lead + 1, F.lit(1)))
+    grams = ws.select("key", F.explode(F.array_distinct(F.transform(places, lambda i: gram(F.col("ws"), i)))).alias("h"))
+    maybe = grams.join(F.broadcast(wanted) if few else wanted, "h").select("key", "item", "phrase").distinct()
+    return texts.select(F.col(key).alias("key"), F.col(text).alias("text")).join(maybe, "key").where(F.col("text").contains(F.col("phrase"))).select("item", "key").distinct()

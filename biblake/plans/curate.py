@@ -72,10 +72,39 @@ def _contributors(rows: DataFrame, cell: str) -> DataFrame:
     return each.select("eid", F.lit(cell).alias("role"), agent.alias("agent"), F.col("p.name").alias("name"), F.col("p.ids").alias("ids"), F.struct("rank", "key", "i").alias("at"))
 
 
-def curate(rows: DataFrame, id_index: DataFrame, stored: DataFrame, options: Options = Options(), last: DataFrame | None = None, merges: DataFrame | None = None) -> Curation:
+def assign(rows: DataFrame, known: DataFrame, kind: str, options: Options, last: DataFrame | None = None, ledger: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """(rows with comp, outcome and eid; what was minted) for rows (key, ids, declared) of one kind of entity: works, venues or agents."""
+    decided = durable(resolve.decide(rows, known, options.scope))
+    if ledger is not None:
+        sets = rows.select("key", F.explode("ids").alias("id")).join(decided.select("key", "comp"), "key").groupBy("comp").agg(F.array_sort(F.collect_set("id")).alias("ids"))
+        before = sets.join(ledger.where("outcome = 3").groupBy("ids").agg(F.min("eid").alias("_old")), "ids").select("comp", "_old")
+        decided = durable(decided.join(before, "comp", "left").withColumn("target", F.coalesce("target", F.when(F.col("outcome") == 3, F.col("_old")))).drop("_old"))
+    fresh = decided.where(F.col("target").isNull()).select(F.col("comp").alias("key")).distinct()
+    minted = durable(mint.mint(fresh, kind, shards=options.shards, last=last))
+    named = decided.join(minted.select(F.col("key").alias("comp"), F.col("eid").alias("new")), "comp", "left").select("key", "comp", "outcome", "found", "mates", "target", F.coalesce("target", "new").alias("eid"))
+    return durable(named), minted
+
+
+def resolve_agents(rows: DataFrame, id_index: DataFrame, options: Options = Options(), last: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """((id, eid) of agents after the batch, counters): people and organisations in the author, editor and publisher cells that have identifiers.
+
+    id_index holds agents only, so an ISSN never meets an ORCID. Agents without an identifier are told apart by name inside a work.
+    """
+    cells = [rows.select(F.coalesce("file_seq", F.lit(0)).alias("f"), F.coalesce("row_seq", F.lit(0)).alias("r"), F.lit(c).alias("c"), F.posexplode(people(F.col(c))).alias("i", "p")) for c in ("author", "editor", "publisher")]
+    each = cells[0].union(cells[1]).union(cells[2])
+    keyed = each.where(F.size("p.ids") > 0).select(F.struct("f", "r", "c", "i").alias("key"), _checked(F.col("p.ids"))[0].alias("ids"), F.lit(None).cast("string").alias("declared"))
+    keyed = durable(keyed.where(F.size("ids") > 0))
+    named, minted = assign(keyed, id_index.select("id", "eid"), "ra", options, last)
+    owned = keyed.join(named.select("key", "eid"), "key").select("eid", F.explode("ids").alias("id")).distinct()
+    free = owned.join(id_index.select("id", F.col("eid").alias("owner")), "id", "left").where("owner is null").groupBy("id").agg(F.min("eid").alias("eid"))
+    return id_index.select("id", "eid").union(free.select("id", "eid")), mint.counters(minted)
+
+
+def curate(rows: DataFrame, id_index: DataFrame, stored: DataFrame, options: Options = Options(), last: DataFrame | None = None, merges: DataFrame | None = None, ledger: DataFrame | None = None) -> Curation:
     """Resolves input rows to entities and merges them into what is stored.
 
     rows: the eleven columns, file_seq and row_seq. id_index: (id, eid). stored: eid and the eleven columns. last: (prefix, last) minted before.
+    ledger: earlier conflicts (ids, eid); the same set of identifiers gets the entity that was minted for it then, not another one.
     merges: (loser, survivor); an identifier of a merged entity leads to its survivor. An identifier 'eid:...' declares the entity.
     Stored values stay and gaps are filled from the first rows that have a value; identifiers are united, but those in a conflict stay
     with their present owners. A batch that has been curated before changes nothing and mints nothing.
@@ -96,11 +125,7 @@ def curate(rows: DataFrame, id_index: DataFrame, stored: DataFrame, options: Opt
         end = resolve.survivors(merges).select(F.col("loser").alias("declared"), "survivor")
         batch = durable(batch.join(end, "declared", "left").withColumn("declared", F.coalesce("survivor", "declared")).select(*batch.columns))
     known = index.union(stored.select(F.concat(F.lit("eid:"), "eid"), "eid"))
-    decided = durable(resolve.decide(batch.select("key", "ids", "declared"), known, options.scope))
-    fresh = decided.where(F.col("target").isNull()).select(F.col("comp").alias("key")).distinct()
-    minted = durable(mint.mint(fresh, "br", shards=options.shards, last=last))
-    named = decided.join(minted.select(F.col("key").alias("comp"), F.col("eid").alias("new")), "comp", "left").select("key", "comp", "outcome", "found", "mates", "target", F.coalesce("target", "new").alias("eid"))
-    named = durable(named)
+    named, minted = assign(batch.select("key", "ids", "declared"), known, "br", options, last, ledger)
 
     incoming = batch.join(named.select("key", "eid"), "key").withColumn("rank", F.lit(1))
     before = stored.join(incoming.select("eid").distinct(), "eid", "left_semi").withColumns({"rank": F.lit(0), "key": F.struct(F.lit(0).cast("bigint").alias("file_seq"), F.lit(0).cast("bigint").alias("row_seq"))})
@@ -126,7 +151,9 @@ def curate(rows: DataFrame, id_index: DataFrame, stored: DataFrame, options: Opt
     done = batch.select(F.explode("repairs").alias("r")).groupBy(F.concat(F.lit("repair "), "r").alias("measure")).agg(F.count("*").alias("n"))
     bad = batch.agg(F.coalesce(F.sum("n_bad"), F.lit(0)).cast("bigint").alias("n")).select(F.lit("invalid identifiers").alias("measure"), "n")
     total = minted.agg(F.count("*").alias("n")).select(F.lit("minted").alias("measure"), "n")
-    return Curation(table, after, resolve.conflicts(named.select("comp", "outcome", "target", "found", "mates"), options.batch), named.select("key", "comp", "outcome", "eid"), mint.counters(minted), counts.union(done).union(bad).union(total))
+    sets = batch.join(named.select("key", "comp", "eid", "outcome"), "key").where(F.col("outcome").isin(3, 6)).select("comp", "eid", F.explode("ids").alias("id")).groupBy("comp", "eid").agg(F.array_sort(F.collect_set("id")).alias("ids"))
+    conflicts = resolve.conflicts(named.select("comp", "outcome", "target", "found", "mates"), options.batch).join(sets, "comp", "left")
+    return Curation(table, after, conflicts, named.select("key", "comp", "outcome", "eid"), mint.counters(minted), counts.union(done).union(bad).union(total))
 
 
 def apply(result: Curation, stored: DataFrame) -> DataFrame:

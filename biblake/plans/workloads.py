@@ -262,6 +262,11 @@ def query_over_time(spark, sf):
     return timetravel.query_over_time(entity_history(spark, sf), "2024-01-10 00:00:00", "2024-01-12 00:00:00", "purchase")
 
 
+def provenance_completeness(spark, sf):
+    users = A.change_rows(spark, sf).select("eid")
+    return prov.completeness(users, snapshots(spark, sf)).withColumn("share", F.round("share", 6))
+
+
 def delta_texts(spark, sf):
     """The update text of each change; n numbers an entity's deltas."""
     log = deltas(spark, sf)
@@ -386,7 +391,7 @@ NAMES = (
     "overview_counts top_publishers_by_venues top_publishers_by_publications top_venues_by_publications types_by_publications publications_per_year authors_per_publication "
     "type_year_rollup venue_title_key coverage_publications coverage_documents future_dates labelled_quality dedup_clusters_documents six_outcomes conflict_ledger merge_first_wins "
     "contributor_order role_chain containment_merge people_by_name mint_eids history_resolution date_repair vol_issue_repair title_case title_case_documents space_hyphen id_checks "
-    "exists_check page_titles triples_count triples_roundtrip snapshots deltas state_at state_at_forward entity_history query_over_time delta_texts citation_unify citation_counts "
+    "exists_check page_titles triples_count triples_roundtrip snapshots deltas state_at state_at_forward entity_history query_over_time provenance_completeness delta_texts citation_unify citation_counts "
     "baseline_raw_citations baseline_remote_calls baseline_title_identity baseline_full_copies baseline_identified_only baseline_renumbered fill_from_web format_bytes lookup_ids "
     "lookup_author lookup_editor search_boolean search_by_postings phrase_hits coauthors coauthors_by_pattern papers_in_issue volumes_of issues_between"
 ).split()
