@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import re
 from collections.abc import Callable, Iterator
 from functools import lru_cache
@@ -19,7 +20,42 @@ MASK = (1 << 64) - 1
 
 def over_batches(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
     small_batches(df.sparkSession)
-    return df.mapInArrow(work, schema)
+
+    def tidied(batches):
+        try:
+            yield from work(batches)
+        finally:
+            release_memory()
+
+    return df.mapInArrow(tidied, schema)
+
+
+def over_rows(df: DataFrame, work: Callable[[pa.RecordBatch], pa.RecordBatch], columns: list[str], *more: Column) -> DataFrame:
+    """Applies ``work`` to batches of whole rows (and further columns after them) and returns the rows' own columns as it leaves them.
+
+    Columns go by position, so their names may be anything.
+    """
+    kinds = dict(df.select(*[F.col(c) for c in columns]).dtypes)
+    names = [f"c{i}" for i in range(len(columns))]
+    placed = df.select(*[F.col(c).alias(n) for c, n in zip(columns, names)], *[c.alias(f"m{i}") for i, c in enumerate(more)])
+
+    def each(batches):
+        for b in slices(batches):
+            out = work(b)
+            yield pa.RecordBatch.from_arrays(out.columns[: len(names)], names=names)
+
+    return over_batches(placed, each, ", ".join(f"{n} {kinds[c]}" for n, c in zip(names, columns))).toDF(*columns)
+
+
+def release_memory() -> None:
+    """Gives freed memory back to the system, so that idle workers do not hold what their last task needed."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # not every C library has it
+        ctypes.CDLL(None).malloc_trim(0)
 
 
 def small_batches(spark) -> None:

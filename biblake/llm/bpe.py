@@ -37,7 +37,7 @@ def byte_letters() -> list[str]:
 class Tokens:
     """Tables made from a tokenizer file: automaton, next shorter token, pair merges, splits, and the offset table for decoding."""
 
-    def __init__(self, path: str, cache: int = 180_000):
+    def __init__(self, path: str, cache: int = 120_000):
         import ahocorasick
         import regex
 

@@ -58,7 +58,8 @@ def fingerprint(paths) -> int:
     """A hash of the sorted paths, the same in the driver and for a record (see ``canonical_turns``)."""
     import xxhash
 
-    return xxhash.xxh64_intdigest("\n".join(sorted(paths)).encode(), 42) - (0 if xxhash.xxh64_intdigest("\n".join(sorted(paths)).encode(), 42) < 1 << 63 else 1 << 64)
+    h = xxhash.xxh64_intdigest("\n".join(sorted(paths)).encode(), 42)
+    return h - (1 << 64) if h >> 63 else h
 
 
 def layout_of(schema: StructType, layouts: tuple[Layout, ...] = LAYOUTS) -> Layout:
@@ -92,7 +93,7 @@ def canonical_turns(df: DataFrame, record: str | None = None, layouts: tuple[Lay
             raise ValueError("rows by turn are grouped by format_turns")
         if x.many:
             top, role, text = x.many
-            return df.withColumn("turns", F.coalesce(F.transform(F.col(top), lambda m: _turn(m[role], m[text])), F.array().cast("array<struct<role:string,text:string>>")))
+            return df.withColumn("turns", F.coalesce(_listed(F.col(top), role, text), F.array().cast("array<struct<role:string,text:string>>")))
         return df.withColumn("turns", _spread([(r, F.col(p)) for r, p in x.turns]))
     layouts = tuple(x for x in layouts if x.name != "rows")
     paths = sorted({p for x in layouts for p in x.paths})
@@ -103,13 +104,17 @@ def canonical_turns(df: DataFrame, record: str | None = None, layouts: tuple[Lay
         if x.many:
             top, role, text = x.many
             got = F.from_json(F.col(record), f"struct<{top}:array<struct<`{role}`:string,`{text}`:string>>>")[top]
-            turns = F.transform(got, lambda m, role=role, text=text: _turn(m[role], m[text]))
+            turns = _listed(got, role, text)
         else:
             turns = _spread([(r, at[p]) for r, p in x.turns])
         out = F.when(mark == F.lit(fingerprint(x.paths)), turns).otherwise(out)
     return df.withColumn("turns", out)
 
 
+def _listed(items: Column, role: str, text: str) -> Column:
+    return F.transform(items, lambda m: _turn(m[role], m[text]))
+
+
 def _spread(parts: list[tuple[str, Column]]) -> Column:
     """One turn for each role; texts of neighbours with one role are joined by an empty line."""
     roles = list(dict.fromkeys(r for r, _ in parts))

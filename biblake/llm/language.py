@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from biblake.llm.base import batch, over_batches, slices, small_batches
+from biblake.llm.base import batch, over_batches, over_rows, slices
 
 BINS = 1 << 13
 #: The classifier is fitted to about this many labelled documents in all, spread over the languages (a hash of the id chooses).
@@ -127,32 +127,35 @@ def train(documents: DataFrame, sample: int = SAMPLE) -> Model:
     return fit(np.array([np.frombuffer(r.x, np.float16) for r in got], np.float32).reshape(-1, BINS), [r.lang for r in got])
 
 
-def predict(documents: DataFrame, model: Model, text: str = "text") -> DataFrame:
-    """Adds lang_pred, score and ambiguous to every row, from its whole text only. Without a letter: und, 0, true."""
-    small_batches(documents.sparkSession)
+def told(texts: list[str | None], model: Model) -> tuple[list[str], np.ndarray, np.ndarray]:
+    """(language, score, ambiguous) of whole texts. Without a letter: und, 0, true."""
     names = model.labels or ["und"]
+    x, ok = features(texts)
+    best, score, doubt = model.decode(x)
+    return [names[b] if k else "und" for b, k in zip(best, ok)], np.where(ok, score, 0.0), doubt | ~ok
 
-    @F.pandas_udf("struct<lang_pred:string,score:double,ambiguous:boolean>")
-    def told(texts):
-        import pandas as pd
 
-        texts = texts.tolist()
-        parts = []
-        for s in range(0, len(texts), 128):
-            x, ok = features(texts[s : s + 128])
-            best, score, doubt = model.decode(x)
-            parts.append(pd.DataFrame({"lang_pred": [names[b] if k else "und" for b, k in zip(best, ok)], "score": np.where(ok, score, 0.0), "ambiguous": doubt | ~ok}))
-        return pd.concat(parts) if parts else pd.DataFrame({"lang_pred": [], "score": [], "ambiguous": []})
-
-    return documents.withColumn("_told", told(F.col(text))).select(*documents.columns, "_told.lang_pred", "_told.score", "_told.ambiguous")
+_OUT = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("lang_pred", pa.string()), ("score", pa.float64()), ("ambiguous", pa.bool_())])
 
 
 def digest(documents: DataFrame) -> DataFrame:
     """The query's row for each document; rows that repeat repeat, an empty table gives none."""
-    rows = documents.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text")
-    return predict(rows, train(documents)).drop("text")
+    model = train(documents)
+    rows = documents.select(F.col("doc_id").cast("bigint"), held_out(F.col("doc_id")).alias("held_out"), "text")
+
+    def work(batches):
+        for b in slices(batches, 128):
+            yield batch(_OUT, [b.column(0), b.column(1), *told(b.column(2).to_pylist(), model)])
+
+    return over_batches(rows, work, "doc_id bigint, held_out boolean, lang_pred string, score double, ambiguous boolean")
 
 
 def accepted(documents: DataFrame) -> DataFrame:
     """The documents in which a language was found: those without a letter go."""
-    return predict(documents, train(documents)).where("lang_pred != 'und'").select(*documents.columns)
+    model, text = train(documents), documents.columns.index("text")
+
+    def work(b: pa.RecordBatch) -> pa.RecordBatch:
+        names, _, _ = told(b.column(text).to_pylist(), model)
+        return b.filter(pa.array([n != "und" for n in names], pa.bool_()))
+
+    return over_rows(documents, work, documents.columns)

@@ -47,7 +47,7 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: float =
 def mix(documents: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[int, ...] = WEIGHTS, most: float = 3.0) -> DataFrame:
     """Per row: key, source, size, source_size, target, whole (times all of it is taken), part (words of one more, partial taking), taken.
 
-    A null text has no words and is never taken. Rows that repeat are hashed alike and share alike. The hash is of key and
+    A null text has no words and is never taken. Rows that repeat are hashed alike and share alike, rounded to whole words a row. The hash is of key and
     text, so reruns and other partitionings agree. An empty table gives an empty result; a null source is one of its own.
     """
     rows = durable(documents.select(F.col(source).alias("source"), *_marks(key, text)))
@@ -97,7 +97,7 @@ def _taken(rows: DataFrame, per: DataFrame, shift: int, n_sources: int) -> DataF
     """Adds source_size, target, whole, part and taken to rows with source, size and h."""
     out = _per_source(rows, per.drop("rows"), n_sources)
     b = F.shiftright("h", shift)
-    share = F.when(F.col("held") > 0, F.expr("CAST(floor(CAST(room AS DECIMAL(38,0)) * size / held) AS BIGINT)")).otherwise(F.lit(0))
+    share = F.when(F.col("held") > 0, F.expr("CAST(round(CAST(room AS DECIMAL(38,0)) * size / held) AS BIGINT)")).otherwise(F.lit(0))
     part = F.when(b < F.col("edge"), F.col("size")).when(b == F.col("edge"), share).otherwise(F.lit(0)).cast("bigint")
     return out.withColumn("part", part).withColumn("taken", F.col("whole") * F.col("size") + F.col("part")).drop("s", "edge", "room", "held", "h")
 

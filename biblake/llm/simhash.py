@@ -202,5 +202,6 @@ def digest(documents: DataFrame) -> DataFrame:
 def one_of_each(documents: DataFrame) -> DataFrame:
     """The documents whose id is their component's; of rows that repeat an id, those of the kept fingerprint. Null ids stay."""
     found = components(documents)
-    keep = found.where((F.col("key") == F.col("component_id")) | F.col("key").isNull()).select("key", F.lit(True).alias("_kept")).distinct()
-    return documents.join(rekeyed(keep, "key"), F.col("doc_id").eqNullSafe(F.col("key")), "left_semi")
+    keep = found.where((F.col("key") == F.col("component_id")) | F.col("key").isNull()).select("key").distinct()
+    rows = documents.select(F.struct(*documents.columns).alias("doc"), F.col("doc_id").cast("bigint").alias("id"))
+    return rows.join(rekeyed(keep, "key"), F.col("id").eqNullSafe(F.col("key")), "left_semi").select("doc.*")
