@@ -115,9 +115,11 @@ def compare_with_next(documents: DataFrame, key: str = "doc_id", text: str = "te
     n = parallelism(documents.sparkSession)
     cuts = ids.agg(F.percentile_approx("id", [i / n for i in range(n)], 10_000)).first()[0] or [0]
     cuts = sorted(set(cuts))
-    bounds = F.array(*[F.lit(c) for c in cuts])
-    own = F.size(F.filter(bounds, lambda c: c <= F.col("id"))) - 1
-    first = F.array_contains(bounds, F.col("id"))
+    step = max(1, int(len(cuts) ** 0.5))  # bounds are looked up in two levels: a row is compared with some of them only
+    coarse, fine = F.array(*[F.lit(c) for c in cuts[::step]]), F.array(*[F.array(*[F.lit(c) for c in cuts[i : i + step]]) for i in range(0, len(cuts), step)])
+    block = F.size(F.filter(coarse, lambda c: c <= F.col("id"))) - 1
+    own = block * step + F.size(F.filter(F.element_at(fine, block + 1), lambda c: c <= F.col("id"))) - 1
+    first = F.array_contains(F.element_at(fine, block + 1), F.col("id"))
     here = F.struct(own.alias("part"), F.lit(0).alias("late"))
     before = F.struct(F.pmod(own - 1, F.lit(len(cuts))).alias("part"), F.lit(1).alias("late"))
     dealt = ids.withColumn("at", F.explode(F.when(first, F.array(here, before)).otherwise(F.array(here)))).select("at.part", "at.late", "id", F.xxhash64("text").alias("tie"), "text")

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from biblake.llm.base import MASK, batch, grouped, merge_labels, over_batches, slices, split_hot
+from biblake.llm.base import MASK, batch, grouped, merge_labels, mixed, over_batches, slices, split_hot, word_hashes
 from biblake.operators.cluster import connected_components
 from biblake.session import durable, parallelism, rekeyed
 
@@ -155,12 +155,19 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def links(distinct: DataFrame, limit: int = LIMIT, blocks: int = BLOCKS) -> DataFrame:
+def blocks_for(n: int, limit: int = LIMIT) -> int:
+    """The least number of blocks with which an even bucket of n fingerprints holds no more than a quarter of a part."""
+    return next((b for b in range(limit + 1, 2 * limit + 1) if n >> (64 * (b - limit) // b) <= PART // 4), 2 * limit)
+
+
+def links(distinct: DataFrame, limit: int = LIMIT, blocks: int | None = None) -> DataFrame:
     """Edges (src, dst), structs of (rep, fp), that connect all fingerprints within ``limit`` bits; ``distinct`` has fp and rep.
 
-    Copies have been folded into one row. Each bucket gives one edge a member at most, not its pairs.
+    Copies have been folded into one row. Each bucket gives one edge a member at most, not its pairs. Any number of blocks finds the
+    same links; more of them make more tables of smaller buckets, so it follows the number of fingerprints.
     """
     n = parallelism(distinct.sparkSession)
+    blocks = blocks or blocks_for(distinct.count(), limit)
     cells = distinct.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("v")) for i, m in enumerate(block_masks(limit, blocks))]))).select("fp", "rep", "cell.t", "cell.v")
     parts = split_hot(cells, ["t", "v"], F.xxhash64("fp"), PART).withColumn("rank", gray_rank(F.col("fp")))
     dealt = parts.repartition(n, "t", "v", "part_a", "part_b").sortWithinPartitions("t", "v", "part_a", "part_b", "rank").select("t", "v", "part_a", "part_b", "fp", "rep")
@@ -187,8 +194,11 @@ def components(documents: DataFrame, key: str = "doc_id", text: str = "text", li
     Empty and null texts have fingerprint zero and are linked like any other. Rows with a null key get the component of
     their fingerprint, whose id is null only if no member has a key. An empty table gives an empty result.
     """
-    fps = durable(fingerprints(documents, key, text))
-    distinct = fps.groupBy("fp").agg(F.min("key").alias("rep"))
+    return _components(durable(fingerprints(documents, key, text)), limit)
+
+
+def _components(fps: DataFrame, limit: int = LIMIT) -> DataFrame:
+    distinct = durable(fps.groupBy("fp").agg(F.min("key").alias("rep")))
     linked = connected_components(links(distinct.select("fp", F.coalesce("rep", F.lit((1 << 63) - 1)).alias("rep")), limit))
     labels = linked.select(F.col("node.fp").alias("fp"), F.col("component.rep").alias("root"))
     named = distinct.join(rekeyed(labels, "fp"), "fp", "left").select("fp", F.when(F.col("root").isNull() | (F.col("root") == (1 << 63) - 1), F.col("rep")).otherwise(F.col("root")).alias("component_id"))
@@ -199,9 +209,111 @@ def digest(documents: DataFrame) -> DataFrame:
     return components(documents).select(F.col("key").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+#: Near copies by shingles: five words, a Jaccard similarity of 0.8, found with 128-bit SimHashes that differ in at most 30 bits
+#: (about 19 +- 4 do at that similarity, 64 +- 6 for texts that share nothing), which meet with this probability.
+ALIKE_WORDS, ALIKE, WIDE_LIMIT, MEET = 5, 0.8, 30, 0.98
+
+
+def wide_simhash(hashes: np.ndarray) -> tuple[int, int]:
+    """A 128-bit SimHash of word hashes' five-word shingles, as two signed numbers."""
+    n = len(hashes)
+    if not n:
+        return 0, 0
+    k = min(ALIKE_WORDS, n)
+    with np.errstate(over="ignore"):
+        h = np.zeros(n - k + 1, np.uint64)
+        for j in range(k):
+            h = h * np.uint64(0x9E3779B97F4A7C15) + hashes[j : n - k + 1 + j]
+        h = mixed(h)
+        both = np.stack([h, mixed(h + np.uint64(0xD1B54A32D192ED03))], axis=1)
+    votes = np.zeros(128, np.int64)
+    for s in range(0, len(h), 4096):
+        votes += np.unpackbits(both[s : s + 4096].view(np.uint8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return tuple(np.packbits(votes * 2 > len(h), bitorder="little").view(np.int64).tolist())
+
+
+def bands_for(n: int, seed: int = 17) -> list[tuple[int, int]]:
+    """(word, mask) pairs: random bits of one of the two words, as many as make small buckets of n documents, as often as MEET needs."""
+    import math
+    import random
+
+    bits = max(8, min(26, int(math.log2(max(n, 2) / 24)) if n > 24 else 8))
+    count = math.ceil(math.log(1 - MEET) / math.log(1 - 0.85**bits))
+    rng = random.Random(seed)
+    return [(i % 2, _signed(sum(1 << b for b in rng.sample(range(64), bits)))) for i in range(count)]
+
+
+def _shingles(text: Column) -> tuple[Column, Column]:
+    """(words, to be named ws; the set of hashed shingles of ws)."""
+    ws = F.filter(F.split(F.lower(text), "[\\x20\\x09-\\x0D]+"), lambda w: w != "")
+    size = F.size("ws")
+    at = F.sequence(F.lit(1), F.greatest(size - ALIKE_WORDS + 1, F.lit(1)))
+    return ws, F.array_distinct(F.transform(at, lambda i: F.xxhash64(F.array_join(F.slice("ws", i, ALIKE_WORDS), " "))))
+
+
+def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(a, b): documents whose five-word shingles overlap by 0.8 or more, b before a. marks: (key, w0, w1) of the documents to compare.
+
+    In each bucket a document is paired with the nearest one before it only, so a group of k near copies gives k - 1 pairs a bucket. The
+    pairs are then checked on the texts' whole shingle sets.
+    """
+    n = parallelism(documents.sparkSession)
+    marks = marks.where((F.col("w0") != 0) | (F.col("w1") != 0))
+    bands = bands_for(marks.count())
+    cells = marks.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col(f"w{w}").bitwiseAND(F.lit(m)).alias("v")) for i, (w, m) in enumerate(bands)]))).select("key", "w0", "w1", "cell.t", "cell.v")
+    parts = split_hot(cells, ["t", "v"], F.xxhash64("key"), PART)
+    dealt = parts.repartition(n, "t", "v", "part_a", "part_b").sortWithinPartitions("t", "v", "part_a", "part_b", "key").select("t", "v", "part_a", "part_b", "key", "w0", "w1")
+    out = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+
+    def nearest(batches):
+        for g in grouped(batches, ["t", "v", "part_a", "part_b"]):
+            if g.num_rows < 2:
+                continue
+            ids, x, y = (g.column(c).to_numpy().view(np.uint64) for c in ("key", "w0", "w1"))
+            later, earlier = [], []
+            for s in range(1, len(ids), 512):
+                e = min(s + 512, len(ids))
+                far = np.bitwise_count(x[s:e, None] ^ x[None, :e]).astype(np.int16) + np.bitwise_count(y[s:e, None] ^ y[None, :e])
+                far[np.arange(e)[None, :] >= np.arange(s, e)[:, None]] = 999
+                best = far.argmin(axis=1)
+                near = np.flatnonzero(far[np.arange(e - s), best] <= WIDE_LIMIT)
+                later.append(s + near)
+                earlier.append(best[near])
+            i, j = np.concatenate(later), np.concatenate(earlier)
+            if len(i):
+                yield batch(out, [ids[i].view(np.int64), ids[j].view(np.int64)])
+
+    found = over_batches(dealt, nearest, "a bigint, b bigint").where("a != b").distinct()
+    sides = found.select("a", "b", F.explode(F.array("a", "b")).alias("of"))
+    ws, sets = _shingles(F.col("t"))
+    texts = documents.select(F.col(key).cast("bigint").alias("of"), F.col(text).alias("t"))
+    each = sides.join(texts, "of").select("a", "b", "of", ws.alias("ws")).select("a", "b", "of", sets.alias("set"))
+    both = each.groupBy("a", "b").agg(F.max(F.when(F.col("of") == F.col("a"), F.col("set"))).alias("x"), F.max(F.when(F.col("of") == F.col("b"), F.col("set"))).alias("y"))
+    shared = F.size(F.array_intersect("x", "y"))
+    return both.where(shared >= ALIKE * (F.size("x") + F.size("y") - shared)).select("a", "b")
+
+
 def one_of_each(documents: DataFrame) -> DataFrame:
-    """The documents whose id is their component's; of rows that repeat an id, those of the kept fingerprint. Null ids stay."""
-    found = components(documents)
-    keep = found.where((F.col("key") == F.col("component_id")) | F.col("key").isNull()).select("key").distinct()
-    rows = documents.select(F.struct(*documents.columns).alias("doc"), F.col("doc_id").cast("bigint").alias("id"))
-    return rows.join(rekeyed(keep, "key"), F.col("id").eqNullSafe(F.col("key")), "left_semi").select("doc.*")
+    """Of each group of documents the one with the smallest id. Groups are joined by links of at most 4 bits and by near copies.
+
+    Near copies overlap by 0.8 or more in five-word shingles; they are looked for among one document of each group of linked fingerprints.
+    Of rows that repeat an id, those of the kept fingerprint stay. Rows with a null id stay.
+    """
+    out = pa.schema([("key", pa.int64()), ("fp", pa.int64()), ("w0", pa.int64()), ("w1", pa.int64())])
+
+    def work(batches):
+        for b in slices(batches):
+            texts = b.column(1).to_pylist()
+            wide = [wide_simhash(word_hashes(t)) for t in texts]
+            yield batch(out, [b.column(0), np.array([simhash(t) for t in texts], np.uint64).view(np.int64), [w[0] for w in wide], [w[1] for w in wide]])
+
+    rows = documents.select(F.col("doc_id").cast("bigint"), "text")
+    marks = durable(over_batches(rows, work, "key bigint, fp bigint, w0 bigint, w1 bigint"))
+    found = durable(_components(marks.select("key", "fp")))
+    firsts = found.where("key = component_id").select("key").distinct()
+    first_marks = durable(marks.where("key is not null").groupBy("key").agg(F.min_by("w0", F.struct("fp", "w0", "w1")).alias("w0"), F.min_by("w1", F.struct("fp", "w0", "w1")).alias("w1")).join(firsts, "key", "left_semi"))
+    pairs = alike_pairs(documents, first_marks)
+    gone = connected_components(pairs.select(F.col("a").alias("src"), F.col("b").alias("dst"))).where("node != component").select(F.col("node").alias("key"))
+    keep = firsts.join(gone, "key", "left_anti").union(found.where("key is null").select("key").distinct())
+    whole = documents.select(F.struct(*documents.columns).alias("doc"), F.col("doc_id").cast("bigint").alias("id"))
+    return whole.join(rekeyed(keep, "key"), F.col("id").eqNullSafe(F.col("key")), "left_semi").select("doc.*")
