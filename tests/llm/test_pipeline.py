@@ -2,6 +2,7 @@
 
 import hashlib
 import itertools
+import random
 
 import numpy as np
 import pytest
@@ -34,21 +35,50 @@ def test_language_keeps_clean_documents(stages):
     assert all((r.doc_id in kept) == any(map(str.isalpha, r.text or "")) for r in before.collect())
 
 
+def shingles(text):
+    ws = (text or "").lower().split()
+    return {tuple(ws[i : i + 5]) for i in range(max(1, len(ws) - 4))}
+
+
 def test_one_of_each_group(stages):
+    """By brute force: links of at most 4 bits, and near copies (0.8 of five-word shingles) among one document of each such group."""
     before, after = stages[1]
-    fps = {r.doc_id: simhash.simhash(r.text) for r in before.collect()}
+    texts = {r.doc_id: r.text for r in before.collect()}
+    fps = {d: simhash.simhash(t) for d, t in texts.items()}
     kept = sorted(r.doc_id for r in after.collect())
     assert all(bin(fps[a] ^ fps[b]).count("1") > 4 for a, b in itertools.combinations(kept, 2))
-    groups, todo = 0, set(fps)
+    sets = {d: shingles(texts[d]) for d in texts}
+    alike = lambda a, b: len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])
+    groups, todo = {}, set(fps)
     while todo:
         ring = {todo.pop()}
-        groups += 1
+        group = set(ring)
         while ring:
             a = ring.pop()
             near = {b for b in todo if bin(fps[a] ^ fps[b]).count("1") <= 4}
             todo -= near
             ring |= near
-    assert len(kept) == groups
+            group |= near
+        groups[min(group)] = group
+    assert set(kept) <= set(groups)
+    for d in set(groups) - set(kept):
+        assert any(alike(d, k) for k in groups if k != d)
+    assert sum(alike(a, b) for a, b in itertools.combinations(kept, 2)) == 0
+
+
+def test_near_copies_are_found(spark):
+    """Copies with one word in sixty changed go, texts that share nothing stay."""
+    r = random.Random(5)
+    body = lambda n: [f"v{r.randrange(10**6)}" for _ in range(n)]
+    base_, rows = [body(300) for _ in range(40)], []
+    for i, ws in enumerate(base_):
+        rows.append((i, " ".join(ws)))
+        rows.append((1000 + i, " ".join(w if k % 60 else f"x{i}{k}" for k, w in enumerate(ws))))
+        rows.append((2000 + i, " ".join(w if k % 10 else f"y{i}{k}" for k, w in enumerate(ws))))
+    df = spark.createDataFrame([(d, t, "en", "s", len(t)) for d, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    kept = {x.doc_id for x in simhash.one_of_each(df).collect()}
+    assert set(range(40)) <= kept and set(range(2000, 2040)) <= kept
+    assert len(kept & set(range(1000, 1040))) <= 2
 
 
 def test_passages_are_gone(stages):
