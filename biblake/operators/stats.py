@@ -48,6 +48,16 @@ def cube_counts(pubs: DataFrame) -> DataFrame:
     return pubs.rollup("type", "pub_year").agg(F.count("*").alias("n"), F.grouping_id().alias("level"))
 
 
+def cube(pubs: DataFrame, a: str, b: str) -> DataFrame:
+    """(a, b, n, level): counts by both, by each, and in all; level tells which columns are summed over."""
+    return pubs.cube(a, b).agg(F.count("*").alias("n"), F.grouping_id().alias("level"))
+
+
+def pivot(pubs: DataFrame, by: str, over: str, values: list) -> DataFrame:
+    """One row a ``by`` with a count for each of the given values of ``over``."""
+    return pubs.groupBy(by).pivot(over, values).count().na.fill(0)
+
+
 def coverage(rows: DataFrame, groups: list[str], has: str) -> DataFrame:
     """(groups, n, identified, share): rows that have an external identifier, by group."""
     return rows.groupBy(*groups).agg(F.count("*").alias("n"), F.sum(F.col(has).cast("bigint")).alias("identified")).withColumn("share", F.round(F.col("identified") / F.col("n"), 6))

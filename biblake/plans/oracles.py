@@ -133,6 +133,9 @@ def sql() -> dict[str, str]:
         "publications_per_year": "SELECT pub_year, n, n - lag(n) OVER (ORDER BY pub_year) AS growth FROM (SELECT CAST(year(o_orderdate) AS INT) AS pub_year, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1) ORDER BY n DESC, pub_year LIMIT 10",
         "authors_per_publication": "SELECT k AS n_authors, count(*) AS n FROM (SELECT l_orderkey, count(DISTINCT l_suppkey) AS k FROM lineitem GROUP BY 1) GROUP BY 1",
         "type_year_rollup": f"WITH {_PUB} SELECT type, CAST(pub_year AS INT) AS pub_year, count(*) AS n, CAST(grouping(type, pub_year) AS BIGINT) AS level FROM pub GROUP BY ROLLUP (type, pub_year)",
+        "publisher_type_cube": f"WITH {_PUB} SELECT publisher, type, count(*) AS n, CAST(grouping(publisher, type) AS BIGINT) AS level FROM pub GROUP BY CUBE (publisher, type)",
+        "publisher_type_pivot": f"""WITH {_PUB} SELECT publisher, count(*) FILTER (WHERE type = '1-URGENT') AS proceedings_article, count(*) FILTER (WHERE type = '2-HIGH') AS book_chapter, count(*) FILTER (WHERE type = '3-MEDIUM') AS book,
+            count(*) FILTER (WHERE type = '4-NOT SPECIFIED') AS dataset, count(*) FILTER (WHERE type = '5-LOW') AS journal_article FROM pub GROUP BY 1""",
         "venue_title_key": "SELECT 'title' AS by, count(DISTINCT lower(p_name)) AS n FROM part UNION ALL SELECT 'key', count(DISTINCT CASE WHEN p_size % 2 = 0 THEN 'prt:' || p_partkey ELSE lower(trim(p_name)) END) FROM part",
         "coverage_publications": f"WITH {_PUB} SELECT type, count(*) AS n, CAST(sum((br % 3 = 0)::INT) AS BIGINT) AS identified, round(sum((br % 3 = 0)::INT) / count(*), 6) AS share FROM pub GROUP BY 1",
         "coverage_documents": f"WITH {_DOC} SELECT source, lang, count(*) AS n, CAST(sum((length(f) >= 12)::INT) AS BIGINT) AS identified, round(sum((length(f) >= 12)::INT) / count(*), 6) AS share FROM d1 GROUP BY ALL",
@@ -193,6 +196,10 @@ def sql() -> dict[str, str]:
         "query_over_time": f"""WITH {_HISTORY} SELECT eid, p, o, greatest(valid_from, TIMESTAMP '2024-01-10 00:00:00') AS held_from, least(coalesce(valid_to, TIMESTAMP '2024-01-12 00:00:00'), TIMESTAMP '2024-01-12 00:00:00') AS held_to
             FROM hist WHERE p = 'purchase' AND valid_from < TIMESTAMP '2024-01-12 00:00:00' AND (valid_to IS NULL OR valid_to > TIMESTAMP '2024-01-10 00:00:00')""",
         "provenance_completeness": "SELECT count(DISTINCT user_id) AS entities, count(DISTINCT user_id) AS covered, CAST(1 AS DOUBLE) AS share FROM events",
+        "snapshot_graphs": """WITH u AS (SELECT count(DISTINCT user_id) AS k, count(*) AS c FROM events)
+            SELECT unnest(['snap_of', 'by', 'primary_source', 'generated_at', 'described', 'invalidated_at', 'derived_from']) AS p, unnest([c, c, c, c, c, c - k, c - k]) AS n, unnest([c, c, c, c, c, c - k, c - k]) AS graphs FROM u""",
+        "value_as_of_click": f"""WITH {_CHANGES} SELECT c.eid, c."at", c.event_id, b.new AS o FROM (SELECT * FROM ch WHERE p = 'click') c ASOF LEFT JOIN (SELECT * FROM ch WHERE p = 'purchase') b ON c.eid = b.eid AND b."at" <= c."at" """,
+        "state_at_clicks": f"""WITH {_HISTORY} SELECT hist.p, count(*) AS n FROM ch JOIN hist ON ch.eid = hist.eid AND ch."at" >= valid_from AND (valid_to IS NULL OR ch."at" < valid_to) WHERE ch.p = 'click' GROUP BY hist.p""",
         "delta_texts": f"""WITH {_DELTAS}, l AS (SELECT *, '<' || eid || '> <' || p || '> "' || o || '" .' AS line, dense_rank() OVER (PARTITION BY eid ORDER BY "at") AS n FROM delta),
             g AS (SELECT eid, n, string_agg(line, ' ' ORDER BY line) FILTER (WHERE op = '-') AS d, string_agg(line, ' ' ORDER BY line) FILTER (WHERE op = '+') AS i FROM l GROUP BY eid, n)
             SELECT eid, CAST(n AS INT) AS n, concat_ws('; ', 'DELETE DATA {{ ' || d || ' }}', 'INSERT DATA {{ ' || i || ' }}') AS text FROM g""",

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from biblake.functions import dates, ids, text, volissue
-from biblake.operators import baselines, bgp, citations, lookup, merge, mint, prov, resolve, search, stats, timetravel
+from biblake.operators import asof, baselines, bgp, citations, lookup, merge, mint, prov, resolve, search, stats, timetravel
 from biblake.operators.triples import from_triples, store_of, to_triples
 from biblake.session import durable, table
 from biblake.sources import adapters as A
@@ -58,6 +58,15 @@ def type_year_rollup(spark, sf):
     return stats.cube_counts(A.publications(spark, sf))
 
 
+def publisher_type_cube(spark, sf):
+    return stats.cube(A.publications(spark, sf), "publisher", "type")
+
+
+def publisher_type_pivot(spark, sf):
+    wide = stats.pivot(A.publications(spark, sf), "publisher", "type", sorted(A.TYPES))
+    return wide.select("publisher", *[F.col(f"`{t}`").alias(A.TYPES[t].replace(" ", "_")) for t in sorted(A.TYPES)])
+
+
 def venue_title_key(spark, sf):
     """How many venues there are by title, and by identifier with the title only in its absence."""
     p = table(spark, sf, "part").select(F.lower("p_name").alias("t"), merge.venue_key(F.col("p_size") % 2 == 0, F.concat(F.lit("prt:"), F.col("p_partkey").cast("string")), F.col("p_name")).alias("k"))
@@ -267,6 +276,24 @@ def provenance_completeness(spark, sf):
     return prov.completeness(users, snapshots(spark, sf)).withColumn("share", F.round("share", 6))
 
 
+def snapshot_graphs(spark, sf):
+    """Statements about snapshots by predicate."""
+    return prov.snapshot_triples(snapshots(spark, sf)).groupBy("p").agg(F.count("*").alias("n"), F.count_distinct("graph").alias("graphs"))
+
+
+def value_as_of_click(spark, sf):
+    """Each click of a user with the value of the user's last purchase up to then."""
+    rows = A.change_rows(spark, sf).select("eid", "at", "p", "o", "event_id")
+    return asof.as_of(rows.where("p = 'click'").select("eid", "at", "event_id"), rows.where("p = 'purchase'").select("eid", "at", "o"), "eid", "at", ["o"])
+
+
+def state_at_clicks(spark, sf):
+    """How many values held at the moments of clicks, by property: clicks against the validity of triples."""
+    clicks = A.change_rows(spark, sf).where("p = 'click'").select("eid", "at", "event_id")
+    found = asof.within(clicks, entity_history(spark, sf), "eid", "at", "valid_from", "valid_to")
+    return found.groupBy("p").agg(F.count("*").alias("n"))
+
+
 def delta_texts(spark, sf):
     """The update text of each change; n numbers an entity's deltas."""
     log = deltas(spark, sf)
@@ -389,9 +416,9 @@ def issues_between(spark, sf):
 
 NAMES = (
     "overview_counts top_publishers_by_venues top_publishers_by_publications top_venues_by_publications types_by_publications publications_per_year authors_per_publication "
-    "type_year_rollup venue_title_key coverage_publications coverage_documents future_dates labelled_quality dedup_clusters_documents six_outcomes conflict_ledger merge_first_wins "
+    "type_year_rollup publisher_type_cube publisher_type_pivot venue_title_key coverage_publications coverage_documents future_dates labelled_quality dedup_clusters_documents six_outcomes conflict_ledger merge_first_wins "
     "contributor_order role_chain containment_merge people_by_name mint_eids history_resolution date_repair vol_issue_repair title_case title_case_documents space_hyphen id_checks "
-    "exists_check page_titles triples_count triples_roundtrip snapshots deltas state_at state_at_forward entity_history query_over_time provenance_completeness delta_texts citation_unify citation_counts "
+    "exists_check page_titles triples_count triples_roundtrip snapshots deltas state_at state_at_forward entity_history query_over_time provenance_completeness snapshot_graphs value_as_of_click state_at_clicks delta_texts citation_unify citation_counts "
     "baseline_raw_citations baseline_remote_calls baseline_title_identity baseline_full_copies baseline_identified_only baseline_renumbered fill_from_web format_bytes lookup_ids "
     "lookup_author lookup_editor search_boolean search_by_postings phrase_hits coauthors coauthors_by_pattern papers_in_issue volumes_of issues_between"
 ).split()

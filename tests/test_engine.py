@@ -272,3 +272,26 @@ def test_sql_search_and_metrics(spark, small):
     assert [tuple(r) for r in got] == [(0, "title", "a b"), (0, "venue", "c"), (1, "id", "x:1")]
     df = A.publications(spark, small)
     assert metrics.measured(df)["rows"] == 1500 and metrics.plan_shape(df)["Project"] > 0
+
+
+def test_sessions_and_sliding_windows(spark, small):
+    from biblake.session import table
+    from biblake.streaming import streams
+
+    events = table(spark, small, "events")
+    batch = events.withColumn("ts", F.col("ts").cast("timestamp"))
+    want = {tuple(r) for r in batch.groupBy("user_id", F.session_window("ts", "2 hours").alias("w")).agg(F.count("*").alias("n")).select("user_id", "w.start", "w.end", "n").collect()}
+    got = streams.run_complete(streams.sessions(streams._replayed(spark, small), late="40 days"), spark)
+    assert {tuple(r) for r in got.collect()} == want
+    want = {tuple(r) for r in batch.groupBy("event_type", F.window("ts", "1 day", "6 hours").alias("w")).agg(F.count("*").alias("n")).select("event_type", "w.start", "n").collect()}
+    got = streams.run_complete(streams.windows(streams._replayed(spark, small), "1 day", "6 hours", "40 days"), spark)
+    assert {tuple(r) for r in got.collect()} == want
+
+
+def test_provenance_as_quads(spark, small, tmp_path):
+    from biblake.sources import io
+
+    rows = prov.snapshot_triples(prov.snapshots_of(A.change_rows(spark, small))).limit(200)
+    io.write_nquads(rows, str(tmp_path / "p"))
+    back = io.read_nquads(spark, str(tmp_path / "p"))
+    assert back.where("graph is null or graph != s").count() == 0 and back.count() == 200
