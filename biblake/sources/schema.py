@@ -44,13 +44,13 @@ PREDICATES = {
     "has_role": "pro:isDocumentContextFor",
     "role_kind": "pro:withRole",
     "held_by": "pro:isHeldBy",
-    "next_role": "oco:hasNext",
+    "next_role": "pro:hasNext",
     "name": "foaf:name",
     "given": "foaf:givenName",
     "family": "foaf:familyName",
-    "has_id": "datacite:hasIdentifier",
-    "id_scheme": "datacite:usesIdentifierScheme",
-    "id_value": "literal:hasLiteralValue",
+    "has_id": "own:hasIdentifier",
+    "id_scheme": "own:identifierScheme",
+    "id_value": "own:identifierValue",
     "snap_of": "prov:specializationOf",
     "derived_from": "prov:wasDerivedFrom",
     "by": "prov:wasAttributedTo",
