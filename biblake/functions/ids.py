@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from biblake.functions.text import norm_hyphen, norm_space
+from biblake.functions.text import norm_hyphen, norm_space, once
 
 # Kinds of entities that get an eid, and the shape of a prefix (06, digits without zero, 0).
 KINDS = ("br", "ra", "ar", "re", "id")
@@ -73,32 +73,35 @@ def _bare(c: Column) -> Column:
 
 
 def valid_issn(c: Column) -> Column:
-    x = _bare(c)
-    return F.coalesce(x.rlike("^\\d{7}[\\dX]$") & (_weighted(x, [8, 7, 6, 5, 4, 3, 2, 1]) % 11 == 0), F.lit(False))
+    return once(_bare(c), lambda x: F.coalesce(x.rlike("^\\d{7}[\\dX]$") & (_weighted(x, [8, 7, 6, 5, 4, 3, 2, 1]) % 11 == 0), F.lit(False)))
 
 
 def valid_isbn(c: Column) -> Column:
-    x = _bare(c)
-    ten = x.rlike("^\\d{9}[\\dX]$") & (_weighted(x, list(range(10, 0, -1))) % 11 == 0)
-    thirteen = x.rlike("^\\d{13}$") & (_weighted(x, [1, 3] * 6 + [1]) % 10 == 0)
-    return F.coalesce(ten | thirteen, F.lit(False))
+    def ok(x: Column) -> Column:
+        ten = x.rlike("^\\d{9}[\\dX]$") & (_weighted(x, list(range(10, 0, -1))) % 11 == 0)
+        thirteen = x.rlike("^\\d{13}$") & (_weighted(x, [1, 3] * 6 + [1]) % 10 == 0)
+        return F.coalesce(ten | thirteen, F.lit(False))
+
+    return once(_bare(c), ok)
 
 
 def issn_check(c: Column) -> Column:
-    """The check character for seven digits."""
-    rest = (11 - _weighted(c, [8, 7, 6, 5, 4, 3, 2]) % 11) % 11
-    return F.when(rest == 10, "X").otherwise(rest.cast("string"))
+    """The check character for the first seven digits."""
+    rest = lambda x: (11 - _weighted(x, [8, 7, 6, 5, 4, 3, 2]) % 11) % 11
+    return once(once(c, rest), lambda r: F.when(r == 10, "X").otherwise(r.cast("string")))
 
 
 def orcid_check(c: Column) -> Column:
-    """The check character for fifteen digits: powers of two modulo eleven."""
-    rest = (12 - _weighted(c, [1 << (16 - i) for i in range(1, 16)]).cast("bigint") % 11) % 11
-    return F.when(rest == 10, "X").otherwise(rest.cast("string"))
+    """The check character for the first fifteen digits: powers of two modulo eleven."""
+    rest = lambda x: (12 - _weighted(x, [1 << (16 - i) for i in range(1, 16)]).cast("bigint") % 11) % 11
+    return once(once(c, rest), lambda r: F.when(r == 10, "X").otherwise(r.cast("string")))
 
 
 def valid_orcid(c: Column) -> Column:
-    x = _bare(F.regexp_replace(c, "^https?://orcid\\.org/", ""))
-    return F.coalesce(x.rlike("^\\d{15}[\\dX]$") & (orcid_check(F.substr(x, F.lit(1), F.lit(15))) == F.substr(x, F.lit(16), F.lit(1))), F.lit(False))
+    def ok(x: Column) -> Column:
+        return F.coalesce(x.rlike("^\\d{15}[\\dX]$") & (orcid_check(x) == F.substr(x, F.lit(16), F.lit(1))), F.lit(False))
+
+    return once(_bare(F.regexp_replace(c, "^https?://orcid\\.org/", "")), ok)
 
 
 def norm_doi(c: Column) -> Column:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -10,6 +12,11 @@ SPACES = "[\\p{Zs}\\t\\n\\x0B\\f\\r\\x85\\u2028\\u2029]"
 HYPHENS = "[\\p{Pd}\\u2212\\u2043\\u00AD]"
 
 
+def once(value: Column, f: Callable[[Column], Column]) -> Column:
+    """f(value) with value worked out a single time, however often f mentions it."""
+    return F.element_at(F.transform(F.array(value), f), 1)
+
+
 def norm_space(c: Column) -> Column:
     """Each kind of space becomes U+0020, one for one."""
     return F.regexp_replace(c, SPACES, " ")

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from biblake.functions.text import collapse, norm_hyphen, norm_space
+from biblake.functions.text import collapse, norm_hyphen, norm_space, once
 
 # Words for a volume and for an issue in several languages.
 VOLUME_WORDS = ("original series", "volumes", "volume", "volumen", "vol", "tome", "tomo", "cilt", "band", "bd", "jahrgang", "jg", "année")
@@ -48,7 +48,10 @@ def strip_label(c: Column) -> Column:
 
 def fixed(volume: Column, issue: Column, strip_labels: bool = False) -> Column:
     """(volume, issue, repairs) after all rules. A cell that was split is not moved again; a filled partner cell is kept."""
-    v, i = clean_cell(volume), clean_cell(issue)
+    return once(F.struct(volume.alias("rv"), issue.alias("ri"), clean_cell(volume).alias("v"), clean_cell(issue).alias("i")), lambda x: _moved(x["rv"], x["ri"], x["v"], x["i"], strip_labels))
+
+
+def _moved(volume: Column, issue: Column, v: Column, i: Column, strip_labels: bool) -> Column:
     sv, si = split_cell(v), split_cell(i)
     from_v, from_i = sv.isNotNull() & i.isNull(), si.isNotNull() & v.isNull() & sv.isNull()
     split = from_v | from_i

@@ -111,7 +111,7 @@ def _split_documents(spark, sf):
     index = resolve.id_edges(rows.where(F.col("doc_id") % 2 == 0), "doc_id").join(owner, "occ").select("id", "eid").distinct()
     declared = owner.select((F.col("occ") + 1).alias("key"), F.col("eid").alias("declared")).where(F.col("key") % 10 == 1)
     new = rows.where(F.col("doc_id") % 2 == 1).select(F.col("doc_id").alias("key"), F.when(F.col("doc_id") % 20 == 11, F.array().cast("array<string>")).otherwise(F.col("ids")).alias("ids"))
-    return new.join(declared, "key", "left"), index
+    return durable(new.join(declared, "key", "left")), durable(index)
 
 
 def six_outcomes(spark, sf):
@@ -355,20 +355,29 @@ def format_bytes(spark, sf):
 # services
 
 
+def _with_eid(rows: DataFrame) -> DataFrame:
+    return rows.withColumn("eid", F.concat(F.lit("br/060"), F.col("row_seq").cast("string")))
+
+
 def _rows(spark, sf):
-    return A.pub_rows(spark, sf).withColumn("eid", F.concat(F.lit("br/060"), F.col("row_seq").cast("string")))
+    return _with_eid(A.pub_rows(spark, sf))
+
+
+def _stored(spark, sf):
+    rows = durable(A.pub_rows(spark, sf))
+    return store_of(rows), _with_eid(rows)
 
 
 def lookup_ids(spark, sf):
-    return lookup.by_ids(store_of(A.pub_rows(spark, sf)), _rows(spark, sf), ASKED)
+    return lookup.by_ids(*_stored(spark, sf), ASKED)
 
 
 def lookup_author(spark, sf):
-    return lookup.by_agent(store_of(A.pub_rows(spark, sf)), _rows(spark, sf), ["sup:1"], "author")
+    return lookup.by_agent(*_stored(spark, sf), ["sup:1"], "author")
 
 
 def lookup_editor(spark, sf):
-    return lookup.by_agent(store_of(A.pub_rows(spark, sf)), _rows(spark, sf), ["cus:1", "cus:7"], "editor")
+    return lookup.by_agent(*_stored(spark, sf), ["cus:1", "cus:7"], "editor")
 
 
 def search_boolean(spark, sf):

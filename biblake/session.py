@@ -39,9 +39,15 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 def durable(df: DataFrame) -> DataFrame:
-    """Cuts the lineage with a checkpoint in the shared folder."""
-    shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """Cuts the lineage with a checkpoint in the shared folder.
+
+    A checkpointed frame still carries what the planner has inferred about its columns, and in a loop that multiplies from round to
+    round until planning takes longer than the work. So the rows are taken up again as a new frame that knows only its schema.
+    """
+    spark = df.sparkSession
+    shared_folder(spark)
+    kept = df.checkpoint(eager=True)._jdf
+    return DataFrame(spark._jsparkSession.internalCreateDataFrame(kept.queryExecution().toRdd(), kept.schema(), False), spark)
 
 
 def rekeyed(df: DataFrame, *keys: str) -> DataFrame:
