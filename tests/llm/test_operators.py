@@ -384,6 +384,25 @@ def test_passages_cover_exact_repeats(docs, rows):
     assert hit >= 0.98 * all_ > 0
 
 
+def test_passages_recall_at_the_limit(spark):
+    """Passages of 50 words of which a given share between the first and the last is replaced: any such is found, wherever those stand."""
+    r = random.Random(8)
+    word = lambda: f"w{r.randrange(10**7)}"
+    body = lambda n: [word() for _ in range(n)]
+    rows, n = [], 60
+    for i in range(n):
+        plant = body(50)
+        rows.append((i, body(40) + plant + body(40)))
+        for k, bad in enumerate((10, 7, 5)):
+            at = set(range(4, 49, 5)) | {47} if i == 0 and bad == 10 else set(r.sample(range(1, 49), bad))
+            rows.append(((k + 1) * 1000 + i, body(30) + [word() if j in at else w for j, w in enumerate(plant)] + body(30)))
+    df = spark.createDataFrame([(d, " ".join(ws), None, None, 0) for d, ws in rows], DOCS)
+    found = {(x.doc_id, x.source_doc_id) for x in passages.passages(df).collect() if x.end_word - x.start_word >= 50 and x.similarity >= 0.8}
+    for k in (1, 2, 3):
+        assert sum((k * 1000 + i, i) in found for i in range(n)) == n
+    assert len(found) == 3 * n
+
+
 def test_chains():
     line = [(i, i + 5) for i in range(0, 100, 10)]
     assert passages.chains(line + [(3, 90), (50, 2)])[0] == line
