@@ -89,8 +89,8 @@ def canonical_turns(df: DataFrame, record: str | None = None, layouts: tuple[Lay
     """
     if record is None:
         x = layout_of(df.schema, layouts)
-        if x.name == "rows":
-            raise ValueError("rows by turn are grouped by format_turns")
+        if x.name == "rows":  # each row is a turn
+            return df.withColumn("turns", F.array(F.struct(F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))))
         if x.many:
             top, role, text = x.many
             return df.withColumn("turns", F.coalesce(_listed(F.col(top), role, text), F.array().cast("array<struct<role:string,text:string>>")))
@@ -121,6 +121,19 @@ def _spread(parts: list[tuple[str, Column]]) -> Column:
     return F.array(*[_turn(F.lit(r), F.array_join(F.filter(F.array(*[F.coalesce(t, F.lit("")) for k, t in parts if k == r]), lambda t: t != ""), "\n\n")) for r in roles])
 
 
+def turn_rows(df: DataFrame) -> DataFrame:
+    """(conv_id, turn, role, text) of a table of any known layout, by the mapping that its schema's fingerprint selects.
+
+    Rows by turn keep their own numbers; the turns of a record are numbered from 0. Records without a conv_id get numbers of their own.
+    """
+    by_turn = layout_of(df.schema).name == "rows"
+    conv = F.col("conv_id") if "conv_id" in df.columns else F.monotonically_increasing_id()
+    turns = canonical_turns(df).select(conv.cast("bigint").alias("conv_id"), F.col("turn") if by_turn else F.lit(None).alias("turn"), "turns")
+    if by_turn:
+        return turns.select("conv_id", "turn", F.col("turns")[0]["role"].alias("role"), F.col("turns")[0]["text"].alias("text"))
+    return turns.select("conv_id", F.posexplode("turns").alias("turn", "t")).select("conv_id", F.col("turn").cast("bigint"), "t.role", "t.text")
+
+
 def escape(text: Column, codes=CODES) -> Column:
     for plain, code in codes:
         text = F.replace(text, F.lit(plain), F.lit(code))
@@ -173,8 +186,7 @@ def digests(spark, conversations: DataFrame) -> DataFrame:
     """The query's columns, read back from what ``format_turns`` wrote."""
     extra = "\\### Assistant: </turn> ok"
     more = spark.range(2).select(F.lit(-7).cast("bigint").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit(extra).alias("text"))
-    names = ["conv_id", "turn", "role", "text"]
-    done = format_turns(conversations.select(*names).unionByName(more))
+    done = format_turns(turn_rows(conversations).unionByName(more))
     read = done.select("conv_id", "formatted", read_back(F.col("formatted")).alias("turns"), learned_text(F.col("formatted"), F.col("loss_spans")).alias("learned"))
     told = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
     return read.select(

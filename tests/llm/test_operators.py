@@ -249,6 +249,16 @@ def test_chat_layouts(spark):
         chat.layout_of(df.schema)
 
 
+def test_chat_query_maps_by_schema(spark):
+    """The query takes a table of any known layout and gives the same digests as for its rows by turn."""
+    rows = spark.createDataFrame([(1, 0, "user", "a"), (1, 1, "assistant", "b: c"), (2, 0, "user", None), (2, 1, "assistant", "###")], "conv_id long, turn long, role string, text string")
+    want = sorted(tuple(r) for r in chat.digests(spark, rows).collect())
+    pairs = spark.createDataFrame([(1, "a", "b: c"), (2, None, "###")], "conv_id long, prompt string, completion string")
+    listed = spark.createDataFrame([(1, [("human", "a"), ("gpt", "b: c")]), (2, [("human", None), ("gpt", "###")])], "conv_id long, conversations array<struct<from:string,value:string>>")
+    for df in (pairs, listed):
+        assert sorted(tuple(r) for r in chat.digests(spark, df).collect()) == want
+
+
 def test_chat_plan_is_native(spark, small):
     plan = Q.queries()["op4_chat"](spark, small)._jdf.queryExecution().executedPlan().toString()
     assert not any(x in plan for x in ("Python", "Arrow", "Pandas"))
