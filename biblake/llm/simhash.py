@@ -254,43 +254,68 @@ def _shingles(text: Column) -> tuple[Column, Column]:
 def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(a, b): documents whose five-word shingles overlap by 0.8 or more, b before a. marks: (key, w0, w1) of the documents to compare.
 
-    In each bucket a document is paired with the nearest one before it only, so a group of k near copies gives k - 1 pairs a bucket. The
-    pairs are then checked on the texts' whole shingle sets.
+    The pairs connect all groups, they are not all pairs. In each bucket a document is paired with the nearest ones before it that are
+    within the limit, not tried and not in its group yet: one in the first round, twice as many in each further one, until no
+    document has any left. So a group of k near copies gives k - 1 pairs a bucket. Pairs are checked on the texts' whole shingle sets.
     """
     n = parallelism(documents.sparkSession)
     marks = marks.where((F.col("w0") != 0) | (F.col("w1") != 0))
     bands = bands_for(marks.count())
-    cells = marks.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col(f"w{w}").bitwiseAND(F.lit(m)).alias("v")) for i, (w, m) in enumerate(bands)]))).select("key", "w0", "w1", "cell.t", "cell.v")
-    parts = split_hot(cells, ["t", "v"], F.xxhash64("key"), PART)
-    dealt = parts.repartition(n, "t", "v", "part_a", "part_b").sortWithinPartitions("t", "v", "part_a", "part_b", "key").select("t", "v", "part_a", "part_b", "key", "w0", "w1")
     out = pa.schema([("a", pa.int64()), ("b", pa.int64())])
-
-    def nearest(batches):
-        for g in grouped(batches, ["t", "v", "part_a", "part_b"]):
-            if g.num_rows < 2:
-                continue
-            ids, x, y = (g.column(c).to_numpy().view(np.uint64) for c in ("key", "w0", "w1"))
-            later, earlier = [], []
-            for s in range(1, len(ids), 512):
-                e = min(s + 512, len(ids))
-                far = np.bitwise_count(x[s:e, None] ^ x[None, :e]).astype(np.int16) + np.bitwise_count(y[s:e, None] ^ y[None, :e])
-                far[np.arange(e)[None, :] >= np.arange(s, e)[:, None]] = 999
-                best = far.argmin(axis=1)
-                near = np.flatnonzero(far[np.arange(e - s), best] <= WIDE_LIMIT)
-                later.append(s + near)
-                earlier.append(best[near])
-            i, j = np.concatenate(later), np.concatenate(earlier)
-            if len(i):
-                yield batch(out, [ids[i].view(np.int64), ids[j].view(np.int64)])
-
-    found = over_batches(dealt, nearest, "a bigint, b bigint").where("a != b").distinct()
-    sides = found.select("a", "b", F.explode(F.array("a", "b")).alias("of"))
-    ws, sets = _shingles(F.col("t"))
     texts = documents.select(F.col(key).cast("bigint").alias("of"), F.col(text).alias("t"))
-    each = sides.join(texts, "of").select("a", "b", "of", ws.alias("ws")).select("a", "b", "of", sets.alias("set"))
-    both = each.groupBy("a", "b").agg(F.max(F.when(F.col("of") == F.col("a"), F.col("set"))).alias("x"), F.max(F.when(F.col("of") == F.col("b"), F.col("set"))).alias("y"))
-    shared = F.size(F.array_intersect("x", "y"))
-    return both.where(shared >= ALIKE * (F.size("x") + F.size("y") - shared)).select("a", "b")
+
+    def candidates(marks: DataFrame, take: int) -> DataFrame:
+        """marks: (key, w0, w1, label, tried)."""
+        cells = marks.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col(f"w{w}").bitwiseAND(F.lit(m)).alias("v")) for i, (w, m) in enumerate(bands)]))).select("key", "w0", "w1", "label", "tried", "cell.t", "cell.v")
+        parts = split_hot(cells, ["t", "v"], F.xxhash64("key"), PART)
+        dealt = parts.repartition(n, "t", "v", "part_a", "part_b").sortWithinPartitions("t", "v", "part_a", "part_b", "key").select("t", "v", "part_a", "part_b", "key", "w0", "w1", "label", "tried")
+
+        def nearest(batches):
+            for g in grouped(batches, ["t", "v", "part_a", "part_b"]):
+                if g.num_rows < 2:
+                    continue
+                ids, label = g.column("key").to_numpy(), g.column("label").to_numpy()
+                x, y = (g.column(c).to_numpy().view(np.uint64) for c in ("w0", "w1"))
+                tried = g.column("tried").to_pylist()
+                later, earlier = [], []
+                for s in range(1, len(ids), 512):
+                    e = min(s + 512, len(ids))
+                    far = np.bitwise_count(x[s:e, None] ^ x[None, :e]).astype(np.int16) + np.bitwise_count(y[s:e, None] ^ y[None, :e])
+                    far[(np.arange(e)[None, :] >= np.arange(s, e)[:, None]) | (label[None, :e] == label[s:e, None])] = 999
+                    for i in np.flatnonzero(far.min(axis=1) <= WIDE_LIMIT).tolist():
+                        near = np.flatnonzero(far[i] <= WIDE_LIMIT)
+                        if tried[s + i]:
+                            near = near[~np.isin(ids[near], tried[s + i])]
+                        near = near[np.argsort(far[i, near], kind="stable")][:take]
+                        later.append(np.full(len(near), s + i))
+                        earlier.append(near)
+                if later:
+                    i, j = np.concatenate(later), np.concatenate(earlier)
+                    yield batch(out, [ids[i], ids[j]])
+
+        return over_batches(dealt, nearest, "a bigint, b bigint").where("a != b").distinct()
+
+    def checked(found: DataFrame) -> DataFrame:
+        """(a, b, alike)"""
+        sides = found.select("a", "b", F.explode(F.array("a", "b")).alias("of"))
+        ws, sets = _shingles(F.col("t"))
+        each = sides.join(texts, "of").select("a", "b", "of", ws.alias("ws")).select("a", "b", "of", sets.alias("set"))
+        both = each.groupBy("a", "b").agg(F.max(F.when(F.col("of") == F.col("a"), F.col("set"))).alias("x"), F.max(F.when(F.col("of") == F.col("b"), F.col("set"))).alias("y"))
+        shared = F.size(F.array_intersect("x", "y"))
+        return both.select("a", "b", F.coalesce(shared >= ALIKE * (F.size("x") + F.size("y") - shared), F.lit(False)).alias("alike"))
+
+    none = F.array().cast("array<bigint>")
+    pairs, take = None, 1
+    state = marks.select("key", "w0", "w1", F.col("key").alias("label"), none.alias("tried"))
+    while True:
+        found = durable(checked(candidates(state, take)))
+        if found.isEmpty():
+            break
+        pairs, take = found if pairs is None else durable(pairs.union(found)), 2 * take
+        labels = connected_components(pairs.where("alike").select(F.col("a").alias("src"), F.col("b").alias("dst"))).select(F.col("node").alias("key"), F.col("component").alias("label"))
+        tried = pairs.where(~F.col("alike")).groupBy(F.col("a").alias("key")).agg(F.collect_set("b").alias("tried"))
+        state = durable(marks.select("key", "w0", "w1").join(rekeyed(labels, "key"), "key", "left").join(rekeyed(tried, "key"), "key", "left").select("key", "w0", "w1", F.coalesce("label", "key").alias("label"), F.coalesce("tried", none).alias("tried")))
+    return (found if pairs is None else pairs).where("alike").select("a", "b")
 
 
 def one_of_each(documents: DataFrame) -> DataFrame:

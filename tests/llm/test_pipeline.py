@@ -81,6 +81,18 @@ def test_near_copies_are_found(spark):
     assert len(kept & set(range(1000, 1040))) <= 2
 
 
+def test_the_next_nearest_is_tried(spark):
+    """A document whose nearest earlier one by its mark is not alike enough goes with the next one that is."""
+    r = random.Random(6)
+    body = [f"v{r.randrange(10**6)}" for _ in range(300)]
+    near = [w if k % 60 else f"x{k}" for k, w in enumerate(body)]
+    other = [f"z{k}" for k in range(300)]
+    texts = {0: body, 1: other, 2: near}
+    df = spark.createDataFrame([(d, " ".join(ws)) for d, ws in texts.items()], "doc_id long, text string")
+    marks = spark.createDataFrame([(0, 5 + (7 << 40), 9), (1, 7 << 40, 9), (2, 7 << 40, 9)], "key long, w0 long, w1 long")
+    assert {tuple(p) for p in simhash.alike_pairs(df, marks).collect()} == {(2, 0)}
+
+
 def test_passages_are_gone(stages):
     before, after = stages[2]
     first, left, all_ = {}, 0, 0
