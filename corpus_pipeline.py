@@ -9,7 +9,7 @@ from __future__ import annotations
 import uuid
 
 from biblake.llm import bpe, language, mixing, passages, simhash
-from biblake.session import shared_folder, table
+from biblake.session import removed, shared_folder, table
 
 
 def language_id(spark, docs, sf_dir):
@@ -51,10 +51,14 @@ ORACLE_SQL = None
 
 def run(spark, sf_dir):
     docs, folder = table(spark, sf_dir, "documents"), f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
+    before = None
     for k, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k + 1 < len(STAGES):
             path = f"{folder}/{k}_{name}"
             docs.write.parquet(path)
             docs = spark.read.parquet(path)
+            if before:  # all that was read of it has been written on
+                removed(spark, before)
+            before = path
     return docs
