@@ -30,14 +30,19 @@ def over_batches(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Itera
     return df.mapInArrow(tidied, schema)
 
 
+def column(name: str) -> Column:
+    """The column of exactly this name, which may hold dots and back quotes."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
 def over_rows(df: DataFrame, work: Callable[[pa.RecordBatch], pa.RecordBatch], columns: list[str], *more: Column) -> DataFrame:
     """Applies ``work`` to batches of whole rows (and further columns after them) and returns the rows' own columns as it leaves them.
 
     Columns go by position, so their names may be anything.
     """
-    kinds = dict(df.select(*[F.col(c) for c in columns]).dtypes)
+    kinds = dict(df.dtypes)
     names = [f"c{i}" for i in range(len(columns))]
-    placed = df.select(*[F.col(c).alias(n) for c, n in zip(columns, names)], *[c.alias(f"m{i}") for i, c in enumerate(more)])
+    placed = df.select(*[column(c).alias(n) for c, n in zip(columns, names)], *[c.alias(f"m{i}") for i, c in enumerate(more)])
 
     def each(batches):
         for b in slices(batches):
@@ -141,13 +146,18 @@ def _hashes(raw: bytes) -> np.ndarray:
 
 
 class Recent(dict):
-    """Memo of a function in two generations: when the young one is full it becomes the old one, which is looked up before computing."""
+    """Memo of a function in two generations: when the young one is full it becomes the old one, which is looked up before computing.
+
+    Keys longer than ``longest`` are not kept.
+    """
 
-    def __init__(self, work: Callable, most: int):
+    def __init__(self, work: Callable, most: int, longest: int = 1 << 30):
         super().__init__()
-        self.work, self.most, self.old = work, most, {}
+        self.work, self.most, self.longest, self.old = work, most, longest, {}
 
     def __missing__(self, key):
+        if len(key) > self.longest:
+            return self.work(key)
         if len(self) >= self.most:
             self.old = dict(self)
             self.clear()
@@ -202,6 +212,15 @@ def grouped(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.T
         yield pa.Table.from_batches(held)
 
 
+def whole_rows(df: DataFrame) -> Column:
+    """All columns of a row as one struct, whatever their names; ``whole_again`` takes them out of it."""
+    return F.struct(*[column(c) for c in df.columns])
+
+
+def whole_again(df: DataFrame, rows: str, names: list[str]) -> DataFrame:
+    return df.select(*[F.col(rows).getField(c).alias(c) for c in names])
+
+
 def merge_labels(labels: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Parents (smallest index first) after joining a[i] with b[i]; each entry then points straight at its root."""
     while True:

@@ -11,6 +11,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from biblake.llm.base import column, whole_again, whole_rows
+from biblake.operators.ranges import running
 from biblake.session import durable, rekeyed
 
 WORD = "[^\\x20\\x09-\\x0D]+"
@@ -25,37 +27,39 @@ def n_words(text: Column) -> Column:
 
 
 def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: float = 3.0) -> DataFrame:
-    """(source, total, target): weights repeat over the sources by code point, null last; a target stops at ``most`` times
+    """(source, source_size, target): weights repeat over the sources by code point, null last; a target stops at ``most`` times
     its source's size and the excess goes to the others by weight until none is above.
 
-    One row a source. The level at which targets stop is found from the sources' ratios of limit to weight: with the k
-    tightest sources stopped, each other gets (all - their limits) / (weight left) for each unit of weight.
+    One row a source; sources are placed by ranges, so many of them never meet in one task. The level at which targets stop is found from
+    the sources' ratios of limit to weight: with the k tightest sources stopped, each other gets (all - their limits) / (weight left)
+    for each unit of weight.
     """
-    n = Window.partitionBy(F.lit(1)).orderBy(F.col("source").isNull(), F.col("source"))
-    w = F.element_at(F.array(*[F.lit(float(x)) for x in weights]), (F.pmod(F.row_number().over(n) - 1, F.lit(len(weights))) + 1).cast("int"))
-    rows = sizes.groupBy("source").agg(F.sum("size").alias("total")).withColumn("weight", w)
-    rows = rows.withColumns({"limit": F.col("total") * F.lit(float(most)), "ratio": F.col("total") * F.lit(float(most)) / F.col("weight")})
-    everything = Window.partitionBy(F.lit(1))
-    tight = everything.orderBy("ratio", F.col("source").isNull(), "source").rowsBetween(Window.unboundedPreceding, -1)
-    rows = rows.withColumns({"_all": F.sum("total").over(everything), "_w": F.sum("weight").over(everything), "_stopped": F.coalesce(F.sum("limit").over(tight), F.lit(0.0)), "_gone": F.coalesce(F.sum("weight").over(tight), F.lit(0.0))})
-    rows = rows.withColumn("_level", (F.col("_all") - F.col("_stopped")) / (F.col("_w") - F.col("_gone")))
-    level = F.max(F.when(F.col("ratio") >= F.col("_level"), F.col("_level"))).over(everything)
-    rows = rows.withColumn("_cut", level)
-    return rows.select("source", F.col("total").alias("source_size"), F.least(F.col("limit"), F.col("weight") * F.coalesce("_cut", F.col("ratio"))).alias("target"))
+    last = F.col("source").isNull()
+    rows = running(sizes.groupBy("source").agg(F.sum("size").alias("total")), [last, F.col("source")])
+    w = F.element_at(F.array(*[F.lit(float(x)) for x in weights]), (F.pmod("place", F.lit(len(weights))) + 1).cast("int"))
+    rows = rows.select("source", "total", w.alias("weight"), (F.col("total") * F.lit(float(most))).alias("limit")).withColumn("ratio", F.col("limit") / F.col("weight"))
+    rows = durable(running(rows, [F.col("ratio"), last, F.col("source")], sums={"stopped": "limit", "gone": "weight"}))
+    everything, weight = rows.agg(F.sum("total"), F.sum("weight")).first()
+    level = (F.lit(float(everything or 0)) - F.col("stopped")) / (F.lit(float(weight or 0)) - F.col("gone"))
+    cut = rows.agg(F.max(F.when(F.col("ratio") >= level, level))).first()[0]
+    unit = F.lit(cut) if cut is not None else F.col("ratio")
+    return rows.select("source", F.col("total").alias("source_size"), F.least(F.col("limit"), F.col("weight") * unit).alias("target"))
 
 
 def mix(documents: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[int, ...] = WEIGHTS, most: float = 3.0) -> DataFrame:
     """Per row: key, source, size, source_size, target, whole (times all of it is taken), part (words of one more, partial taking), taken.
 
-    A null text has no words and is never taken. Rows that repeat are hashed alike and share alike, rounded to whole words a row. The hash is of key and
-    text, so reruns and other partitionings agree. An empty table gives an empty result; a null source is one of its own.
+    A null text has no words and is never taken. The hash is of key and text, so reruns and other partitionings agree. Rows that repeat are
+    hashed alike; where a source's budget ends among them they are numbered and take what is left in turn, so the source still meets its
+    target to the word (which of the equal rows takes a word more is open). An empty table gives an empty result; a null source is one of its own.
     """
-    rows = durable(documents.select(F.col(source).alias("source"), *_marks(key, text)))
-    return _taken(documents.select(F.col(key).alias("key"), F.col(source).alias("source"), *_marks(key, text)), *thresholds(rows, weights, most))
+    rows = durable(documents.select(column(key).alias("key"), column(source).alias("source"), *_marks(key, text)))
+    per, shift, n_sources, ties = thresholds(rows, weights, most)
+    return _taken(rows, per, shift, n_sources, ties).select("key", "source", "size", "source_size", "target", "whole", _part().alias("part"), (F.col("whole") * F.col("size") + _part()).alias("taken"))
 
 
 def _marks(key: str, text: str) -> list[Column]:
-    return [n_words(F.col(text)).alias("size"), F.shiftrightunsigned(F.xxhash64(F.lit("mix"), key, text), 64 - BITS * LEVELS).alias("h")]
+    return [n_words(column(text)).alias("size"), F.shiftrightunsigned(F.xxhash64(F.lit("mix"), column(key), column(text)), 64 - BITS * LEVELS).alias("h")]
 
 
 def _per_source(rows: DataFrame, per: DataFrame, n_sources: int, how: str = "inner") -> DataFrame:
@@ -64,16 +68,17 @@ def _per_source(rows: DataFrame, per: DataFrame, n_sources: int, how: str = "inn
     return rows.join(F.broadcast(per), same, how) if n_sources <= BROADCAST_SOURCES else rows.join(rekeyed(per, "s"), same, how)
 
 
-def thresholds(rows: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: float = 3.0) -> tuple[DataFrame, int, int]:
-    """One row a source: where in the hashes its last round ends (edge, room, held); the bits that edge leaves out; the number of sources."""
+def thresholds(rows: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: float = 3.0) -> tuple[DataFrame, int, int, bool]:
+    """One row a source: where in the hashes its last round ends (edge, room, held); the bits that edge leaves out; the number of sources;
+    whether some edge holds more than one row."""
     goal = durable(targets(rows, weights, most))
     n_sources = goal.count()
     whole = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("bigint")
     left = F.round(F.col("target") - F.col("whole") * F.col("source_size")).cast("bigint")
     names = ["s", "source_size", "target", "whole"]
     state = goal.withColumnRenamed("source", "s").withColumn("whole", whole).select(*names, left.alias("room")).withColumns({"edge": F.lit(0).cast("bigint"), "held": F.col("source_size")})
-    shift = BITS * LEVELS
-    while shift:
+    shift, most_rows = BITS * LEVELS, 2
+    while shift and most_rows > 1:
         shift -= BITS
         at = rows.select("source", "size", F.shiftright("h", shift).alias("b"), F.shiftright("h", shift + BITS).alias("p"))
         if shift + BITS < BITS * LEVELS:
@@ -88,18 +93,30 @@ def thresholds(rows: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: float
         #: with no bucket that ends beyond the room all of it fits: the edge is past the last bucket
         edge = F.coalesce("e.b", F.col("last") + 1, F.shiftleft("edge", BITS))
         state = durable(found.select(*names, edge.alias("edge"), F.coalesce("e.room", F.lit(0)).alias("room"), F.coalesce("e.held", F.lit(0)).alias("held"), F.coalesce("e.rows", F.lit(0)).alias("rows")))
-        if (state.agg(F.max("rows")).first()[0] or 0) <= 1:
-            break
-    return state, shift, n_sources
+        most_rows = state.agg(F.max("rows")).first()[0] or 0
+    return state, shift, n_sources, most_rows > 1
 
 
-def _taken(rows: DataFrame, per: DataFrame, shift: int, n_sources: int) -> DataFrame:
-    """Adds source_size, target, whole, part and taken to rows with source, size and h."""
+def _taken(rows: DataFrame, per: DataFrame, shift: int, n_sources: int, ties: bool) -> DataFrame:
+    """Adds to rows with source, size and h the source's row and ``place_in``: -1 below the edge, null above it, at the edge the words of its rows before."""
     out = _per_source(rows, per.drop("rows"), n_sources)
-    b = F.shiftright("h", shift)
-    share = F.when(F.col("held") > 0, F.expr("CAST(round(CAST(room AS DECIMAL(38,0)) * size / held) AS BIGINT)")).otherwise(F.lit(0))
-    part = F.when(b < F.col("edge"), F.col("size")).when(b == F.col("edge"), share).otherwise(F.lit(0)).cast("bigint")
-    return out.withColumn("part", part).withColumn("taken", F.col("whole") * F.col("size") + F.col("part")).drop("s", "edge", "room", "held", "h")
+    b, before = F.shiftright("h", shift), F.lit(0).cast("bigint")
+    if not ties:
+        return out.withColumn("place_in", F.when(b < F.col("edge"), -1).when(b == F.col("edge"), before))
+    edge = running(out.where(b == F.col("edge")), by=["s"], sums={"place_in": "size"}).drop("place")
+    rest = out.where(b != F.col("edge")).withColumn("place_in", F.when(b < F.col("edge"), F.lit(-1).cast("bigint")))
+    return rest.unionByName(edge.withColumn("place_in", F.col("place_in").cast("bigint")))
+
+
+def _share(upto: str) -> str:
+    """The words that the first rows of an edge take: its room in proportion, never rounded up."""
+    return f"(CAST(room AS DECIMAL(38,0)) * ({upto}) div held)"
+
+
+def _part() -> Column:
+    """The words of a partial taking; those of an edge sum up to its room."""
+    at_edge = F.expr(f"CASE WHEN held > 0 THEN CAST({_share('place_in + size')} - {_share('place_in')} AS BIGINT) ELSE 0 END")
+    return F.when(F.col("place_in") < 0, F.col("size")).when(F.col("place_in") >= 0, at_edge).otherwise(F.lit(0)).cast("bigint")
 
 
 def digest(documents: DataFrame) -> DataFrame:
@@ -107,10 +124,16 @@ def digest(documents: DataFrame) -> DataFrame:
 
 
 def mixed_documents(documents: DataFrame) -> DataFrame:
-    """The documents of the mix, each as often as it is taken whole; a partial taking counts as one if it is at least half."""
+    """The documents of the mix, each as often as it is taken whole.
+
+    Of the document at which a source's budget ends one more copy is taken if its partial taking is at least half of it; of rows that repeat there
+    as many as what they take together comes to, rounded. Documents without a word go; an empty table gives an empty result.
+    """
     names = documents.columns
-    per, shift, n_sources = thresholds(durable(documents.select("source", *_marks("doc_id", "text"))))
-    kept = documents.select(F.struct(*names).alias("doc"), "source", *_marks("doc_id", "text"))
-    times = (F.col("whole") + F.when(F.col("part") * 2 >= F.col("size"), 1).otherwise(0)).cast("int")
-    out = _taken(kept, per, shift, n_sources).where(F.col("size") > 0).withColumn("times", times).where("times > 0")
-    return out.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("times")))).select("doc.*")
+    per, shift, n_sources, ties = thresholds(durable(documents.select("source", *_marks("doc_id", "text"))))
+    kept = documents.select(whole_rows(documents).alias("doc"), "source", *_marks("doc_id", "text")).where("size > 0")
+    #: whole copies that the first rows of an edge take, rounded
+    copies = lambda upto: f"floor(CAST(room AS DOUBLE) * ({upto}) / held / size + 0.5)"
+    extra = F.expr(f"CASE WHEN place_in < 0 THEN 1 WHEN place_in >= 0 AND held > 0 THEN {copies('place_in + size')} - {copies('place_in')} ELSE 0 END")
+    out = _taken(kept, per, shift, n_sources, ties).withColumn("times", (F.col("whole") + extra).cast("int")).where("times > 0")
+    return whole_again(out.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("times")))), "doc", names)

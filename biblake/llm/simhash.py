@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from biblake.llm.base import MASK, batch, grouped, merge_labels, mixed, over_batches, slices, split_hot, word_hashes
+from biblake.llm.base import MASK, batch, grouped, merge_labels, mixed, over_batches, slices, split_hot, whole_again, whole_rows, word_hashes
 from biblake.operators.cluster import connected_components
 from biblake.session import durable, parallelism, rekeyed
 
@@ -340,5 +340,5 @@ def one_of_each(documents: DataFrame) -> DataFrame:
     pairs = alike_pairs(documents, first_marks)
     gone = connected_components(pairs.select(F.col("a").alias("src"), F.col("b").alias("dst"))).where("node != component").select(F.col("node").alias("key"))
     keep = firsts.join(gone, "key", "left_anti").union(found.where("key is null").select("key").distinct())
-    whole = documents.select(F.struct(*documents.columns).alias("doc"), F.col("doc_id").cast("bigint").alias("id"))
-    return whole.join(rekeyed(keep, "key"), F.col("id").eqNullSafe(F.col("key")), "left_semi").select("doc.*")
+    whole = documents.select(whole_rows(documents).alias("doc"), F.col("doc_id").cast("bigint").alias("id"))
+    return whole_again(whole.join(rekeyed(keep, "key"), F.col("id").eqNullSafe(F.col("key")), "left_semi"), "doc", documents.columns)
