@@ -63,16 +63,20 @@ def fingerprint(paths) -> int:
 
 
 def layout_of(schema: StructType, layouts: tuple[Layout, ...] = LAYOUTS) -> Layout:
-    """The layout whose fingerprint is that of the schema's known paths; fields that no layout knows are left out."""
-    known = {p for x in layouts for p in x.paths}
-    have = [p for p in field_paths(schema) if p in known]
-    by = {fingerprint(x.paths): x for x in layouts}
-    if fingerprint(have) in by:
-        return by[fingerprint(have)]
-    inside = [x for x in layouts if set(x.paths) <= set(have)]
-    if not inside:
-        raise ValueError(f"no layout has these fields: {sorted(have)}")
-    return max(inside, key=lambda x: len(x.paths))
+    """The layout that a schema's field paths select, by the rule for records too (see ``by_size``)."""
+    have = set(field_paths(schema))
+    for x in by_size(layouts):
+        if fingerprint(have & set(x.paths)) == fingerprint(x.paths):
+            return x
+    raise ValueError(f"no layout has these fields: {sorted(have)}")
+
+
+def by_size(layouts: tuple[Layout, ...]) -> list[Layout]:
+    """The order in which layouts are tried: the one of the most fields first, else as listed.
+
+    A layout is selected if the fingerprint of its fields that a schema or record has is its own; other fields do not matter.
+    """
+    return sorted(layouts, key=lambda x: -len(x.paths))
 
 
 def _turn(role: Column, text: Column) -> Column:
@@ -81,34 +85,58 @@ def _turn(role: Column, text: Column) -> Column:
 
 
 def canonical_turns(df: DataFrame, record: str | None = None, layouts: tuple[Layout, ...] = LAYOUTS) -> DataFrame:
-    """Adds ``turns``, an array of (role, text), to records of any known layout.
+    """Adds ``layout``, the name of the layout, and ``turns``, an array of (role, text), to records of any known layout.
 
     ``record`` None: the frame's own schema chooses one mapping. Else the JSON text in that column is looked at record by
-    record: the known paths it holds are hashed, and the hash selects the mapping. An optional empty ``input`` gives no turn.
-    Records that are null, no JSON or of no known layout get an empty array.
+    record: the field paths it holds (keys count, also with null values, in any element of a list) are hashed, and the hash selects
+    the mapping. Null texts and roles are empty; an empty or missing ``input`` adds nothing to its turn; an empty list has no turns.
+    Records that are null, no JSON object or of no known layout have a null layout and no turns, so they can be told from others.
     """
+    none = F.array().cast(_TURNS)
     if record is None:
         x = layout_of(df.schema, layouts)
+        out = df.withColumn("layout", F.lit(x.name))
         if x.name == "rows":  # each row is a turn
-            return df.withColumn("turns", F.array(F.struct(F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))))
+            return out.withColumn("turns", F.array(F.struct(F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))))
         if x.many:
             top, role, text = x.many
-            return df.withColumn("turns", F.coalesce(_listed(F.col(top), role, text), F.array().cast("array<struct<role:string,text:string>>")))
-        return df.withColumn("turns", _spread([(r, F.col(p)) for r, p in x.turns]))
-    layouts = tuple(x for x in layouts if x.name != "rows")
-    paths = sorted({p for x in layouts for p in x.paths})
-    at = {p: F.get_json_object(F.col(record), "$." + p.replace("[]", "[0]")) for p in paths}
-    have = F.array_join(F.filter(F.array(*[F.when(at[p].isNotNull(), F.lit(p)) for p in paths]), lambda p: p.isNotNull()), "\n")
-    mark, out = F.xxhash64(have), F.array().cast("array<struct<role:string,text:string>>")
-    for x in layouts:
+            return out.withColumn("turns", F.coalesce(_listed(F.col(top), role, text), none))
+        return out.withColumn("turns", _spread([(r, F.col(p)) for r, p in x.turns]))
+    layouts, json = tuple(x for x in layouts if x.name != "rows"), F.col(record)
+    have = record_paths(json, layouts)
+    layout, turns = F.lit(None).cast("string"), none
+    for x in reversed(by_size(layouts)):
+        own = F.array_join(F.array_sort(F.array_intersect(have, F.array(*[F.lit(p) for p in x.paths]))), "\n")
         if x.many:
             top, role, text = x.many
-            got = F.from_json(F.col(record), f"struct<{top}:array<struct<`{role}`:string,`{text}`:string>>>")[top]
-            turns = _listed(got, role, text)
+            items = F.from_json(F.get_json_object(json, f"$.{top}"), f"array<struct<`{role}`:string,`{text}`:string>>")
+            said = F.coalesce(_listed(items, role, text), none)
         else:
-            turns = _spread([(r, at[p]) for r, p in x.turns])
-        out = F.when(mark == F.lit(fingerprint(x.paths)), turns).otherwise(out)
-    return df.withColumn("turns", out)
+            said = _spread([(r, F.get_json_object(json, f"$.{p}")) for r, p in x.turns])
+        fits = F.coalesce(F.xxhash64(own) == F.lit(fingerprint(x.paths)), F.lit(False))
+        layout, turns = F.when(fits, F.lit(x.name)).otherwise(layout), F.when(fits, said).otherwise(turns)
+    return df.withColumns({"layout": layout, "turns": turns})
+
+
+_TURNS = "array<struct<role:string,text:string>>"
+
+
+def record_paths(json: Column, layouts: tuple[Layout, ...]) -> Column:
+    """The field paths of a JSON object: its keys, and the keys in any element of the lists that layouts know. Null if it is no object."""
+
+    def inside(top: str) -> Column:
+        items = F.from_json(F.get_json_object(json, f"$.{top}"), "array<map<string,string>>")
+        keys = F.flatten(F.transform(F.filter(items, lambda m: m.isNotNull()), F.map_keys))
+        return F.coalesce(F.transform(keys, lambda k: F.concat(F.lit(f"{top}[]."), k)), F.array().cast("array<string>"))
+
+    return F.array_distinct(F.concat(F.json_object_keys(json), *[inside(t) for t in sorted({x.many[0] for x in layouts if x.many})]))
+
+
+def unknown_layouts(df: DataFrame, record: str, layouts: tuple[Layout, ...] = LAYOUTS) -> DataFrame:
+    """(paths, n): the records without a known layout, counted by their field paths (null: no JSON object)."""
+    lists = tuple(x for x in layouts if x.name != "rows")
+    lost = canonical_turns(df.select(F.col(record).alias("record")), "record", layouts).where("layout is null")
+    return lost.groupBy(F.array_join(F.array_sort(record_paths(F.col("record"), lists)), "\n").alias("paths")).agg(F.count("*").alias("n"))
 
 
 def _listed(items: Column, role: str, text: str) -> Column:
