@@ -23,6 +23,8 @@ from pyspark.sql import functions as F
 from biblake.llm.base import Recent, batch, over_batches, slices
 
 TOKENIZER = "word_bpe_49k.json"
+#: Words and chunks of more letters (links, encoded data) are worked out each time: the memo is bounded in bytes, not only in entries.
+LONG = 64
 PRINTABLE = re.compile("[!-~]*").fullmatch
 SEPARATORS = re.compile("[\x1c-\x1f]")
 
@@ -96,33 +98,27 @@ class Tokens:
         self.blob = np.frombuffer(b"".join(raw), np.uint8)
         self.offset = np.concatenate([[0], np.cumsum([len(x) for x in raw])])
         self.names = [str(i) for i in self.ids]
-        self.words, self.chunks = Recent(self._word, cache), Recent(self._chunk, cache)
+        self.words, self.chunks = Recent(self._word, cache, LONG), Recent(self._chunk, cache, LONG)
         self.allowed = Recent(self._allowed, cache)
 
-    def _allowed(self, pair: tuple[int, int]) -> bool:
-        """Whether two tokens can stand side by side: undoing merges from both sides, no pair over the border merges earlier."""
-        a, b = pair
-        pairs, split, limit = self.pairs, self.split, len(self.ids)
+    def _spine(self, token: int, side: int) -> list[tuple[int, int]]:
+        """The tokens that lie at one end of a token (0: its start, 1: its end) as it is made, from itself inwards, each with the rank of the
+        merge that takes it up."""
+        out, until = [], len(self.ids)
         while True:
-            joined = pairs.get((a, b))
-            if joined is not None and joined < limit:
-                return False
-            if a > b:
-                limit = a
-                a = split[a][1]
-                if a == limit:
-                    limit = b + 1
-                    b = split[b][0]
-                    if b + 1 == limit:
-                        return True
-            else:
-                limit = b + 1
-                b = split[b][0]
-                if b + 1 == limit:
-                    limit = a
-                    a = split[a][1]
-                    if a == limit:
-                        return True
+            out.append((token, until))
+            if token < self.n_base:
+                return out
+            token, until = self.split[token][side], token
+
+    def _allowed(self, pair: tuple[int, int]) -> bool:
+        """Whether two tokens can stand side by side: no merge over the border comes before both its ends are taken up by their own sides.
+
+        Of merges of one rank the leftmost is done first, so one that takes up the right end at the same time comes too late.
+        """
+        left, right = self._spine(pair[0], 1), self._spine(pair[1], 0)
+        over = ((self.pairs.get((x, y)), u, v) for x, u in left for y, v in right)
+        return not any(z is not None and z < u and z <= v for z, u, v in over)
 
     def _longest(self, word: str) -> list[int]:
         """For each place the rank of the longest token that starts there, -1 for none."""
@@ -219,7 +215,7 @@ _OUT = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256
 def encode_documents(documents: DataFrame, path: str | None = None, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(key, ids): the token ids of every row's whole text as array<int>. One pass, no exchange.
 
-    ``path`` names the tokenizer file on every executor. A null or empty text has no ids; rows that repeat repeat.
+    ``path`` names the tokenizer file on every executor. A null or empty text has no ids; rows that repeat repeat; an empty table gives none.
     """
     path = path or default_path()
     kind = documents.schema[key].dataType.simpleString()

@@ -18,8 +18,9 @@ from pyspark.sql import functions as F
 from biblake.llm.base import batch, over_batches, over_rows, slices
 
 BINS = 1 << 13
-#: The classifier is fitted to about this many labelled documents in all, spread over the languages (a hash of the id chooses).
-SAMPLE = 1600
+#: The classifier is fitted to this many labelled texts at most, spread over the languages (a hash of id and text chooses), and to the
+#: languages of the most documents, this many at most.
+SAMPLE, LANGUAGES = 1600, 200
 SCALE, RIDGE = 4.0, 0.3
 AMBIGUOUS = 0.10
 
@@ -104,26 +105,32 @@ def held_out(key: Column) -> Column:
     return F.coalesce(F.crc32(key.cast("string")) % 5 == 0, F.lit(True))
 
 
-def train(documents: DataFrame, sample: int = SAMPLE) -> Model:
+def train(documents: DataFrame, sample: int = SAMPLE, languages: int = LANGUAGES) -> Model:
     """Fits the codes' classifiers to a hash-chosen sample of the labelled documents that are not held out.
 
-    The languages are counted over the whole table; what comes to the driver is bounded by ``sample`` rows of features.
+    The languages are counted over the whole table. What comes to the driver is bounded: by ``languages`` counts and ``sample`` rows of
+    features, those of the smallest hashes; rows that repeat an id and a text are learned from once.
     """
     rows = documents.where(F.col("lang").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", "text", "lang")
-    counts = {r.lang: r.n for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}
+    counts = {r.lang: r.n for r in rows.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(languages).collect()}
     if not counts:
         return fit(np.zeros((0, BINS), np.float32), [])
-    each = max(20, sample // len(counts))
+    each = max(2, sample // len(counts))
     chance = F.element_at(F.create_map(*[x for k, n in sorted(counts.items()) for x in (F.lit(k), F.lit(min(1.0, each / n)))]), F.col("lang"))
-    some = rows.where(F.pmod(F.xxhash64(F.lit("language"), "doc_id"), F.lit(1 << 20)) < chance * F.lit(1 << 20))
-    out = pa.schema([("doc_id", pa.int64()), ("lang", pa.string()), ("x", pa.binary())])
+    h = F.xxhash64(F.lit("language"), "doc_id", "text")
+    drawn = rows.withColumn("h", h).where(F.pmod("h", F.lit(1 << 20)) < chance * F.lit(1 << 20))
+    out = pa.schema([("doc_id", pa.int64()), ("lang", pa.string()), ("h", pa.int64()), ("x", pa.binary())])
 
     def work(batches):
+        seen: set[tuple[str, int]] = set()
         for b in slices(batches):
+            new = [i for i, k in enumerate(zip(b.column(2).to_pylist(), b.column(3).to_pylist())) if k not in seen and not seen.add(k)]
+            b = b.take(pa.array(new, pa.int64()))
             x, ok = features(b.column(1).to_pylist())
-            yield batch(out, [b.column(0), b.column(2), [r.astype(np.float16).tobytes() if k else None for r, k in zip(x, ok)]])
+            yield batch(out, [b.column(0), b.column(2), b.column(3), [r.astype(np.float16).tobytes() if k else None for r, k in zip(x, ok)]])
 
-    got = sorted((r for r in over_batches(some.select(F.col("doc_id").cast("bigint"), "text", "lang"), work, "doc_id bigint, lang string, x binary").collect() if r.x is not None), key=lambda r: (r.doc_id, r.x))
+    made = over_batches(drawn.select(F.col("doc_id").cast("bigint"), "text", "lang", "h"), work, "doc_id bigint, lang string, h bigint, x binary").where("x is not null")
+    got = made.dropDuplicates(["lang", "h"]).orderBy("h", "lang").limit(sample).collect()
     return fit(np.array([np.frombuffer(r.x, np.float16) for r in got], np.float32).reshape(-1, BINS), [r.lang for r in got])
 
 
