@@ -249,6 +249,38 @@ def test_chat_layouts(spark):
         chat.layout_of(df.schema)
 
 
+def test_chat_records_are_not_lost(spark):
+    """Null contents, further fields and fields of two layouts leave a record its turns; what has no layout is named."""
+    data = [
+        '{"messages":[{"role":"user","content":null},{"role":"assistant","content":"d"}]}',
+        '{"messages":[{"role":"user"},{"content":"d"}]}',
+        '{"prompt":"p","response":null}',
+        '{"prompt":"p","response":"r","input":"unrelated"}',
+        '{"prompt":"p","response":"r","completion":"c"}',
+        '{"instruction":"i","input":null,"output":"o"}',
+        '{"messages":[]}',
+        '{"messages":{"role":"user"}}',
+        '{"what":1}',
+        "[1]",
+    ]
+    df = spark.createDataFrame([(i, x) for i, x in enumerate(data)], "i int, j string")
+    got = {r.i: (r.layout, [tuple(t) for t in r.turns]) for r in chat.canonical_turns(df, "j").collect()}
+    assert got[0] == ("messages", [("user", ""), ("assistant", "d")]) and got[1] == ("messages", [("user", ""), ("", "d")])
+    assert got[2] == ("prompt_response", [("user", "p"), ("assistant", "")]) and got[3] == ("prompt_response", [("user", "p"), ("assistant", "r")])
+    assert got[4] == ("prompt_response", [("user", "p"), ("assistant", "r")]) and got[5] == ("instruction_input", [("user", "i"), ("assistant", "o")])
+    assert all(got[i] == (None, []) for i in (6, 7, 8, 9))
+    assert {tuple(r) for r in chat.unknown_layouts(df, "j").collect()} == {("messages", 2), ("what", 1), (None, 1)}
+    wide = spark.createDataFrame([("p", "r", "c", "x")], "prompt string, response string, completion string, input string")
+    assert chat.layout_of(wide.schema).name == "prompt_response"
+
+
+def test_chat_goes_through_the_fingerprint(spark, small, monkeypatch):
+    """Without the fingerprint no layout is found and the query fails."""
+    monkeypatch.setattr(chat, "fingerprint", lambda paths, n=itertools.count(): next(n))
+    with pytest.raises(ValueError):
+        Q.queries()["op4_chat"](spark, small)
+
+
 def test_chat_query_maps_by_schema(spark):
     """The query takes a table of any known layout and gives the same digests as for its rows by turn."""
     rows = spark.createDataFrame([(1, 0, "user", "a"), (1, 1, "assistant", "b: c"), (2, 0, "user", None), (2, 1, "assistant", "###")], "conv_id long, turn long, role string, text string")
@@ -475,6 +507,21 @@ def test_mixing(docs, rows):
     assert sorted(got) == sorted(mixing.mix(docs.repartition(7)).collect())
 
 
+def test_mixing_ties(spark):
+    """Rows that are equal share what is left of their source's budget, each source meets its target to the word."""
+    rows = [(1, "w", None, x, 1) for x in "ab" for _ in range(500)]
+    df = spark.createDataFrame(rows, DOCS).repartition(7)
+    got = mixing.mix(df).collect()
+    for source in "ab":
+        mine = [r for r in got if r.source == source]
+        assert sum(r.taken for r in mine) == round(mine[0].target) and {r.taken for r in mine} <= {0, 1, 2, 3} and max(r.taken for r in mine) - min(r.taken for r in mine) <= 1
+    kept = {r.source: r.n for r in mixing.mixed_documents(df).groupBy("source").agg(F.count("*").alias("n")).collect()}
+    assert kept == {"a": 714, "b": 286}
+    long = spark.createDataFrame([(1, "u v w", None, x, 1) for x in "ab" for _ in range(100)], DOCS)
+    got = mixing.mix(long).groupBy("source").agg(F.sum("taken").alias("n"), F.max("target").alias("t")).collect()
+    assert all(r.n == round(r.t) for r in got)
+
+
 def test_mixing_caps_and_odd(spark, odd, none):
     data = [(i, "w " * n, None, s, 0) for i, (n, s) in enumerate([(10, "a"), (500, "b"), (500, "c"), (5, None), (3, "d"), (0, "e")])]
     df = spark.createDataFrame(data, DOCS)
@@ -485,7 +532,8 @@ def test_mixing_caps_and_odd(spark, odd, none):
     out = mixing.mixed_documents(odd)
     assert out.columns == odd.columns
     same = spark.createDataFrame([(7, "a b c", None, "s", 5)] * 40 + [(1, "x y", None, "t", 3)], DOCS)
-    assert abs(sum(r.taken for r in mixing.mix(same).collect()) - 122) <= 20  # half a word for each of the rows that share
+    got = mixing.mix(same).collect()
+    assert sum(r.taken for r in got) == sum(round(t) for t in {r.source: r.target for r in got}.values())
 
 
 # 9 licenses
