@@ -461,6 +461,20 @@ def test_chains():
             assert abs(max(map(value, found)) - max(score.values())) < 1e-9
 
 
+def test_common_subsequence():
+    """Against the table of lengths, worked out number by number."""
+    r = random.Random(4)
+    for _ in range(300):
+        a, b = ([r.randrange(r.choice((2, 5, 30))) for _ in range(r.randrange(40))] for _ in "ab")
+        size = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
+        for i, x in enumerate(a):
+            for j, y in enumerate(b):
+                size[i + 1][j + 1] = size[i][j] + 1 if x == y else max(size[i][j + 1], size[i + 1][j])
+        keep = passages.common(np.array(a, np.int64), np.array(b, np.int64))
+        rest = iter(b)
+        assert keep.sum() == size[-1][-1] and all(any(x == y for y in rest) for x, k in zip(a, keep) if k)
+
+
 def test_word_hashes():
     text = "Ab  cD\n\tab é z " * 500
     whole = base.word_hashes(text)
