@@ -154,6 +154,15 @@ def sql() -> dict[str, str]:
             SELECT 'row' AS scope, outcome, count(*) AS n FROM row_o GROUP BY outcome UNION ALL SELECT 'cluster', outcome, count(*) FROM co GROUP BY outcome""".replace(
             f"SELECT comp.doc_id, {_OUTCOME}", f"SELECT comp.doc_id, {_OUTCOME.replace('declared', 'cm.declared')}"
         ).replace(", (SELECT 1))", ")"),
+        "outcome_targets": f"""WITH RECURSIVE {_SPLIT},{_closure('cl', 'inp_ids')},
+            comp AS (SELECT inp.doc_id, declared AS own, coalesce(comp, inp.doc_id) AS comp FROM inp LEFT JOIN cl ON cl.doc_id = inp.doc_id),
+            said AS (SELECT comp, arg_min(own, doc_id) FILTER (WHERE own IS NOT NULL) AS first_said FROM comp GROUP BY comp),
+            mine AS (SELECT doc_id, comp, coalesce(own, first_said) AS declared FROM comp JOIN said USING (comp)),
+            touched AS (SELECT comp, eid, true AS store FROM comp JOIN inp_ids i USING (doc_id) JOIN idx USING (id) UNION SELECT comp, own, false FROM comp WHERE own IS NOT NULL),
+            per AS (SELECT mine.doc_id, declared, count(DISTINCT eid) FILTER (WHERE store) AS m, min(eid) FILTER (WHERE store) AS only_one, count(*) FILTER (WHERE eid <> declared) AS others FROM mine LEFT JOIN touched USING (comp) GROUP BY mine.doc_id, declared),
+            sizes AS (SELECT comp, count(DISTINCT id) AS n_ids FROM comp LEFT JOIN inp_ids USING (doc_id) GROUP BY comp),
+            o AS (SELECT doc_id, declared, only_one, {_OUTCOME} AS outcome FROM per JOIN comp USING (doc_id) JOIN sizes USING (comp))
+            SELECT doc_id, outcome, CASE WHEN outcome >= 4 THEN declared WHEN outcome = 2 THEN only_one END AS target FROM o""",
         "conflict_ledger": f"""WITH RECURSIVE {_SPLIT},{_ROW} SELECT 'batch-1' AS batch, doc_id, outcome, CASE WHEN outcome = 6 THEN declared END AS kept, CAST(len(rivals) AS INT) AS n_rivals FROM row_o WHERE outcome IN (3, 6)""",
         "merge_first_wins": f"""WITH {_DOC} SELECT 'sha:' || md5(text) AS sha, arg_min(source, doc_id % 2 * 1000000000 + doc_id) FILTER (WHERE doc_id % 3 <> 0) AS source, arg_min(lang, doc_id % 2 * 1000000000 + doc_id) AS lang FROM d1 GROUP BY 1""",
         "contributor_order": f"""WITH g AS (SELECT *, l_returnflag = 'A' AS stored, row_number() OVER (PARTITION BY l_orderkey, l_suppkey, l_returnflag = 'A' ORDER BY {_AT}) AS k FROM lineitem),

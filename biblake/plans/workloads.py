@@ -122,8 +122,15 @@ def six_outcomes(spark, sf):
 
 def conflict_ledger(spark, sf):
     new, index = _split_documents(spark, sf)
-    ledger = resolve.conflicts(resolve.decide(new, index, "row"), "batch-1")
-    return ledger.select("batch", F.col("comp").alias("doc_id"), "outcome", "kept", F.size("rivals").alias("n_rivals"))
+    ledger = resolve.conflicts(resolve.decide(new, index, "row"), new, index, "batch-1")
+    one = ledger.groupBy("batch", F.col("comp").alias("doc_id"), "outcome")
+    return one.agg(F.max(F.when(F.col("kept"), F.col("eid"))).alias("kept"), F.sum((~F.col("kept")).cast("int")).cast("int").alias("n_rivals"))
+
+
+def outcome_targets(spark, sf):
+    """What each input document is merged into: its own declared entity, else that of the first in its cluster, else the one that owns its ids."""
+    new, index = _split_documents(spark, sf)
+    return resolve.decide(new, index, "cluster").select(F.col("key").alias("doc_id"), "outcome", "target")
 
 
 def merge_first_wins(spark, sf):
@@ -425,7 +432,7 @@ def issues_between(spark, sf):
 
 NAMES = (
     "overview_counts top_publishers_by_venues top_publishers_by_publications top_venues_by_publications types_by_publications publications_per_year authors_per_publication "
-    "type_year_rollup publisher_type_cube publisher_type_pivot venue_title_key coverage_publications coverage_documents future_dates labelled_quality dedup_clusters_documents six_outcomes conflict_ledger merge_first_wins "
+    "type_year_rollup publisher_type_cube publisher_type_pivot venue_title_key coverage_publications coverage_documents future_dates labelled_quality dedup_clusters_documents six_outcomes outcome_targets conflict_ledger merge_first_wins "
     "contributor_order role_chain containment_merge people_by_name mint_eids history_resolution date_repair vol_issue_repair title_case title_case_documents space_hyphen id_checks "
     "exists_check page_titles triples_count triples_roundtrip snapshots deltas state_at state_at_forward entity_history query_over_time provenance_completeness snapshot_graphs value_as_of_click state_at_clicks delta_texts citation_unify citation_counts "
     "baseline_raw_citations baseline_remote_calls baseline_title_identity baseline_full_copies baseline_identified_only baseline_renumbered fill_from_web format_bytes lookup_ids "

@@ -65,6 +65,12 @@ def test_cluster_scope_uses_mates(spark):
     assert set(got.values()) == {(6, "br/0601")}
 
 
+def test_each_declared_entity_keeps_its_rows(spark):
+    """Two rows that share an id and declare different entities stay with what they declare; a row that declares none follows the first."""
+    got = decided(spark, [(1, ["a:1"], "br/0601"), (2, ["a:1", "b:1"], "br/0602"), (3, ["b:1"], None)], [("y:1", "br/0601"), ("z:1", "br/0602")])
+    assert got == {1: (6, "br/0601"), 2: (6, "br/0602"), 3: (6, "br/0601")}
+
+
 def test_mint_is_dense_and_continues(spark):
     df = spark.range(1000).select(F.col("id").alias("key"))
     first = mint.mint(df, "br", shards=3)
@@ -250,7 +256,7 @@ def test_conflicts_are_reused(spark):
     first = C.curate(rows, index, stored, last=last)
     assert [(r.eid, r.outcome) for r in first.decided.collect()] == [("br/0603", 3)]
     ledger = first.conflicts.checkpoint()
-    assert [(r.outcome, r.rivals) for r in ledger.collect()] == [(3, ["br/0601", "br/0602"])]
+    assert sorted((r.outcome, r.eid, r.kept) for r in ledger.collect()) == [(3, "br/0601", False), (3, "br/0602", False), (3, "br/0603", True)]
     assert {tuple(r) for r in first.id_index.collect()} == {tuple(r) for r in index.collect()}
     again = C.curate(rows, first.id_index, C.apply(first, stored), last=spark.createDataFrame([("060", 3)], "prefix string, last long"), ledger=ledger)
     assert [r.eid for r in again.decided.collect()] == ["br/0603"]
@@ -263,6 +269,58 @@ def test_agents(spark):
     assert got["orcid:0000-0002-1825-0097"] == got["viaf:9"] != got["registry:1"] and {r["last"] for r in counters.collect()} == {2}
 
 
+def test_people_in_curation(spark):
+    """Names are capitalised; a namesake without an identifier is the one with it; who has two identifiers is one."""
+    rows = spark.createDataFrame(
+        [
+            line(1, id="doi:10.1000/a", author="Lee, Ann; van roe, bob", editor="poe, cy [viaf:3]"),
+            line(2, id="doi:10.1000/a", author="lee, ann [orcid:0000-0002-1825-0097]; Doe, D [viaf:1 registry:2]", publisher="acme press [registry:9]"),
+            line(3, id="doi:10.1000/a", author="Doe, Dan [registry:2]; Poe, Cy"),
+        ],
+        SCHEMA,
+    )
+    none = spark.createDataFrame([], ", ".join(f"{c} string" for c in ("eid", *COLUMNS)))
+    r = C.curate(rows, spark.createDataFrame([], "id string, eid string"), none).table.first()
+    assert r.author == "Lee, Ann [orcid:0000-0002-1825-0097]; Van Roe, Bob; Doe, D [registry:2 viaf:1]; Poe, Cy"
+    assert r.editor == "Poe, Cy [viaf:3]" and r.publisher == "Acme Press [registry:9]"
+
+
+def test_containment_in_curation(spark):
+    """Volumes and issues are one under one venue only; a second batch finds them again."""
+    rows = spark.createDataFrame(
+        [
+            line(1, id="doi:10.1000/a", venue="J [issn:1588-2861]", volume="3", issue="1"),
+            line(2, id="doi:10.1000/b", venue="j [issn:1588-2861]", volume="3", issue="2"),
+            line(3, id="doi:10.1000/c", venue="K [issn:0138-9130]", volume="3", issue="1"),
+            line(4, id="doi:10.1000/d", venue="L", issue="1"),
+            line(5, id="doi:10.1000/e", venue="J [issn:1588-2861]"),
+            line(6, id="doi:10.1000/f"),
+        ],
+        SCHEMA,
+    )
+    none = spark.createDataFrame([], ", ".join(f"{c} string" for c in ("eid", *COLUMNS)))
+    first = C.curate(rows, spark.createDataFrame([], "id string, eid string"), none)
+    named = {r.id: r.eid for r in first.table.collect()}
+    up = {r.eid: r.part_of for r in first.containers.collect()}
+    at = {r.eid: r.part_of for r in first.placed.collect()}
+    a, b, c, d, e = (at[named[f"doi:10.1000/{x}"]] for x in "abcde")
+    assert len({a, b, c, d}) == 4 and up[a] == up[b] != up[c] and up[up[a]] == e == {r.id: r.eid for r in first.venues.collect()}["issn:1588-2861"]
+    assert named["doi:10.1000/f"] not in at
+    known = C.Known(last=first.counters, agents=first.agents, venues=first.venues, containers=first.containers)
+    again = C.curate(rows, first.id_index, first.table.checkpoint(), known=known)
+    assert {tuple(x) for x in again.placed.collect()} == {tuple(x) for x in first.placed.collect()} and again.containers.count() == first.containers.count()
+
+
+def test_history_in_curation(spark):
+    """An identifier of a removed entity still leads to it, or to what it was merged into."""
+    index = spark.createDataFrame([("a:1", "br/0601", "2020-01-01 00:00:00"), ("b:1", "br/0602", "2020-01-01 00:00:00"), ("b:1", "br/0603", None)], "id string, eid string, to string").select("id", "eid", F.col("to").cast("timestamp").alias("valid_to"))
+    rows = spark.createDataFrame([line(1, id="a:1", title="x"), line(2, id="b:1", title="y")], SCHEMA)
+    none = spark.createDataFrame([], ", ".join(f"{c} string" for c in ("eid", *COLUMNS)))
+    merges = spark.createDataFrame([("br/0601", "br/0604")], "loser string, survivor string")
+    got = C.curate(rows, index, none, known=C.Known(merges=merges))
+    assert {r.title: r.eid for r in got.table.collect()} == {"X": "br/0604", "Y": "br/0603"}
+
+
 def test_sql_search_and_metrics(spark, small):
     from biblake.functions.register import register_search
     from biblake.operators import metrics
