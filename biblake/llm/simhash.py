@@ -9,6 +9,8 @@ members is joined as a whole.
 
 from __future__ import annotations
 
+import math
+import random
 from itertools import combinations, islice
 
 import numpy as np
@@ -144,11 +146,20 @@ class GrayIndex:
         return labels
 
 
+def _blocks(bits: list[int], n: int) -> list[int]:
+    """Masks that part these bits into n blocks of like size."""
+    edges = [round(len(bits) * i / n) for i in range(n + 1)]
+    return [sum(1 << b for b in bits[s:e]) for s, e in zip(edges, edges[1:])]
+
+
 def block_masks(limit: int = LIMIT, blocks: int = BLOCKS) -> list[int]:
     """Masks of all choices of ``blocks - limit`` blocks; two words within ``limit`` bits agree under one of them at least."""
-    edges = [round(64 * i / blocks) for i in range(blocks + 1)]
-    parts = [((1 << e) - 1) ^ ((1 << s) - 1) for s, e in zip(edges, edges[1:])]
-    return [sum(c) for c in combinations(parts, blocks - limit)]
+    return [sum(c) for c in combinations(_blocks(list(range(64)), blocks), blocks - limit)]
+
+
+def finer_masks(mask: int, limit: int = LIMIT) -> list[int]:
+    """The mask with each of ``limit`` + 1 blocks of the bits that it leaves out; words that agree under it and are within the limit agree under one."""
+    return [mask | m for m in _blocks([b for b in range(64) if not mask >> b & 1], limit + 1)]
 
 
 def _signed(x: int) -> int:
@@ -168,8 +179,11 @@ def links(distinct: DataFrame, limit: int = LIMIT, blocks: int | None = None) ->
     """
     n = parallelism(distinct.sparkSession)
     blocks = blocks or blocks_for(distinct.count(), limit)
-    cells = distinct.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("v")) for i, m in enumerate(block_masks(limit, blocks))]))).select("fp", "rep", "cell.t", "cell.v")
-    parts = split_hot(cells, ["t", "v"], F.xxhash64("fp"), PART).withColumn("rank", gray_rank(F.col("fp")))
+    masks = block_masks(limit, blocks)
+    cells = distinct.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("v")) for i, m in enumerate(masks)]))).select("fp", "rep", "cell.t", "cell.v")
+    finer = F.element_at(F.array(*[F.array(*[F.col("fp").bitwiseAND(F.lit(_signed(x))) for x in finer_masks(m, limit)]) for m in masks]), F.col("t") + 1)
+    parts = split_hot(cells, ["t", "v"], F.xxhash64("fp"), PART, finer=finer).withColumn("rank", gray_rank(F.col("fp")))
+    parts = parts.withColumn("v", F.when(F.col("fine").isNull(), F.col("v")).otherwise(F.xxhash64("v", "fine"))).withColumn("t", F.when(F.col("fine").isNull(), F.col("t")).otherwise(-1 - F.col("t")))
     dealt = parts.repartition(n, "t", "v", "part_a", "part_b").sortWithinPartitions("t", "v", "part_a", "part_b", "rank").select("t", "v", "part_a", "part_b", "fp", "rep")
     out = pa.schema([(x, pa.int64()) for x in ("a_rep", "a_fp", "b_rep", "b_fp")])
 
@@ -210,8 +224,10 @@ def digest(documents: DataFrame) -> DataFrame:
 
 
 #: Near copies by shingles: five words, a Jaccard similarity of 0.8, found with 128-bit SimHashes that differ in at most 30 bits
-#: (about 19 +- 4 do at that similarity, 64 +- 6 for texts that share nothing), which meet with this probability.
-ALIKE_WORDS, ALIKE, WIDE_LIMIT, MEET = 5, 0.8, 30, 0.98
+#: (about 19 +- 4 do at that similarity, 64 +- 6 for texts that share nothing), which meet with this probability, taken over that spread.
+ALIKE_WORDS, ALIKE, WIDE_LIMIT, MEET, APART = 5, 0.8, 30, 0.98, 0.15
+#: Documents in candidate pairs whose ids are broadcast, to take only their texts into the exchange.
+FEW = 1_000_000
 
 
 def wide_simhash(hashes: np.ndarray) -> tuple[int, int]:
@@ -232,13 +248,19 @@ def wide_simhash(hashes: np.ndarray) -> tuple[int, int]:
     return tuple(np.packbits(votes * 2 > len(h), bitorder="little").view(np.int64).tolist())
 
 
+def meeting(bits: int, count: int) -> float:
+    """How likely two documents at the least similarity meet in one of ``count`` buckets of ``bits`` random bits, over the spread of their distance."""
+    total = 0.0
+    for d in range(WIDE_LIMIT + 1):
+        share = math.comb(128, d) * APART**d * (1 - APART) ** (128 - d)
+        total += share * (1 - (1 - (1 - d / 128) ** bits) ** count)
+    return total
+
+
 def bands_for(n: int, seed: int = 17) -> list[tuple[int, int]]:
     """(word, mask) pairs: random bits of one of the two words, as many as make small buckets of n documents, as often as MEET needs."""
-    import math
-    import random
-
     bits = max(8, min(26, int(math.log2(max(n, 2) / 24)) if n > 24 else 8))
-    count = math.ceil(math.log(1 - MEET) / math.log(1 - 0.85**bits))
+    count = next(c for c in range(1, 1 << 12) if meeting(bits, c) >= MEET)
     rng = random.Random(seed)
     return [(i % 2, _signed(sum(1 << b for b in rng.sample(range(64), bits)))) for i in range(count)]
 
@@ -252,36 +274,39 @@ def _shingles(text: Column) -> tuple[Column, Column]:
 
 
 def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(a, b): documents whose five-word shingles overlap by 0.8 or more, b before a. marks: (key, w0, w1) of the documents to compare.
+    """(a, b): documents whose five-word shingles overlap by 0.8 or more, b before a. marks: (key, w0, w1) of the documents to compare, and
+    ``label`` if some of them are one group already.
 
     The pairs connect all groups, they are not all pairs. In each bucket a document is paired with the nearest ones before it that are
     within the limit, not tried and not in its group yet: one in the first round, twice as many in each further one, until no
-    document has any left. So a group of k near copies gives k - 1 pairs a bucket. Pairs are checked on the texts' whole shingle sets.
+    document has any left. So a group of k near copies gives k - 1 pairs a bucket. A document that found none is no longer asked, and buckets
+    in which none is asked are left out. Pairs are checked on the texts' whole shingle sets.
     """
     n = parallelism(documents.sparkSession)
-    marks = marks.where((F.col("w0") != 0) | (F.col("w1") != 0))
+    marks = marks.where((F.col("w0") != 0) | (F.col("w1") != 0)).select("key", "w0", "w1", F.col("label" if "label" in marks.columns else "key").alias("group"))
     bands = bands_for(marks.count())
     out = pa.schema([("a", pa.int64()), ("b", pa.int64())])
     texts = documents.select(F.col(key).cast("bigint").alias("of"), F.col(text).alias("t"))
 
-    def candidates(marks: DataFrame, take: int) -> DataFrame:
-        """marks: (key, w0, w1, label, tried)."""
-        cells = marks.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col(f"w{w}").bitwiseAND(F.lit(m)).alias("v")) for i, (w, m) in enumerate(bands)]))).select("key", "w0", "w1", "label", "tried", "cell.t", "cell.v")
-        parts = split_hot(cells, ["t", "v"], F.xxhash64("key"), PART)
-        dealt = parts.repartition(n, "t", "v", "part_a", "part_b").sortWithinPartitions("t", "v", "part_a", "part_b", "key").select("t", "v", "part_a", "part_b", "key", "w0", "w1", "label", "tried")
+    def candidates(state: DataFrame, take: int) -> DataFrame:
+        """state: (key, w0, w1, label, tried, ask)."""
+        names = ["key", "w0", "w1", "label", "tried", "ask"]
+        cells = state.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col(f"w{w}").bitwiseAND(F.lit(m)).alias("v")) for i, (w, m) in enumerate(bands)]))).select(*names, "cell.t", "cell.v")
+        parts = split_hot(cells, ["t", "v"], F.xxhash64("key"), PART, F.max("ask") & (F.min("label") != F.max("label")))
+        dealt = parts.repartition(n, "t", "v", "part_a", "part_b").sortWithinPartitions("t", "v", "part_a", "part_b", "key").select("t", "v", "part_a", "part_b", *names)
 
         def nearest(batches):
             for g in grouped(batches, ["t", "v", "part_a", "part_b"]):
                 if g.num_rows < 2:
                     continue
-                ids, label = g.column("key").to_numpy(), g.column("label").to_numpy()
+                ids, label, ask = (g.column(c).to_numpy() for c in ("key", "label", "ask"))
                 x, y = (g.column(c).to_numpy().view(np.uint64) for c in ("w0", "w1"))
                 tried = g.column("tried").to_pylist()
                 later, earlier = [], []
                 for s in range(1, len(ids), 512):
                     e = min(s + 512, len(ids))
                     far = np.bitwise_count(x[s:e, None] ^ x[None, :e]).astype(np.int16) + np.bitwise_count(y[s:e, None] ^ y[None, :e])
-                    far[(np.arange(e)[None, :] >= np.arange(s, e)[:, None]) | (label[None, :e] == label[s:e, None])] = 999
+                    far[(np.arange(e)[None, :] >= np.arange(s, e)[:, None]) | (label[None, :e] == label[s:e, None]) | ~ask[s:e, None]] = 999
                     for i in np.flatnonzero(far.min(axis=1) <= WIDE_LIMIT).tolist():
                         near = np.flatnonzero(far[i] <= WIDE_LIMIT)
                         if tried[s + i]:
@@ -298,31 +323,39 @@ def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", tex
     def checked(found: DataFrame) -> DataFrame:
         """(a, b, alike)"""
         sides = found.select("a", "b", F.explode(F.array("a", "b")).alias("of"))
+        wanted = durable(sides.select("of").distinct())
+        some = texts.join(F.broadcast(wanted), "of", "left_semi") if wanted.count() <= FEW else texts
         ws, sets = _shingles(F.col("t"))
-        each = sides.join(texts, "of").select("a", "b", "of", ws.alias("ws")).select("a", "b", "of", sets.alias("set"))
+        each = sides.join(some, "of").select("a", "b", "of", ws.alias("ws")).select("a", "b", "of", sets.alias("set"))
         both = each.groupBy("a", "b").agg(F.max(F.when(F.col("of") == F.col("a"), F.col("set"))).alias("x"), F.max(F.when(F.col("of") == F.col("b"), F.col("set"))).alias("y"))
         shared = F.size(F.array_intersect("x", "y"))
         return both.select("a", "b", F.coalesce(shared >= ALIKE * (F.size("x") + F.size("y") - shared), F.lit(False)).alias("alike"))
 
     none = F.array().cast("array<bigint>")
     pairs, take = None, 1
-    state = marks.select("key", "w0", "w1", F.col("key").alias("label"), none.alias("tried"))
+    group = marks.select("key", "group")
+    state = marks.select("key", "w0", "w1", F.col("group").alias("label"), none.alias("tried"), F.lit(True).alias("ask"))
     while True:
-        found = durable(checked(candidates(state, take)))
-        if found.isEmpty():
+        maybe = durable(candidates(state, take))
+        if maybe.isEmpty():
             break
+        found = durable(checked(maybe))
         pairs, take = found if pairs is None else durable(pairs.union(found)), 2 * take
-        labels = connected_components(pairs.where("alike").select(F.col("a").alias("src"), F.col("b").alias("dst"))).select(F.col("node").alias("key"), F.col("component").alias("label"))
+        held = pairs.where("alike").join(rekeyed(group.withColumnRenamed("key", "a"), "a"), "a").withColumnRenamed("group", "src").join(rekeyed(group.withColumnRenamed("key", "b"), "b"), "b").withColumnRenamed("group", "dst")
+        labels = connected_components(held.select("src", "dst")).select(F.col("node").alias("group"), F.col("component").alias("label"))
         tried = pairs.where(~F.col("alike")).groupBy(F.col("a").alias("key")).agg(F.collect_set("b").alias("tried"))
-        state = durable(marks.select("key", "w0", "w1").join(rekeyed(labels, "key"), "key", "left").join(rekeyed(tried, "key"), "key", "left").select("key", "w0", "w1", F.coalesce("label", "key").alias("label"), F.coalesce("tried", none).alias("tried")))
-    return (found if pairs is None else pairs).where("alike").select("a", "b")
+        ask = found.select(F.col("a").alias("key")).distinct().withColumn("ask", F.lit(True))
+        state = marks.join(rekeyed(labels, "group"), "group", "left").join(rekeyed(tried, "key"), "key", "left").join(rekeyed(ask, "key"), "key", "left")
+        state = durable(state.select("key", "w0", "w1", F.coalesce("label", "group").alias("label"), F.coalesce("tried", none).alias("tried"), F.coalesce("ask", F.lit(False)).alias("ask")))
+    return (maybe.withColumn("alike", F.lit(False)) if pairs is None else pairs).where("alike").select("a", "b")
 
 
 def one_of_each(documents: DataFrame) -> DataFrame:
     """Of each group of documents the one with the smallest id. Groups are joined by links of at most 4 bits and by near copies.
 
-    Near copies overlap by 0.8 or more in five-word shingles; they are looked for among one document of each group of linked fingerprints.
-    Of rows that repeat an id, those of the kept fingerprint stay. Rows with a null id stay.
+    Near copies overlap by 0.8 or more in five-word shingles; they are looked for among one document of each different fingerprint, so a
+    document that is like any fingerprint of a group joins it. Of rows that repeat an id, those of the kept fingerprint stay. Rows with
+    a null id stay.
     """
     out = pa.schema([("key", pa.int64()), ("fp", pa.int64()), ("w0", pa.int64()), ("w1", pa.int64())])
 
@@ -336,9 +369,14 @@ def one_of_each(documents: DataFrame) -> DataFrame:
     marks = durable(over_batches(rows, work, "key bigint, fp bigint, w0 bigint, w1 bigint"))
     found = durable(_components(marks.select("key", "fp")))
     firsts = found.where("key = component_id").select("key").distinct()
-    first_marks = durable(marks.where("key is not null").groupBy("key").agg(F.min_by("w0", F.struct("fp", "w0", "w1")).alias("w0"), F.min_by("w1", F.struct("fp", "w0", "w1")).alias("w1")).join(firsts, "key", "left_semi"))
-    pairs = alike_pairs(documents, first_marks)
-    gone = connected_components(pairs.select(F.col("a").alias("src"), F.col("b").alias("dst"))).where("node != component").select(F.col("node").alias("key"))
+    one = marks.where("key is not null").groupBy("fp").agg(F.min(F.struct("key", "w0", "w1")).alias("m")).select("fp", "m.key", "m.w0", "m.w1")
+    named = found.where("key is not null").groupBy("fp").agg(F.min("component_id").alias("label"))
+    some = one.join(rekeyed(named, "fp"), "fp").groupBy("key").agg(F.min(F.struct("label", "w0", "w1")).alias("m")).select("key", "m.label", "m.w0", "m.w1")
+    some = durable(some)
+    pairs = alike_pairs(documents, some)
+    of = lambda c: some.select(F.col("key").alias(c), F.col("label").alias(f"{c}_group"))
+    edges = pairs.join(rekeyed(of("a"), "a"), "a").join(rekeyed(of("b"), "b"), "b")
+    gone = connected_components(edges.select(F.col("a_group").alias("src"), F.col("b_group").alias("dst"))).where("node != component").select(F.col("node").alias("key"))
     keep = firsts.join(gone, "key", "left_anti").union(found.where("key is null").select("key").distinct())
     whole = documents.select(whole_rows(documents).alias("doc"), F.col("doc_id").cast("bigint").alias("id"))
     return whole_again(whole.join(rekeyed(keep, "key"), F.col("id").eqNullSafe(F.col("key")), "left_semi"), "doc", documents.columns)
