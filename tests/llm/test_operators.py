@@ -32,8 +32,8 @@ def odd(spark):
     texts = [None, "", "  \n\t ", "one", long, "MIT License and the GNU General Public License", "repeat me please now " * 20, "repeat me please now " * 20, "ünï cödé ıİßΣς 中文 😀 <|endoftext|>", "123 !!! 456"]
     data = [(i, t, None if i % 3 else "en", None if i % 4 == 1 else f"s{i % 2}", len(t or "")) for i, t in enumerate(texts)]
     df = spark.createDataFrame([*data, data[6], (None, "no id here at all", None, None, 3)], DOCS)
-    clash = ("key", "h", "size", "fp", "edge", "times", "doc", "copy", "lang_pred", "score", "_told", "_new", "_spans", "rows", "x", "held", "part", "t", "of")
-    return df.select("*", *[F.lit(1).alias(c) for c in clash])
+    clash = ("a.b", "x`y", "key", "h", "size", "fp", "edge", "times", "doc", "copy", "lang_pred", "score", "_told", "_new", "_spans", "rows", "x", "held", "part", "t", "of")
+    return df.select("*", *[F.lit(1).alias(c) for c in clash])  # also a name with a dot and one with a back quote
 
 
 @pytest.fixture(scope="module")
@@ -490,6 +490,22 @@ def test_passages_odd(odd, none):
     assert out.columns == odd.columns and {r.doc_id for r in out.collect()} >= {None, 0, 1, 2, 3, 4, 5, 8, 9}
 
 
+def test_passages_of_rows_that_share_an_id(spark):
+    """Rows of one id are documents of their own; equal rows are one. A passage of pieces seen singly before is found whole."""
+    r = random.Random(12)
+    body = lambda n: [f"v{r.randrange(10**6)}" for _ in range(n)]
+    plant, one, two = body(200), body(30), body(30)
+    texts = [(1, body(50) + plant), (2, plant + body(100)), (2, body(60)), (2, body(60)), (3, body(20)), (4, body(40) + one + body(40)), (5, body(40) + two + body(40)), (6, body(30) + one + two), (7, one + two + body(30))]
+    texts.append(texts[2])
+    df = spark.createDataFrame([(d, " ".join(ws), None, None, 0) for d, ws in texts], DOCS)
+    got = sorted((x.doc_id, x.end_word - x.start_word, x.source_doc_id) for x in passages.passages(df).collect())
+    assert got == [(2, 200, 1), (7, 60, 6)]
+    left = sorted((x.doc_id, len(x.text.split())) for x in passages.deduplicated(df).collect())
+    assert left == sorted([(1, 250), (2, 100), (2, 60), (2, 60), (2, 60), (3, 20), (4, 110), (5, 110), (6, 90), (7, 30)])
+    alone = spark.createDataFrame([(d, " ".join(ws), None, None, 0) for d, ws in texts[5:9]], DOCS)
+    assert sorted((x.doc_id, x.end_word - x.start_word, x.source_doc_id) for x in passages.passages(alone).collect()) == [(7, 60, 6)]
+
+
 # 8 mixing
 
 
@@ -577,6 +593,50 @@ def test_license_templates(spark):
     assert licenses.spans(df, licenses.index_for(df)).where("label = 'lgpl'").first()["end"] == 5
 
 
+def brute_places(index, ws):
+    """Every start of every template, word by word."""
+    found = {}
+    for i, (t, tw, keys) in enumerate(index.templates):
+        starts, total = {}, sum(index.idf[w] for w in tw)
+        for s in range(-len(tw), len(ws)):
+            at = lambda p, d=0: 0 <= s + p + d < len(ws) and ws[s + p + d] == tw[p]  # noqa: B023, E731
+            if t.share >= 1:
+                ok, share = all(at(p) for p in range(len(tw))), 1.0
+            else:
+                anchored = any(at(p) and p in index.postings.get(tw[p], {}).get(i, ()) for p in range(len(tw)))
+                share = sum(index.idf[tw[p]] for p in range(len(tw)) if any(at(p, d) for d in range(-t.drift, t.drift + 1))) / total
+                ok = anchored and share >= t.share - 1e-9
+            part = ws[max(0, s - t.drift) : s + len(tw) + t.drift] if s + len(tw) + t.drift > 0 else []
+            if ok and all(any(part[j : j + len(k)] == k for j in range(len(part))) for k in keys):
+                starts[s] = share
+        if t.drift:
+            kept = []
+            for s in sorted(starts, key=lambda s: (-round(starts[s], 9), s)):
+                if all(abs(s - k) > t.drift for k in kept):
+                    kept.append(s)
+            starts = {s: starts[s] for s in kept}
+        found |= {(i, s): x for s, x in starts.items()}
+    return found
+
+
+def test_license_places_against_brute_force():
+    r = random.Random(9)
+    counts = {w: r.randrange(1, 900) for t in licenses.TEMPLATES for w in t.words}
+    index, hits = licenses.Index(1000, counts), 0
+    for _ in range(60):
+        ws = []
+        for _ in range(r.randrange(1, 4)):
+            tw = list(r.choice(licenses.TEMPLATES).words)
+            for _ in range(r.randrange(0, 1 + len(tw) // 8)):
+                k = r.randrange(len(tw))
+                tw[k : k + 1] = r.choice(([], [b"zz"], [tw[k], b"yy"], [r.choice(tw)]))
+            ws += [b"x"] * r.randrange(3) + tw
+        got, want = index.places(ws), brute_places(index, ws)
+        assert set(got) == set(want) and all(abs(got[k] - want[k]) < 1e-6 for k in got)
+        hits += len([k for k in got if not index.templates[k[0]][0].base])
+    assert hits > 60
+
+
 # 10 BPE
 
 
