@@ -125,7 +125,11 @@ def blocks(page: str | None) -> list[Block]:
 
 @lru_cache(50_000)
 def _word_slot(word: str) -> int:
-    return _slot("word", word, WORDS)
+    return _slot("word", word.strip(".,:;!?()\"'"), WORDS)
+
+
+def _many(text: str, letters: str) -> int:
+    return sum(map(text.count, letters))
 
 
 def inputs(page: list[Block]) -> np.ndarray:
@@ -136,13 +140,12 @@ def inputs(page: list[Block]) -> np.ndarray:
         row = x[i]
         row[list(b.path)] = 1.0
         ws = b.text.lower().split()
-        for w in ws[:40]:  # a look at the wording; the text itself is kept whole
-            row[PATHS + _word_slot(w.strip(".,:;!?()\"'"))] = 0.7
-        row[PATHS : PATHS + WORDS] /= math.sqrt(len(ws[:40]) or 1)
+        #: the root of each slot's share of all the block's words
+        row[PATHS : PATHS + WORDS] = np.sqrt(np.bincount([_word_slot(w) for w in ws], minlength=WORDS) / (len(ws) or 1))
         size = len(b.text)
         row[PATHS + WORDS :] = (
             math.log1p(size) / 6, math.log1p(len(ws)) / 5, min(1.0, b.linked / size), float(b.text[-1] in ".!?…\"”"),
-            min(2.0, sum(c in ".,;:" for c in b.text) / (len(ws) or 1)), sum(c.isdigit() for c in b.text[:200]) / min(200, size), i / n, math.log1p(n) / 6,
+            min(2.0, _many(b.text, ".,;:") / (len(ws) or 1)), _many(b.text, "0123456789") / size, i / n, math.log1p(n) / 6,
         )
     return x
 
@@ -275,6 +278,8 @@ class Writer:
         "side": ["Related articles", "Most read", "{s}", "Subscribe to our newsletter", "Follow us", "Popular tags", "Share this", "{s}"],
         "form": ["Your e-mail", "Subscribe", "Send", "Leave a comment", "Name", "{s}"],
         "head": ["{w} daily", "The {w} Times", "{s}", "Welcome to {w}"],
+        "meta": ["Posted on {y}-04-02 by {w}", "By {w} {w}", "{w} {w}, 12 May {y}", "Published {y}/07/09", "Filed under {w}, {w}", "Written by {w} on March 3, {y}", "5 min read"],
+        "foot": ["Copyright {y} {w}", "Copyright {y} Webmaster", "Last updated {y}", "(c) {y} {w}", "Webmaster: {w}@example.com", "Best viewed at 800x600", "All rights reserved", "You are visitor number {y}"],
     }
     NAMES = {
         "nav": ["nav", "menu", "navbar", "navigation", "main-menu", "breadcrumb", "topnav", "links", "toc"],
@@ -285,6 +290,8 @@ class Writer:
         "side": ["sidebar", "aside", "widget", "related", "social", "share", "newsletter", "recommended", "tags"],
         "form": ["form", "search", "login", "subscribe", "signup"],
         "head": ["header", "site-header", "masthead", "top", "branding", "logo"],
+        "meta": ["meta", "byline", "post-meta", "date", "author", "postinfo", "entry-meta", "posted"],
+        "wrap": ["wrap", "wrapper", "page", "container", "outer", "site", "layout"],
         "main": ["content", "article", "post", "entry", "story", "main", "article-body", "entry-content", "post-content", "text"],
     }
     TAGS = {"nav": "nav", "footer": "footer", "ad": "div", "notice": "div", "comments": "section", "side": "aside", "form": "form", "head": "header"}
@@ -367,7 +374,53 @@ class Writer:
                 out.append(self.chrome(r.choice(("ad", "side", "notice", "form"))))
         return "".join(out)
 
+    def named(self, kind: str) -> str:
+        return f' {self.r.choice(("class", "class", "id"))}="{self.r.choice(self.NAMES[kind])}"'
+
+    def links(self, apart: str) -> str:
+        return apart.join(f'<a href="/{i}">{self.r.choice(self.MENU) if self.r.random() < 0.6 else self.word()}</a>' for i in range(self.r.randint(2, 8)))
+
+    def byline(self) -> str:
+        tag = self.r.choice(("p", "div", "span", "p"))
+        return f"<{tag}{self.named('meta') if self.r.random() < 0.7 else ''}>{self.saying('meta')}</{tag}>"
+
+    def blog(self) -> str:
+        """Nested divisions without elements that say what they are; title and byline stand inside the post."""
+        r = self.r
+        top = f"<div{self.named('head')}><h{r.choice('123')}>{self.word().capitalize()} {self.word()}</h1><p>{self.saying('head')}</p></div>"
+        menu = f"<div{self.named('nav')}>{self.links(r.choice((' ', ' | ', '<br>')))}</div>" if r.random() < 0.5 else f"<ul{self.named('nav')}><li>" + self.links("</li><li>") + "</li></ul>"
+        h = r.choice("112")
+        title = f"<h{h}{' class=title' if r.random() < 0.3 else ''}>{self.MARK}{self.sentence(2, 12)}</h{h}>"
+        body = re.sub(r"^(?:<header>)?<h1>.*?</h1>(?:</header>)?", "", self.main())
+        about = [self.byline()] if r.random() < 0.8 else []
+        post = "".join([title, *about] if r.random() < 0.8 else [*about, title]) + (f"<div{self.named('main')}>{body}</div>" if r.random() < 0.5 else body)
+        tail = f"<p>{self.saying('meta')}</p>" if r.random() < 0.3 else ""
+        rest = [self.chrome(k) for k in ("side", "comments", "form", "nav") if r.random() < 0.5]
+        before, after = (rest[:1], rest[1:]) if r.random() < 0.5 else ([], rest)
+        foot = f"<div{self.named('footer')}>{self.saying(r.choice(('footer', 'foot')))}</div>" if r.random() < 0.9 else ""
+        return f"<div{self.named('wrap')}>" + top + menu + "".join(before) + f"<div{self.named('main')}>{post}{tail}</div>" + "".join(after) + foot + "</div>"
+
+    def grid(self) -> str:
+        """A page laid out by a table: a row for the name, a column of links, the text in a cell, a last row."""
+        r = self.r
+        inner = self.main() if r.random() < 0.8 else f"<font size=5><b>{self.MARK}{self.sentence(2, 9)}</b></font><br>{self.sentence(9, 30)}" + "".join(f"<p>{self.MARK}{self.sentence(8, 30)}" for _ in range(r.randint(1, 6)))
+        top = f"<tr><td colspan=2><h{r.choice('123')}>{self.word().capitalize()} {self.word()}</h1></td></tr>" if r.random() < 0.6 else ""
+        menu = f"<td width=150 valign=top>{self.links('<br>')}</td>" if r.random() < 0.6 else f"<td width=120><ul><li>{self.links('</li><li>')}</li></ul></td>"
+        bar = f"<tr><td colspan=2>{self.links(' | ')}</td></tr>" if r.random() < 0.4 else ""
+        cells = [menu, f"<td valign=top>{inner}</td>"] if r.random() < 0.8 else [f"<td valign=top>{inner}</td>", menu]
+        foot = f"<tr><td colspan=2>{r.choice(('<center>', '<small>', '', '<font size=1>'))}{self.saying('foot')}</td></tr>" if r.random() < 0.7 else ""
+        after = r.choice(("", f"<p>{self.saying('foot')}</p>", f"<hr>{self.saying('foot')}", f"<center>{self.saying('foot')}</center>"))
+        return f"<table{r.choice((' width=100%', ' border=0', ''))}>" + top + bar + f"<tr>{''.join(cells)}</tr>" + foot + "</table>" + after
+
     def page(self) -> str:
+        r = self.r
+        kind = r.random()
+        title = self.sentence(2, 10)
+        body = self.blog() if kind < 0.2 else self.grid() if kind < 0.35 else self.sections()
+        return f"<!DOCTYPE html><html><head><title>{title}</title><style>p{{}}</style></head><body>{body}</body></html>"
+
+    def sections(self) -> str:
+        """Chrome, the article in an element or a division of its own, chrome."""
         r = self.r
         kinds = ["nav"] * r.choice((0, 1, 1, 2)) + ["ad"] * r.choice((0, 1, 1)) + ["notice"] * r.choice((0, 0, 1)) + ["head"] * r.choice((0, 1))
         r.shuffle(kinds)
@@ -375,15 +428,13 @@ class Writer:
         if r.random() < 0.75:
             a, b = r.choice((("<article>", "</article>"), ("<main>", "</main>"), ("<main><article>", "</article></main>"), ('<article class="post">', "</article>")))
         else:
-            a, b = f'<div {r.choice(("class", "id"))}="{r.choice(self.NAMES["main"])}">', "</div>"
+            a, b = f"<div{self.named('main')}>", "</div>"
         inner = self.main()
         if r.random() < 0.15:
             inner += self.chrome(r.choice(("comments", "side", "footer")))
         body += a + inner + b
         tail = [k for k in ("comments", "side", "ad", "form", "nav", "notice") if r.random() < 0.3] + ["footer"] * (r.random() < 0.85)
-        body += "".join(map(self.chrome, tail))
-        title = self.sentence(2, 10)
-        return f"<!DOCTYPE html><html><head><title>{title}</title><style>p{{}}</style></head><body>{body}</body></html>"
+        return body + "".join(map(self.chrome, tail))
 
 
 def labelled(seed: int) -> tuple[list[Block], np.ndarray]:
@@ -396,7 +447,7 @@ def labelled(seed: int) -> tuple[list[Block], np.ndarray]:
 
 
 @lru_cache(1)
-def trained(pages: int = 1400) -> Labeller:
+def trained(pages: int = 1800) -> Labeller:
     """The labeller fitted to generated pages; the same each time."""
     made = [labelled(i) for i in range(pages)]
     return Labeller().fit([(inputs(p), y) for p, y in made if p])
