@@ -86,14 +86,22 @@ def delta_text(deltas: DataFrame) -> DataFrame:
     return both.select("eid", "n", F.concat_ws("; ", F.when(F.col("out") != "", F.concat(F.lit("DELETE DATA { "), "out", F.lit(" }"))), F.when(F.col("into") != "", F.concat(F.lit("INSERT DATA { "), "into", F.lit(" }")))).alias("text"))
 
 
-def snapshot_triples(snapshots: DataFrame) -> DataFrame:
-    """(s, p, o, o_kind, graph): what is known about each snapshot, in a graph that bears the snapshot's name."""
+def snapshot_triples(snapshots: DataFrame, deltas: DataFrame | None = None) -> DataFrame:
+    """(s, p, o, o_kind, graph): what is known about each snapshot, in a graph that bears the snapshot's name.
+
+    deltas: (eid, at, op, p, o); what led to a snapshot is the update statement of its entity's deltas at the time it was generated.
+    """
+    if deltas is not None:
+        texts = delta_text(deltas.withColumn("n", F.col("at"))).select(F.col("eid").alias("_eid"), F.col("n").alias("_at"), F.col("text").alias("delta_text"))
+        snapshots = snapshots.join(texts, (F.col("eid") == F.col("_eid")) & (F.col("generated_at") == F.col("_at")), "left").drop("_eid", "_at")
     s = snapshot_eid(F.col("eid"), F.col("n"))
     before = F.col("derived_from") if dict(snapshots.dtypes)["derived_from"].startswith("array") else F.array("derived_from")
     one = lambda p, c, kind: F.array(F.struct(F.lit(p).alias("p"), c.cast("string").alias("o"), F.lit(kind).alias("o_kind")))
     made = [one("snap_of", F.col("eid"), "iri"), one("by", F.col("agent"), "iri"), one("primary_source", F.col("primary_source"), "iri"), one("generated_at", F.col("generated_at"), "text"), one("invalidated_at", F.col("invalidated_at"), "text")]
     if "description" in snapshots.columns:
         made.append(one("described", F.col("description"), "text"))
+    if "delta_text" in snapshots.columns:
+        made.append(one("delta_text", F.col("delta_text"), "text"))
     made.append(F.transform(before, lambda x: F.struct(F.lit("derived_from").alias("p"), x.cast("string").alias("o"), F.lit("iri").alias("o_kind"))))
     every = F.filter(F.concat(*made), lambda x: x["o"].isNotNull())
     return snapshots.select(s.alias("s"), F.explode(every).alias("t")).select("s", "t.p", "t.o", "t.o_kind", F.col("s").alias("graph"))

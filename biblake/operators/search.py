@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Mapping
+from collections.abc import Callable, Mapping
 from dataclasses import dataclass
 from functools import reduce
 from urllib.parse import unquote
@@ -88,39 +88,96 @@ def postings(rows: DataFrame, key: str, fields: list[str]) -> DataFrame:
     return each.select("field", F.explode(parts).alias("token"), "key", "pos")
 
 
-def by_phrase(index: DataFrame, field: str, phrase: str) -> DataFrame:
-    """(key): texts in which the words of the phrase follow each other; reads only the words' postings, no self-join."""
+def by_phrase(index: DataFrame | Callable[[list[str]], DataFrame], field: str, phrase: str) -> DataFrame:
+    """(key): texts in which the words of the phrase follow each other; reads only the words' postings, no self-join.
+
+    index: (field, token, key, pos), or a function that gives the postings of some tokens.
+    """
     ws = plain(phrase).split()
     place = F.create_map(*[x for i, w in enumerate(dict.fromkeys(ws)) for x in (F.lit(w), F.array(*[F.lit(j) for j, v in enumerate(ws) if v == w]))])
-    hits = index.where((F.col("field") == field) & F.col("token").isin(*ws)).select("key", "pos", F.explode(place[F.col("token")]).alias("i"))
+    rows = index(list(dict.fromkeys(ws))) if callable(index) else index
+    hits = rows.where((F.col("field") == field) & F.col("token").isin(*ws)).select("key", "pos", F.explode(place[F.col("token")]).alias("i"))
     starts = hits.select("key", (F.col("pos") - F.col("i")).alias("start"), "i").distinct().groupBy("key", "start").agg(F.count("*").alias("n"))
     return starts.where(F.col("n") == len(ws)).select("key").distinct()
 
 
-def search_postings(index: DataFrame, expr: str, rows: DataFrame, key: str) -> DataFrame:
-    """The same answer as ``search``: terms on text fields from postings, joined per alternative, others by filter."""
+def search_postings(index: DataFrame | Callable[[list[str]], DataFrame], expr: str, rows: DataFrame, key: str) -> DataFrame:
+    """The same answer as ``search``: terms on text fields from postings, joined per alternative, others as a filter on what is left."""
     found = None
+    columns = {f: F.col(f) for f in TEXT | EXACT}
     for branch in parse(expr):
-        part = None
+        some = rows
+        exact = [_holds(t, columns) for t in branch if t.field in EXACT]
+        if exact:
+            some = some.where(reduce(Column.__and__, exact))
+        some = some.select(F.col(key).alias("key"))
         for t in branch:
-            hit = by_phrase(index, t.field, t.value) if t.field in TEXT else rows.where(_holds(t, {f: F.col(f) for f in TEXT | EXACT})).select(F.col(key).alias("key"))
-            part = hit if part is None else part.join(hit, "key", "left_semi")
-        found = part if found is None else found.union(part)
+            if t.field in TEXT:
+                some = some.join(by_phrase(index, t.field, t.value), "key", "left_semi")
+        found = some if found is None else found.union(some)
     return rows.join(found.distinct().withColumnRenamed("key", key), key, "left_semi")
 
 
 def phrase_hits(texts: DataFrame, phrases: DataFrame, key: str, text: str, item: str, phrase: str, lead: int = 4) -> DataFrame:
     """(item, key): texts that hold a phrase verbatim. Both sides meet on the hash of the phrase's first whole words, then are compared.
 
-    The first word is left out of the key, as the phrase may start inside a word; phrases of at least ``lead`` + 2 words are found. Up to
-    PHRASES counted phrases are broadcast, more are joined by exchange. Texts move only to be compared with their candidates.
+    The first word is left out of the key, as the phrase may start inside a word. Phrases of fewer than ``lead`` + 2 words, or with white space at
+    an end, have no such words: they are looked for by ``short_hits``. Up to PHRASES counted phrases are broadcast, more are joined by
+    exchange. Texts move only to be compared with their candidates. An empty phrase is in every text that is not null.
     """
     cut = lambda c: F.filter(F.split(c, "[\\x20\\x09-\\x0D]+"), lambda w: w != "")
     gram = lambda ws, i: F.xxhash64(F.array_join(F.slice(ws, i, lead), " "))
-    wanted = phrases.select(F.col(item).alias("item"), F.col(phrase).alias("phrase"), gram(cut(F.col(phrase)), 2).alias("h"))
-    few = phrases.count() <= PHRASES
+    long = F.size(cut(F.col(phrase))) >= lead + 2
+    asked = phrases.where(F.col(phrase).isNotNull()).select(F.col(item).alias("item"), F.col(phrase).alias("phrase"), F.coalesce(long, F.lit(False)).alias("long"))
+    wanted = asked.where("long").select("item", "phrase", gram(cut(F.col("phrase")), 2).alias("h"))
+    few = wanted.count() <= PHRASES
     ws = texts.select(F.col(key).alias("key"), cut(F.col(text)).alias("ws"))
     places = F.sequence(F.lit(1), F.greatest(F.size("ws") - lead + 1, F.lit(1)))
     grams = ws.select("key", F.explode(F.array_distinct(F.transform(places, lambda i: gram(F.col("ws"), i)))).alias("h"))
     maybe = grams.join(F.broadcast(wanted) if few else wanted, "h").select("key", "item", "phrase").distinct()
-    return texts.select(F.col(key).alias("key"), F.col(text).alias("text")).join(maybe, "key").where(F.col("text").contains(F.col("phrase"))).select("item", "key").distinct()
+    found = texts.select(F.col(key).alias("key"), F.col(text).alias("text")).join(maybe, "key").where(F.col("text").contains(F.col("phrase"))).select("item", "key").distinct()
+    short = asked.where("not long").select("item", "phrase")
+    return found if short.isEmpty() else found.union(short_hits(texts.select(F.col(key).alias("key"), F.col(text).alias("text")), short)).distinct()
+
+
+def short_hits(texts: DataFrame, phrases: DataFrame, most: int = PHRASES) -> DataFrame:
+    """(item, key) for texts (key, text) and phrases (item, phrase) of any length, by an automaton of all phrases in one pass over the texts.
+
+    ``most`` phrases at a time are sent to the tasks; for more of them there are as many passes as that takes.
+    """
+    import pyarrow as pa
+
+    from biblake.session import importable
+
+    importable(texts.sparkSession)
+    passes = max(1, -(-phrases.count() // most))
+    kinds = {"item": phrases.schema["item"].dataType.simpleString(), "key": texts.schema["key"].dataType.simpleString()}
+    out = None
+    for k in range(passes):
+        mine = phrases if passes == 1 else phrases.where(F.pmod(F.xxhash64("item", "phrase"), F.lit(passes)) == k)
+        named: dict[str, list] = {}
+        for r in mine.collect():
+            named.setdefault(r.phrase, []).append(r.item)
+
+        def scan(batches, named=named):
+            import ahocorasick
+
+            machine = ahocorasick.Automaton()
+            for i, p in enumerate(named):
+                if p:
+                    machine.add_word(p, i)
+            machine.make_automaton()
+            items = list(named.values())
+            for b in batches:
+                rows = []
+                for key, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                    if t is None:
+                        continue
+                    hits = {i for _, i in machine.iter(t)} if len(machine) else set()
+                    rows += [(x, key) for i in hits for x in items[i]] + [(x, key) for x in named.get("", ())]
+                if rows:
+                    yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows]), pa.array([r[1] for r in rows], b.schema.field(0).type)], names=["item", "key"])
+
+        part = texts.select("key", "text").mapInArrow(scan, f"item {kinds['item']}, key {kinds['key']}")
+        out = part if out is None else out.union(part)
+    return out.distinct()

@@ -7,8 +7,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from biblake.functions.ids import make_eid
 from biblake.operators.merge import chain
+from biblake.session import durable
 from biblake.sources.io import parse_cells, people_cell
 from biblake.sources.schema import COLUMNS, TYPE_CLASSES
 
@@ -28,19 +28,23 @@ def _eid(kind: str, key: Column) -> Column:
     return F.concat(F.lit(f"{kind}/060"), key)
 
 
-def store_of(rows: DataFrame, key: str = "row_seq") -> Store:
-    """The store of rows whose key is unique, with eids that come from the rows' keys and names instead of counters.
+def store_of(rows: DataFrame, key: str = "row_seq", eid: str | None = None) -> Store:
+    """The store of rows whose key is unique, with eids that come from the rows' keys and names instead of counters (or works' eids from ``eid``).
+
+    The cells are parsed once and kept; all tables are made from that.
 
     Agents, venues and publishers are one entity per first external identifier, else per name; volumes per (venue, value),
     issues per (venue, volume, value).
     """
-    parsed = parse_cells(rows).withColumn("k", F.col(key).cast("string"))
+    k = F.regexp_replace(eid, "^br/", "") if eid else F.col(key).cast("string")
+    kept = ("k", "eid", "ids", "title", "pub_date", "venue_name", "venue_ids", "volume", "issue", "page", "type", "authors", "editors", "publisher_name", "publisher_ids")
+    parsed = durable(parse_cells(rows).withColumns({"k": k, "eid": F.col(eid) if eid else _eid("br", k)}).select(*kept))
     text_key = lambda ids, name: F.concat(F.lit("_"), F.coalesce(F.get(ids, F.lit(0)), F.lower(F.trim(name))))
     venue = F.when(F.col("venue_name").isNotNull(), _eid("br", text_key(F.col("venue_ids"), F.col("venue_name"))))
-    own = F.coalesce(venue, _eid("br", F.col("k")))  # without a venue a volume belongs to its work alone
+    own = F.coalesce(venue, F.col("eid"))  # without a venue a volume belongs to its work alone
     volume = F.when(F.col("volume").isNotNull(), F.concat(own, F.lit("/v"), F.col("volume")))
     issue = F.when(F.col("issue").isNotNull(), F.concat(F.coalesce(volume, own), F.lit("/i"), F.col("issue")))
-    full = parsed.withColumns({"eid": _eid("br", F.col("k")), "v_eid": venue, "vol_eid": volume, "iss_eid": issue})
+    full = parsed.withColumns({"v_eid": venue, "vol_eid": volume, "iss_eid": issue})
     none = F.lit(None).cast("string")
     br = full.select("eid", F.lit("publication").alias("kind"), "type", "title", "pub_date", F.coalesce("iss_eid", "vol_eid", "v_eid").alias("part_of"), none.alias("seq_value"))
     venues = full.where(F.col("v_eid").isNotNull()).groupBy(F.col("v_eid").alias("eid")).agg(F.min("venue_name").alias("title"))
@@ -75,7 +79,7 @@ def to_triples(store: Store) -> DataFrame:
         _rows(store.re, "eid", first_page=("first_page", "text"), last_page=("last_page", "text")),
         _rows(store.ar, "br", has_role=("eid", "iri")),
         _rows(store.ar, "eid", role_kind=("role", "text"), held_by=("agent", "iri"), next_role=("next", "iri")),
-        _rows(store.ra, "eid", name=("name", "text")),
+        _rows(named_agents(store.ra), "eid", name=("whole", "text"), given=("given", "text"), family=("family", "text")),
         _rows(store.ids, "eid", has_id=("id_eid", "iri")),
         _rows(store.ids.dropDuplicates(["id_eid"]), "id_eid", id_scheme=("scheme", "text"), id_value=("value", "text")),
     ]
@@ -85,6 +89,12 @@ def to_triples(store: Store) -> DataFrame:
     return out
 
 
+def named_agents(ra: DataFrame) -> DataFrame:
+    """(eid, whole, given, family): people, whose names are 'Family, Given', by the two; organisations by their whole name."""
+    person = F.col("name").rlike("^[^,]+, *[^, ]")
+    return ra.select("eid", F.when(~person, F.col("name")).alias("whole"), F.when(person, F.btrim(F.regexp_extract("name", "^[^,]*,(.*)$", 1))).alias("given"), F.when(person, F.regexp_extract("name", "^([^,]*),", 1)).alias("family"))
+
+
 def _pick(triples: DataFrame, *ps: str) -> DataFrame:
     """One row a subject with its value of each predicate; only those predicates are read."""
     return triples.where(F.col("p").isin(*ps)).groupBy("s").agg(*[F.max(F.when(F.col("p") == p, F.col("o"))).alias(p) for p in ps])
@@ -123,7 +133,8 @@ def _people(triples: DataFrame, ids: DataFrame) -> DataFrame:
     its roles, which is as long as the list of contributors.
     """
     roles = _pick(triples, "role_kind", "held_by", "next_role").withColumnRenamed("s", "ar")
-    who = triples.where("p = 'name'").select(F.col("s").alias("held_by"), F.col("o").alias("name")).join(ids.select(F.col("s").alias("held_by"), "ids"), "held_by", "left")
+    called = _pick(triples, "name", "given", "family").select(F.col("s").alias("held_by"), F.coalesce("name", F.concat("family", F.lit(", "), "given")).alias("name"))
+    who = called.join(ids.select(F.col("s").alias("held_by"), "ids"), "held_by", "left")
     held = triples.where("p = 'has_role'").select("s", F.col("o").alias("ar")).join(roles, "ar").join(who, "held_by", "left")
     lists = held.groupBy("s", "role_kind").agg(F.collect_list(F.struct("ar", "next_role", "name", F.coalesce("ids", F.array().cast("array<string>")).alias("ids"))).alias("all"))
     nexts = F.filter(F.transform("all", lambda x: x["next_role"]), lambda x: x.isNotNull())

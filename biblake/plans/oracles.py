@@ -241,5 +241,29 @@ def sql() -> dict[str, str]:
         "issues_between": f"WITH {_PUB} SELECT venue_key, CAST(pub_year - 1994 AS INT) AS volume, CAST(month AS INT) AS issue, count(*) AS n FROM pub WHERE day >= DATE '1998-03-01' AND day < DATE '1998-05-01' AND venue_key IS NOT NULL GROUP BY 1, 2, 3",
         "stream_changes": "SELECT event_type, time_bucket(INTERVAL '1 day', ts, TIMESTAMP '2024-01-01') AS start, count(*) AS n FROM events GROUP BY 1, 2",
         "stream_current": "SELECT user_id, event_type, max(ts) AS last_ts, arg_max(value, ts) AS value FROM events GROUP BY 1, 2",
+        "curate_batch": f"""WITH RECURSIVE {_DOC},{_closure('c', 'ids')},
+            m AS (SELECT comp, doc_id, source, lang FROM d1 JOIN c USING (doc_id)),
+            i AS (SELECT comp, string_agg(id, ' ' ORDER BY id) AS id FROM (SELECT DISTINCT comp, id FROM c JOIN ids USING (doc_id)) GROUP BY comp),
+            a AS (SELECT comp, string_agg(name, '; ' ORDER BY at) AS author FROM (SELECT comp, 'Team ' || upper(source[1]) || source[2:] AS name, min(doc_id) AS at FROM m WHERE source IS NOT NULL GROUP BY ALL) GROUP BY comp),
+            f AS (SELECT comp, dense_rank() OVER (ORDER BY comp) AS n, arg_min(source, doc_id) AS source, arg_min(lang, doc_id) FILTER (WHERE lang IS NOT NULL) AS type, CAST(min(doc_id) % 50 AS VARCHAR) AS volume,
+              CASE WHEN bool_or(doc_id % 2 = 0) THEN '2020-02' END AS pub_date FROM m GROUP BY comp)
+            SELECT 'br/060' || n AS eid, id, author, pub_date, volume, type, upper(source[1]) || source[2:] AS publisher FROM f JOIN i USING (comp) LEFT JOIN a USING (comp)""",
+        "curate_history": """WITH RECURSIVE m AS (SELECT c_custkey AS loser, c_custkey // 2 AS s FROM customer WHERE c_custkey > 0 AND c_custkey % 3 <> 0),
+            r(loser, s) AS (SELECT loser, s FROM m UNION ALL SELECT r.loser, m.s FROM r JOIN m ON r.s = m.loser), e AS (SELECT loser, min(s) AS s FROM r GROUP BY loser)
+            SELECT c_custkey, 2 AS outcome, CASE WHEN c_custkey % 4 = 0 THEN 'br/0610' || c_custkey ELSE 'br/060' || coalesce(s, c_custkey) END AS eid FROM customer LEFT JOIN e ON loser = c_custkey""",
+        "agent_names": """SELECT 'ra/060_sup:' || s_suppkey AS s, unnest(['family', 'given']) AS p, unnest([s_name, 'G' || s_suppkey % 7]) AS o FROM supplier
+            UNION ALL SELECT DISTINCT 'ra/060_nation ' || s_nationkey, 'name', 'Nation ' || s_nationkey FROM supplier""",
+        "update_statements": f"""WITH {_DELTAS}, l AS (SELECT eid, "at", op, '<' || eid || '> <' || p || '> "' || o || '" .' AS line FROM delta),
+            t AS (SELECT eid, "at", string_agg(line, ' ' ORDER BY line) FILTER (WHERE op = '-') AS d, string_agg(line, ' ' ORDER BY line) FILTER (WHERE op = '+') AS i FROM l GROUP BY eid, "at"),
+            n AS (SELECT user_id AS eid, ts AS "at", user_id || '/prov/' || row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM events)
+            SELECT s, concat_ws('; ', 'DELETE DATA {{ ' || d || ' }}', 'INSERT DATA {{ ' || i || ' }}') AS o, s AS graph FROM t JOIN n USING (eid, "at")""",
+        "pattern_union": f"""WITH {_PUB} SELECT CAST(b.agent AS VARCHAR) AS x, count(DISTINCT b.br) AS n FROM con a JOIN con b USING (br) WHERE a.agent IN (1, 2) AND b.agent NOT IN (1, 2) GROUP BY 1 ORDER BY n DESC, x LIMIT 10""",
+        "title_case_documents": rf"""WITH {_DOC} SELECT doc_id, array_to_string(list_transform(string_split(f, ' '), lambda w: CASE WHEN NOT (upper(f) = f AND lower(f) <> f) AND regexp_matches(w, '^[^\p{{L}}]*\p{{L}}.*\p{{Lu}}') THEN w
+              ELSE regexp_extract(w, '^[^\p{{L}}]*') || replace(upper(replace(substr(w, length(regexp_extract(w, '^[^\p{{L}}]*')) + 1, 1), 'ß', 'ss')), 'ẞ', 'SS') || lower(substr(w, length(regexp_extract(w, '^[^\p{{L}}]*')) + 2)) END), ' ') AS title FROM d1""",
+        "fill_from_web": r"""WITH t AS (SELECT page_id, trim(regexp_extract(html, '(?is)<title[^>]*>(.*?)</title>', 1)) AS title FROM pages)
+            SELECT count(*) AS n, CAST(sum((coalesce(length(string_split(text, chr(10))[1]), 0) < 12)::INT) AS BIGINT) AS missing,
+            CAST(sum((coalesce(length(string_split(text, chr(10))[1]), 0) < 12 AND coalesce(title, '') <> '')::INT) AS BIGINT) AS filled FROM documents LEFT JOIN t ON page_id = doc_id""",
+        "stream_curation": """SELECT 'alt:' || c_custkey || ' cus:' || c_custkey AS id, upper(c_name[1]) || lower(c_name[2:]) AS title, 'Lee, Ann [per:' || c_custkey || ']; Roe, B' AS author,
+            upper(n_name[1]) || lower(n_name[2:]) AS publisher, CAST(c_custkey AS VARCHAR) AS volume FROM customer JOIN nation ON c_nationkey = n_nationkey""",
         "stream_ingest": f"WITH {_PUB} SELECT type, count(*) AS n FROM pub GROUP BY 1",
     }

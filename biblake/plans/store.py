@@ -1,23 +1,30 @@
-"""A lake of rows in buckets, with a manifest per version: batches are applied once, readers see whole versions."""
+"""A lake of tables in buckets, with a manifest per version: batches are applied once, readers see whole versions."""
 
 from __future__ import annotations
 
 import json
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+#: Rows that a bucket holds on average before the buckets are doubled.
+ROWS = 500_000
 
 
 class Lake:
-    """Rows with a unique key under a folder that only Spark's file system needs to reach.
+    """Tables under a folder that only Spark's file system needs to reach, each dealt to buckets by the hash of a key.
+
+    A batch rewrites the buckets that its keys fall into, as files in a directory of its own, and then a manifest that names for each table the
+    directory of every bucket. The manifest is the commit: without it a directory is never read. A batch id that has been applied
+    is not applied again; of ids 'stream/number' only the last number of a stream is kept. The number of buckets follows the rows:
+    when they hold more than ROWS on average they are doubled and the table is written anew.
 
-    Each batch adds a directory with the rows whose keys are new (stored rows are trusted and stay as they are), in files by the
-    key's hash and sorted by key, and then a manifest that lists all directories so far. The manifest is the commit: without
-    it a directory is never read. A batch id that is in the manifest is not applied again.
+    ``key`` and ``buckets`` are those of the table 'rows', which ``rows`` and ``apply`` mean if no other is named.
     """
 
-    def __init__(self, spark: SparkSession, path: str, key: str, buckets: int = 8):
-        self.spark, self.path, self.key, self.buckets = spark, path.rstrip("/"), key, buckets
+    def __init__(self, spark: SparkSession, path: str, key: str = "key", buckets: int = 8, rows_a_bucket: int = ROWS):
+        self.spark, self.path, self.key, self.buckets, self.rows_a_bucket = spark, path.rstrip("/"), key, buckets, rows_a_bucket
 
     def _fs(self):
         jvm = self.spark.sparkContext._jvm
@@ -32,7 +39,7 @@ class Lake:
     def manifest(self) -> dict:
         names = [n for n in self._manifests() if n.endswith(".json")]
         if not names:
-            return {"version": 0, "batches": {}}
+            return {"version": 0, "batches": [], "streams": {}, "tables": {}}
         lines = self.spark.read.text(f"{self.path}/manifests/{names[-1]}", wholetext=True).collect()
         return json.loads(lines[0].value)
 
@@ -50,20 +57,95 @@ class Lake:
             fs.delete(private, False)
             raise RuntimeError(f"version {manifest['version']} was committed by another writer")
 
-    def rows(self) -> DataFrame | None:
-        parts = list(self.manifest()["batches"].values())
-        return self.spark.read.parquet(*[f"{self.path}/{p}" for p in parts]) if parts else None
+    @staticmethod
+    def _bucket(key: Column, n: int) -> Column:
+        return F.pmod(F.xxhash64(key.cast("string")), F.lit(n)).cast("int")
+
+    @staticmethod
+    def _applied(known: dict, batch_id: str) -> bool:
+        stream, _, n = batch_id.rpartition("/")
+        return int(n) <= known["streams"].get(stream, -1) if stream and n.isdigit() else batch_id in known["batches"]
+
+    def _read(self, table: dict, buckets: list[int] | None = None) -> DataFrame | None:
+        """The rows of some buckets, or all: only their directories are listed and opened."""
+        at = table["at"]
+        paths = [f"{self.path}/{d}/bucket={b}" for b, d in sorted(at.items()) if buckets is None or int(b) in buckets]
+        return self.spark.read.parquet(*paths) if paths else None
+
+    def rows(self, table: str = "rows", keys: list | None = None) -> DataFrame | None:
+        """A table, or those of its rows that have one of ``keys``, read from the keys' buckets alone; None before its first batch."""
+        known = self.manifest()["tables"].get(table)
+        if known is None:
+            return None
+        if keys is None:
+            return self._read(known)
+        names = self.spark.createDataFrame([(k,) for k in keys], "k string" if all(isinstance(k, str) for k in keys) else "k bigint")
+        hit = {r[0] for r in names.select(self._bucket(F.col("k"), known["n"])).distinct().collect()}
+        found = self._read(known, sorted(hit))
+        return found.where(F.col(known["key"]).isin(*keys)) if found is not None else self._read(known).limit(0)
+
+    def buckets_of(self, table: str, key: Column) -> Column | None:
+        """The bucket that a key falls into, to prune by."""
+        known = self.manifest()["tables"].get(table)
+        return self._bucket(key, known["n"]) if known else None
 
-    def apply(self, batch: DataFrame, batch_id: str) -> bool:
-        """Adds the batch's new rows; False if the batch was applied before. Of rows with one key in a batch any one is taken."""
+    def touched(self, table: str, keys: DataFrame) -> DataFrame | None:
+        """The rows of the buckets that the first column of ``keys`` falls into; the numbers of buckets come to the driver, never the keys."""
+        known = self.manifest()["tables"].get(table)
+        if known is None:
+            return None
+        hit = [r[0] for r in keys.select(self._bucket(F.col(keys.columns[0]), known["n"])).distinct().collect()]
+        return self._read(known, hit) if hit else self._read(known).limit(0)
+
+    def apply(self, batch: DataFrame, batch_id: str, order: list[str] | None = None) -> bool:
+        """Adds a batch to the table 'rows' (see ``commit``); False if it was applied before."""
+        return self.commit(batch_id, {"rows": (batch, self.key, order)})
+
+    def commit(self, batch_id: str, batches: dict[str, tuple[DataFrame, str, list[str] | str | None]]) -> bool:
+        """Adds rows to tables, all or none: {table: (rows, key, how)}. False if the batch was applied before.
+
+        how: 'replace' puts a row in the place of the one with its key, 'all' keeps every row beside those with its key; else the columns that rows
+        with one key in the batch are ordered by (None: all of them): what is stored stays, and its gaps are filled from the first row that has a value.
+        """
         known = self.manifest()
-        if batch_id in known["batches"]:
+        if self._applied(known, batch_id):
             return False
-        new = batch.dropDuplicates([self.key])
-        old = self.rows()
-        if old is not None:
-            new = new.join(old.select(self.key), self.key, "left_anti")
         part = f"data/{uuid.uuid4().hex}"
-        new.repartition(self.buckets, self.key).sortWithinPartitions(self.key).write.parquet(f"{self.path}/{part}")
-        self._commit({"version": known["version"] + 1, "batches": {**known["batches"], batch_id: part}})
+        tables = dict(known["tables"])
+        for name, (rows, key, how) in batches.items():
+            tables[name] = self._written(tables.get(name), f"{part}/{name}", rows, key, how)
+        stream, _, n = batch_id.rpartition("/")
+        numbered = bool(stream) and n.isdigit()
+        streams = {**known["streams"], stream: int(n)} if numbered else known["streams"]
+        self._commit({"version": known["version"] + 1, "batches": known["batches"] if numbered else [*known["batches"], batch_id], "streams": streams, "tables": tables})
         return True
+
+    def _written(self, table: dict | None, part: str, rows: DataFrame, key: str, how) -> dict:
+        n = table["n"] if table else self.buckets
+        old_n, total = n, table["rows"] if table else 0
+        while total > n * self.rows_a_bucket:
+            n *= 2
+        names = rows.columns
+        new = rows.withColumns({"_key": F.col(key), "bucket": self._bucket(F.col(key), n), "_old": F.lit(1)})
+        old, at = None, {}
+        if table:
+            hit = None if n != old_n else [r[0] for r in new.select("bucket").distinct().collect()]
+            at = {} if hit is None else {b: d for b, d in table["at"].items() if int(b) not in hit}
+            old = self._read(table, hit)
+        if old is not None:
+            names = [*names, *(c for c in old.columns if c not in names)]
+            new = new.unionByName(old.withColumns({"_key": F.col(key), "bucket": self._bucket(F.col(key), n), "_old": F.lit(0)}), allowMissingColumns=True)
+        if how == "replace":
+            last = F.max(F.struct("_old", *names))
+            out = new.groupBy("bucket", "_key").agg(last.alias("r")).select("bucket", *[F.col("r")[c].alias(c) for c in names])
+        elif how == "all":
+            out = new.select("bucket", *names)
+        else:
+            place = F.struct("_old", *(how or names))
+            picks = [F.min_by(c, F.when(F.col(c).isNotNull(), place)).alias(c) for c in names]
+            out = new.groupBy("bucket", "_key").agg(*picks).drop("_key")
+        out.repartition(n, "bucket").sortWithinPartitions("bucket", key).write.partitionBy("bucket").parquet(f"{self.path}/{part}")
+        sizes = self.spark.read.parquet(f"{self.path}/{part}").groupBy("bucket").agg(F.count("*").alias("c")).collect()
+        mine = {str(r.bucket): part for r in sizes}
+        kept = sum((table or {}).get("sizes", {}).get(b, 0) for b in at)
+        return {"n": n, "key": key, "rows": kept + sum(r.c for r in sizes), "at": {**at, **mine}, "sizes": {**{b: (table or {"sizes": {}})["sizes"].get(b, 0) for b in at}, **{str(r.bucket): r.c for r in sizes}}}

@@ -9,6 +9,8 @@ from pyspark.sql.window import Window
 from biblake.functions import dates, ids, text, volissue
 from biblake.operators import asof, baselines, bgp, citations, lookup, merge, mint, prov, resolve, search, stats, timetravel
 from biblake.operators.triples import from_triples, store_of, to_triples
+from biblake.plans import curate as curation
+from biblake.plans import serve
 from biblake.session import durable, table
 from biblake.sources import adapters as A
 from biblake.sources.io import format_sizes
@@ -201,6 +203,34 @@ def title_case(spark, sf):
     return table(spark, sf, "part").select("p_partkey", text.norm_title(F.col("p_name")).alias("title"), text.norm_title(F.upper("p_name")).alias("shouted"), text.norm_title(F.concat(F.lit("FaBiO and "), "p_name")).alias("mixed"))
 
 
+def _as_rows(df: DataFrame, **cells) -> DataFrame:
+    """Input rows with these cells, the others empty; the order of reading is the column k."""
+    none = F.lit(None).cast("string")
+    return df.select(*[cells.get(c, none).alias(c) for c in COLUMNS], F.lit(0).cast("bigint").alias("file_seq"), F.col("k").cast("bigint").alias("row_seq"))
+
+
+def _nothing(spark):
+    return spark.createDataFrame([], "id string, eid string"), spark.createDataFrame([], ", ".join(f"{c} string" for c in ("eid", *COLUMNS)))
+
+
+def curate_batch(spark, sf):
+    """All documents curated as one first batch: clusters by shared identifiers, repaired and merged fields, contributors in order, new numbers."""
+    d = A.doc_rows(spark, sf).withColumn("k", F.col("doc_id"))
+    rows = _as_rows(d, id=F.array_join("ids", " "), author=F.concat(F.lit("team "), "source"), publisher=F.col("source"), type=F.col("lang"), volume=F.concat(F.lit("."), (F.col("doc_id") % 50).cast("string")), pub_date=F.when(F.col("doc_id") % 2 == 0, F.lit("2020-02-30")))
+    return curation.curate(rows, *_nothing(spark)).table.select("eid", "id", "author", "pub_date", "volume", "type", "publisher")
+
+
+def curate_history(spark, sf):
+    """What customers' identifiers lead to in a batch: present owners, removed ones, and those that removed ones were merged into."""
+    c = table(spark, sf, "customer").select(F.col("c_custkey").alias("k"))
+    text_ = F.col("k").cast("string")
+    past = c.select(F.concat(F.lit("cus:"), text_).alias("id"), F.concat(F.lit("br/060"), text_).alias("eid"), F.when(F.col("k") % 2 == 0, F.lit("2020-01-01 00:00:00").cast("timestamp_ntz")).alias("valid_to"))
+    now = c.where("k % 4 = 0").select(F.concat(F.lit("cus:"), text_), F.concat(F.lit("br/0610"), text_), F.lit(None).cast("timestamp_ntz"))
+    merges = A.merge_rows(spark, sf).select(*[F.concat(F.lit("br/060"), F.col(x).cast("string")).alias(x) for x in ("loser", "survivor")])
+    done = curation.curate(_as_rows(c, id=F.concat(F.lit("cus:"), text_)), past.union(now), _nothing(spark)[1], known=curation.Known(merges=merges))
+    return done.decided.select(F.col("key.row_seq").alias("c_custkey"), "outcome", "eid")
+
+
 def title_case_documents(spark, sf):
     return A.doc_rows(spark, sf).select("doc_id", text.norm_title(F.col("title")).alias("title"))
 
@@ -241,13 +271,13 @@ def page_titles(spark, sf):
 
 
 def triples_count(spark, sf):
-    return to_triples(store_of(durable(A.pub_rows(spark, sf)))).groupBy("p").agg(F.count("*").alias("n"))
+    return to_triples(store_of(A.pub_rows(spark, sf))).groupBy("p").agg(F.count("*").alias("n"))
 
 
 def triples_roundtrip(spark, sf):
     """Works whose eleven columns come back from the triples unchanged, and those that do not."""
     rows = A.pub_rows(spark, sf).select(*COLUMNS)
-    back = from_triples(durable(to_triples(store_of(durable(A.pub_rows(spark, sf)))))).select(*COLUMNS)
+    back = from_triples(durable(to_triples(store_of(A.pub_rows(spark, sf))))).select(*COLUMNS)
     h = F.xxhash64(*COLUMNS)
     both = rows.select("id", h.alias("a")).join(back.select("id", h.alias("b")), "id", "full_outer")
     return both.groupBy(F.coalesce(F.col("a") == F.col("b"), F.lit(False)).alias("same")).agg(F.count("*").alias("n"))
@@ -257,6 +287,20 @@ def snapshots(spark, sf):
     return prov.snapshots_of(A.change_rows(spark, sf))
 
 
+def agent_names(spark, sf):
+    """Names of agents as triples: people by family and given name, organisations whole."""
+    rows = table(spark, sf, "supplier").withColumn("k", F.col("s_suppkey"))
+    said = F.concat("s_name", F.lit(", G"), (F.col("k") % 7).cast("string"), F.lit(" [sup:"), F.col("k").cast("string"), F.lit("]"))
+    cells = _as_rows(rows, id=F.concat(F.lit("w:"), F.col("k").cast("string")), author=said, publisher=F.concat(F.lit("Nation "), F.col("s_nationkey").cast("string")))
+    return to_triples(store_of(cells)).where(F.col("p").isin("name", "given", "family")).select("s", "p", "o")
+
+
+def update_statements(spark, sf):
+    """The update statement of each snapshot that changed a value, as a statement in the snapshot's graph."""
+    rows = prov.snapshot_triples(snapshots(spark, sf), deltas(spark, sf))
+    return rows.where("p = 'delta_text'").select("s", "o", "graph")
+
+
 def deltas(spark, sf):
     return prov.deltas_of(prov.changes_of(A.change_rows(spark, sf)))
 
@@ -370,21 +414,16 @@ def _rows(spark, sf):
     return _with_eid(A.pub_rows(spark, sf))
 
 
-def _stored(spark, sf):
-    rows = durable(A.pub_rows(spark, sf))
-    return store_of(rows), _with_eid(rows)
-
-
 def lookup_ids(spark, sf):
-    return lookup.by_ids(*_stored(spark, sf), ASKED)
+    return serve.by_ids(serve.served(spark, sf), ASKED)
 
 
 def lookup_author(spark, sf):
-    return lookup.by_agent(*_stored(spark, sf), ["sup:1"], "author")
+    return serve.by_agent(serve.served(spark, sf), ["sup:1"], "author")
 
 
 def lookup_editor(spark, sf):
-    return lookup.by_agent(*_stored(spark, sf), ["cus:1", "cus:7"], "editor")
+    return serve.by_agent(serve.served(spark, sf), ["cus:1", "cus:7"], "editor")
 
 
 def search_boolean(spark, sf):
@@ -392,9 +431,9 @@ def search_boolean(spark, sf):
 
 
 def search_by_postings(spark, sf):
-    rows = _rows(spark, sf)
-    index = search.postings(rows, "eid", ["title", "author", "editor", "publisher", "venue"])
-    return search.search_postings(index, EXPRESSION, rows, "eid").select("eid", "title", "venue", "volume", "publisher")
+    lake = serve.served(spark, sf)
+    found = search.search_postings(lambda tokens: lake.rows("postings", keys=tokens), EXPRESSION, lake.rows("works"), "eid")
+    return found.select("eid", "title", "venue", "volume", "publisher")
 
 
 def phrase_hits(spark, sf):
@@ -418,6 +457,14 @@ def coauthors_by_pattern(spark, sf):
     return found.select("w", "x").distinct().groupBy(F.col("x").cast("bigint").alias("agent")).agg(F.count("*").alias("n"))
 
 
+def pattern_union(spark, sf):
+    """The ten agents that wrote the most works with supplier 1 or with supplier 2, by a graph question with alternatives, counted and in order."""
+    roles = A.contributions(spark, sf).select(F.concat(F.lit("br/"), F.col("br").cast("string")).alias("s"), F.lit("author").alias("p"), F.col("agent").cast("string").alias("o"))
+    one = lambda k: (("?w", "author", k), ("?w", "author", "?x"))
+    asked = bgp.Question(branches=(one("1"), one("2")), where=~F.col("x").isin("1", "2"), by=("x",), count="w", order=(("n", True), ("x", False)), limit=10)
+    return bgp.answer(roles, asked).select("x", "n")
+
+
 def papers_in_issue(spark, sf):
     return lookup.papers_in_issue(_numbered(spark, sf), "red plate", 3, 6)
 
@@ -433,10 +480,10 @@ def issues_between(spark, sf):
 NAMES = (
     "overview_counts top_publishers_by_venues top_publishers_by_publications top_venues_by_publications types_by_publications publications_per_year authors_per_publication "
     "type_year_rollup publisher_type_cube publisher_type_pivot venue_title_key coverage_publications coverage_documents future_dates labelled_quality dedup_clusters_documents six_outcomes outcome_targets conflict_ledger merge_first_wins "
-    "contributor_order role_chain containment_merge people_by_name mint_eids history_resolution date_repair vol_issue_repair title_case title_case_documents space_hyphen id_checks "
-    "exists_check page_titles triples_count triples_roundtrip snapshots deltas state_at state_at_forward entity_history query_over_time provenance_completeness snapshot_graphs value_as_of_click state_at_clicks delta_texts citation_unify citation_counts "
+    "contributor_order role_chain containment_merge people_by_name mint_eids history_resolution curate_batch curate_history date_repair vol_issue_repair title_case title_case_documents space_hyphen id_checks "
+    "exists_check page_titles triples_count triples_roundtrip agent_names update_statements snapshots deltas state_at state_at_forward entity_history query_over_time provenance_completeness snapshot_graphs value_as_of_click state_at_clicks delta_texts citation_unify citation_counts "
     "baseline_raw_citations baseline_remote_calls baseline_title_identity baseline_full_copies baseline_identified_only baseline_renumbered fill_from_web format_bytes lookup_ids "
-    "lookup_author lookup_editor search_boolean search_by_postings phrase_hits coauthors coauthors_by_pattern papers_in_issue volumes_of issues_between"
+    "lookup_author lookup_editor search_boolean search_by_postings phrase_hits coauthors coauthors_by_pattern pattern_union papers_in_issue volumes_of issues_between"
 ).split()
 
 

@@ -2,21 +2,39 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from biblake.sources.schema import COLUMNS, INPUT, PREDICATES
+from biblake.sources.schema import COLUMNS, INPUT, PREDICATES, TYPE_CLASSES, VOCABULARIES, absolute
 
 
 def read_input(spark: SparkSession, path: str, fmt: str = "csv") -> DataFrame:
     """The eleven columns, src (the file), and (file_seq, row_seq): the order of reading.
 
-    The order is taken in the scan: by file name, then by the start of the split and the running number inside it.
+    file_seq is the file's place by name, row_seq grows inside a file: in Parquet it is the row's place; a CSV file is read by one task, in which the
+    running number grows. So the order does not depend on how files are packed into tasks.
     CSV has a header and may hold line breaks in quotes. Columns a file lacks are null, columns that are not among the eleven are left out.
     """
     reader = spark.read.schema(INPUT)
     rows = reader.option("header", True).option("multiLine", True).option("escape", '"').csv(path) if fmt == "csv" else reader.format(fmt).load(path)
-    return rows.select(*COLUMNS, F.col("_metadata.file_path").alias("src"), F.col("_metadata.file_block_start").alias("file_seq"), F.monotonically_increasing_id().alias("row_seq"))
+    place = F.col("_metadata.row_index") if fmt == "parquet" else F.monotonically_increasing_id()
+    rows = rows.select(*COLUMNS, F.col("_metadata.file_path").alias("src"), place.alias("row_seq"))
+    files = sorted({_plain_path(f) for f in rows.inputFiles()})  # the driver has listed them to plan the scan
+    ranks = spark.createDataFrame(list(zip(files, range(len(files)))), "_file string, file_seq bigint")
+    ranks = F.broadcast(ranks) if len(files) <= MOST_FILES else ranks
+    return rows.withColumn("_file", F.regexp_replace(F.url_decode(F.replace("src", F.lit("+"), F.lit("%2B"))), "^file:/*", "/")).join(ranks, "_file").select(*COLUMNS, "src", "file_seq", "row_seq")
+
+
+#: Files whose places are broadcast.
+MOST_FILES = 100_000
+
+
+def _plain_path(uri: str) -> str:
+    from urllib.parse import unquote
+
+    return re.sub("^file:/*", "/", unquote(uri))
 
 
 def stream_input(spark: SparkSession, path: str, fmt: str = "csv") -> DataFrame:
@@ -69,7 +87,7 @@ def _quoted(c: Column) -> Column:
 
 def nquad(base: str = "https://example.org/", graph: Column | None = None) -> Column:
     """One line for a row (s, p, o, o_kind)."""
-    terms = F.create_map(*[F.lit(x) for kv in PREDICATES.items() for x in kv])
+    terms = _terms()
     o = F.when(F.col("o_kind") == "iri", _iri(F.col("o"), base)).otherwise(_quoted(F.col("o")))
     tail = [_iri(graph, base)] if graph is not None else []
     return F.concat_ws(" ", _iri(F.col("s"), base), F.concat(F.lit("<"), F.coalesce(terms[F.col("p")], F.col("p")), F.lit(">")), o, *tail, F.lit("."))
@@ -84,8 +102,7 @@ def read_nquads(spark: SparkSession, path: str, base: str = "https://example.org
     """(s, p, o, o_kind, graph) from lines that ``write_nquads`` wrote."""
     line = F.col("value")
     pattern = '^<([^>]*)> <([^>]*)> (?:<([^>]*)>|"((?:[^"\\\\\\\\]|\\\\\\\\.)*)")(?: <([^>]*)>)? \\\\.$'.replace("\\\\\\\\", "\\\\").replace("\\\\.$", "\\.$")
-    short = {v: k for k, v in PREDICATES.items()}
-    names = F.create_map(*[F.lit(x) for kv in short.items() for x in kv])
+    names = _terms(back=True)
     cut = lambda c: F.regexp_replace(c, "^" + base.replace(".", "\\."), "")
     part = lambda i: F.regexp_extract(line, pattern, i)
     text = part(4)
@@ -107,10 +124,40 @@ def json_line(c: list[str]) -> Column:
     return F.to_json(F.struct(*c))
 
 
-def write_jsonld(triples: DataFrame, path: str) -> None:
-    """One object a subject: its id and, for each predicate, the list of objects in order."""
-    by = triples.groupBy("s", "p").agg(F.array_sort(F.collect_list("o")).alias("os")).groupBy("s").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("p", "os")))).alias("properties"))
-    by.select(F.to_json(F.struct(F.col("s").alias("@id"), "properties")).alias("value")).write.text(path)
+def _terms(back: bool = False) -> Column:
+    pairs = {k: absolute(v) for k, v in PREDICATES.items()}
+    return F.create_map(*[F.lit(x) for k, v in pairs.items() for x in ((v, k) if back else (k, v))])
+
+
+def write_jsonld(triples: DataFrame, path: str, base: str = "https://example.org/") -> None:
+    """A JSON-LD node object a line, in expanded form: names are written out, so no context is needed; '@type' holds the classes, every other
+    property a list of objects with '@id' or '@value', in order."""
+    term = F.coalesce(_terms()[F.col("p")], F.concat(F.lit(VOCABULARIES["own"]), F.col("p")))
+    classes = F.create_map(*[F.lit(x) for c in dict.fromkeys((*TYPE_CLASSES.values(), "fabio:Expression")) for x in (c, absolute(c))])
+    iri = F.col("o_kind") == "iri"
+    named = triples.select("s", "p", term.alias("term"), F.when(F.col("p") == "a", F.coalesce(classes[F.col("o")], "o")).otherwise(F.when(iri, F.concat(F.lit(base), "o")).otherwise(F.col("o"))).alias("o"), iri.alias("iri"))
+    by = named.groupBy("s", "p", "term").agg(F.array_sort(F.collect_list("o")).alias("os"), F.transform(F.array_sort(F.collect_list(F.struct("o", "iri"))), lambda x: F.create_map(F.when(x["iri"], "@id").otherwise("@value"), x["o"])).alias("values"))
+    #: a name in quotes is a list of one without its brackets
+    member = F.concat(F.substr(F.to_json(F.array("term")), F.lit(2), F.char_length(F.to_json(F.array("term"))) - 2), F.lit(":"), F.to_json("values"))
+    body = by.groupBy("s").agg(F.max(F.when(F.col("p") == "a", F.col("os"))).alias("types"), F.array_join(F.array_sort(F.collect_list(F.when(F.col("p") != "a", member))), ",").alias("rest"))
+    node = F.to_json(F.struct(F.concat(F.lit(base), "s").alias("@id"), F.col("types").alias("@type")))
+    whole = F.when(F.col("rest") != "", F.concat(F.substr(node, F.lit(1), F.char_length(node) - 1), F.lit(","), "rest", F.lit("}"))).otherwise(node)
+    body.select(whole.alias("value")).write.text(path)
+
+
+def read_jsonld(spark: SparkSession, path: str, base: str = "https://example.org/") -> DataFrame:
+    """(s, p, o, o_kind) from node objects in expanded form, as ``write_jsonld`` writes them."""
+    line = F.col("value")
+    node = spark.read.text(path).select(F.get_json_object(line, "$['@id']").alias("s"), F.from_json(F.get_json_object(line, "$['@type']"), "array<string>").alias("types"), F.from_json(line, "map<string,string>").alias("all"))
+    cut = lambda c: F.regexp_replace(c, "^" + base.replace(".", "\\."), "")
+    classes = F.create_map(*[F.lit(x) for c in dict.fromkeys((*TYPE_CLASSES.values(), "fabio:Expression")) for x in (absolute(c), c)])
+    typed = node.select(cut(F.col("s")).alias("s"), F.lit("a").alias("p"), F.explode("types").alias("o")).select("s", "p", F.coalesce(classes[F.col("o")], "o").alias("o"), F.lit("iri").alias("o_kind"))
+    each = node.select("s", F.explode("all").alias("term", "v")).where(~F.col("term").startswith("@"))
+    each = each.select("s", "term", F.explode(F.from_json("v", "array<map<string,string>>")).alias("x"))
+    name = F.coalesce(_terms(back=True)[F.col("term")], F.regexp_replace("term", "^" + VOCABULARIES["own"].replace(".", "\\."), ""))
+    iri = F.col("x")["@id"]
+    rest = each.select(cut(F.col("s")).alias("s"), name.alias("p"), F.when(iri.isNotNull(), cut(iri)).otherwise(F.col("x")["@value"]).alias("o"), F.when(iri.isNotNull(), "iri").otherwise("text").alias("o_kind"))
+    return typed.union(rest)
 
 
 def write_csv(rows: DataFrame, path: str) -> None:

@@ -58,5 +58,26 @@ PREDICATES = {
     "generated_at": "prov:generatedAtTime",
     "invalidated_at": "prov:invalidatedAtTime",
     "described": "dcterms:description",
+    "delta_text": "own:hasUpdateStatement",
 }
+# Where the public vocabularies live.
+VOCABULARIES = {
+    "rdf": "http://www.w3.org/1999/02/22-rdf-syntax-ns#",
+    "dcterms": "http://purl.org/dc/terms/",
+    "prism": "http://prismstandard.org/namespaces/basic/2.0/",
+    "frbr": "http://purl.org/vocab/frbr/core#",
+    "fabio": "http://purl.org/spar/fabio/",
+    "pro": "http://purl.org/spar/pro/",
+    "foaf": "http://xmlns.com/foaf/0.1/",
+    "prov": "http://www.w3.org/ns/prov#",
+    "fr": "http://purl.org/spar/fr/",
+    "doco": "http://purl.org/spar/doco/",
+    "own": "https://example.org/terms/",
+}
+
+
+def absolute(term: str) -> str:
+    """A term of a vocabulary written out."""
+    prefix, _, name = term.partition(":")
+    return VOCABULARIES[prefix] + name
 TRIPLE = "s string, p string, o string, o_kind string"

@@ -1,5 +1,7 @@
 """Resolution, minting, merging, graph, history, search and commits on small inputs."""
 
+import json
+
 import pytest
 from pyspark.sql import Row
 from pyspark.sql import functions as F
@@ -221,6 +223,103 @@ def test_lake(spark, tmp_path):
     assert lake.manifest()["version"] == 2
 
 
+def test_two_streams_into_one_lake(spark, tmp_path):
+    """Batches of another stream are not taken for those of the first; gaps are filled, stored values stay."""
+    from biblake.streaming import streams
+
+    lake = Lake(spark, str(tmp_path / "lake"), "key", buckets=2)
+    for n, rows in enumerate(([(1, "a", None), (2, "b", None)], [(2, "z", "late"), (3, "c", None)])):
+        df = spark.createDataFrame(rows, "key long, v string, w string")
+        df.write.parquet(str(tmp_path / f"in{n}"))
+        for _ in range(2):  # run again on its checkpoint it changes nothing
+            streams.ingest(spark.readStream.schema(df.schema).parquet(str(tmp_path / f"in{n}")), lake, str(tmp_path / f"state{n}"))
+    assert {tuple(r) for r in lake.rows().select("key", "v", "w").collect()} == {(1, "a", None), (2, "b", "late"), (3, "c", None)}
+
+
+def test_lake_reads_buckets_of_keys(spark, tmp_path):
+    """The first row by order is kept, buckets double with the rows, and a look-up opens the buckets of its keys alone."""
+    lake = Lake(spark, str(tmp_path / "lake"), "key", buckets=2, rows_a_bucket=50)
+    first = spark.createDataFrame([(k, n, f"{k}-{n}" if n else None) for k in range(300) for n in range(3)], "key long, n long, v string")
+    assert lake.apply(first.repartition(3), "one", ["n"])
+    assert {tuple(r) for r in lake.rows().select("key", "n", "v").collect()} == {(k, 0, f"{k}-1") for k in range(300)}
+    assert lake.apply(first.where("key = 7").withColumn("v", F.lit("no")), "two", ["n"]) and lake.manifest()["tables"]["rows"]["n"] == 8
+    assert lake.rows().count() == 300 and lake.manifest()["tables"]["rows"]["rows"] == 300
+    found = lake.rows(keys=[7])
+    assert [tuple(r) for r in found.select("key", "v").collect()] == [(7, "7-1")] and len({f.rsplit("/", 2)[1] for f in found.inputFiles()}) == 1
+    assert {r.key for r in lake.touched("rows", spark.createDataFrame([(7,)], "k long")).collect()} < set(range(300))
+
+
+def test_short_phrases_are_found(spark):
+    from biblake.operators import search
+
+    texts = spark.createDataFrame([(1, "one two three four five six seven"), (2, "a two threefold"), (3, None), (4, ""), (5, "one two three four five six")], "key long, text string")
+    wanted = ["two three", "six seven", "one two three four five", "wo thr", "absent", "one two three four five six", ""]
+    phrases = spark.createDataFrame(list(enumerate(wanted)) + [(9, None)], "item long, phrase string")
+    got = {tuple(r) for r in search.phrase_hits(texts, phrases, "key", "text", "item", "phrase").collect()}
+    assert got == {(i, r.key) for r in texts.collect() if r.text is not None for i, p in enumerate(wanted) if p in r.text}
+    many = search.short_hits(texts, phrases.where("phrase is not null"), most=2)
+    assert {tuple(r) for r in many.collect()} == got
+
+
+def test_rules_in_sql(spark):
+    from biblake.functions import ids, text
+    from biblake.functions.register import register
+
+    register(spark)
+    said = ["OPEN ACCESS to Data", "SHOUTED TITLE", "a\u00a0b\u2013c\u0085d\u2043e\u00adf\u000bg", "iOS and (ieee) x", "", None, "1588-2861", "1588\u20132861", "0138-9131", "2434-561x", "1050-124X"]
+    df = spark.createDataFrame([(x,) for x in said], "c string")
+    for name, f in (("norm_space", text.norm_space), ("norm_hyphen", text.norm_hyphen), ("norm_title", text.norm_title), ("valid_issn", ids.valid_issn)):
+        assert all(a == b for a, b in df.select(F.expr(f"{name}(c)"), f(F.col("c"))).collect()), name
+
+
+def test_lookups_open_few_buckets(spark, small):
+    from biblake.plans import serve
+
+    lake = serve.served(spark, small)
+    assert len({f.rsplit("/", 2)[1] for f in lake.rows("ids", keys=["ord:1"]).inputFiles()}) == 1
+    found = serve.by_ids(lake, ["ord:1", "pm:3"])
+    assert len({f.rsplit("/", 2)[1] for f in found.inputFiles()}) <= 2 and found.count() == 2
+    assert serve.by_ids(lake, ["ord:none"]).count() == 0 == serve.by_agent(lake, ["sup:none"], "author").count()
+
+
+def test_curate_against_fold(spark):
+    """Random batches against one record at a time: shared identifiers, first values, united identifiers, contributors in order."""
+    import random
+
+    r = random.Random(3)
+    rows = []
+    for i in range(60):
+        ids = sorted({f"x:{r.randrange(50)}" for _ in range(r.randrange(1, 3))})
+        names = r.sample(["Lee, Ann", "Roe, Bob", "Poe, Cy"], r.randrange(0, 3))
+        rows.append(line(i, id=" ".join(ids), title=r.choice([None, f"T{i}"]), publisher=r.choice([None, "", f"P{i}"]), author="; ".join(names) or None, page=r.choice([None, f"{i}"])))
+    entities = []  # (ids, fields, authors), by first row
+    for x in rows:
+        mine = set(x.id.split())
+        hit = [e for e in entities if e[0] & mine]
+        one = hit[0] if hit else (set(), {}, [])
+        if not hit:
+            entities.append(one)
+        for e in hit[1:]:  # a row that joins entities of the batch makes them one, the earlier first
+            one[0].update(e[0])
+            for k, v in e[1].items():
+                if k not in one[1] or one[1][k][0] > v[0]:
+                    one[1][k] = v
+            one[2].extend(e[2])
+            entities.remove(e)
+        one[0].update(mine)
+        for k in ("title", "publisher", "page"):
+            if x[k] and k not in one[1]:
+                one[1][k] = (x.row_seq, x[k])
+        one[2].extend((x.row_seq, n, a) for n, a in enumerate((x.author or "").split("; ")) if a)
+    want = set()
+    for ids, fields, who in entities:
+        names = list(dict.fromkeys(a for _, _, a in sorted(who)))
+        want.add((" ".join(sorted(ids)), *(fields.get(k, (0, None))[1] for k in ("title", "publisher", "page")), "; ".join(names) or None))
+    none = spark.createDataFrame([], ", ".join(f"{c} string" for c in ("eid", *COLUMNS)))
+    got = C.curate(spark.createDataFrame(rows, SCHEMA), spark.createDataFrame([], "id string, eid string"), none).table
+    assert {tuple(x) for x in got.select("id", "title", "publisher", "page", "author").collect()} == want
+
+
 def test_nquads(spark, tmp_path):
     from biblake.sources import io
 
@@ -228,8 +327,36 @@ def test_nquads(spark, tmp_path):
     io.write_nquads(t, str(tmp_path / "q"))
     back = io.read_nquads(spark, str(tmp_path / "q"))
     assert {tuple(r)[:4] for r in back.collect()} == {tuple(r) for r in t.collect()}
-    io.write_jsonld(t, str(tmp_path / "j"))
-    assert spark.read.json(str(tmp_path / "j")).count() == 1
+    more = t.union(spark.createDataFrame([("br/0601", "a", "fabio:Book", "iri"), ("br/0601", "title", "b", "text"), ("br/0602", "a", "fabio:Journal", "iri"), ("ar/0601", "held_by", "ra/0601", "iri"), ("br/0601", "own words", "x", "text")], t.schema))
+    io.write_jsonld(more, str(tmp_path / "j"))
+    nodes = {r["@id"]: r for r in map(json.loads, (x.value for x in spark.read.text(str(tmp_path / "j")).collect()))}
+    assert nodes["https://example.org/br/0601"]["@type"] == ["http://purl.org/spar/fabio/Book"] and {"@value": "b"} in nodes["https://example.org/br/0601"]["http://purl.org/dc/terms/title"]
+    assert sorted(tuple(r) for r in io.read_jsonld(spark, str(tmp_path / "j")).collect()) == sorted(tuple(r) for r in more.collect())
+
+
+def test_sizes_are_those_of_files(spark, small, tmp_path):
+    """The bytes that the formats are said to take are those that the writers write."""
+    from biblake.operators.triples import store_of, to_triples
+    from biblake.sources import io
+
+    rows = A.pub_rows(spark, small)
+    triples = to_triples(store_of(rows)).checkpoint()
+    got = {r.format: (r.rows, r.bytes) for r in io.format_sizes(rows, triples).collect()}
+    io.write_csv(rows.coalesce(1), str(tmp_path / "csv"))
+    io.write_nquads(triples.coalesce(1), str(tmp_path / "nq"))
+    rows.select(F.to_json(F.struct(*COLUMNS))).coalesce(1).write.text(str(tmp_path / "json"))
+    size = lambda d: sum(f.stat().st_size for f in (tmp_path / d).iterdir() if f.name.startswith("part"))
+    assert size("nq") == got["nquads"][1] and size("json") == got["json"][1]
+    assert size("csv") - len(",".join(COLUMNS)) - 1 == got["csv"][1] and got["csv"][0] == rows.count()
+
+
+def test_jsonld_is_read_back_whole(spark, small, tmp_path):
+    from biblake.operators.triples import store_of, to_triples
+    from biblake.sources import io
+
+    triples = to_triples(store_of(A.pub_rows(spark, small).limit(40))).checkpoint()
+    io.write_jsonld(triples, str(tmp_path / "j"))
+    assert sorted(map(tuple, io.read_jsonld(spark, str(tmp_path / "j")).collect())) == sorted(map(tuple, triples.collect()))
 
 
 def test_read_input(spark, tmp_path):
@@ -238,6 +365,15 @@ def test_read_input(spark, tmp_path):
     (tmp_path / "in.csv").write_text("id,title,author,editor,pub_date,venue,volume,issue,page,type,publisher\n" + "".join(f'doi:{i},"t ""{i}""",,,,,,,,,\n' for i in range(30)))
     rows = io.read_input(spark, str(tmp_path / "in.csv")).orderBy("file_seq", "row_seq").collect()
     assert [r.id for r in rows] == [f"doi:{i}" for i in range(30)] and rows[3].title == 't "3"'
+    (tmp_path / "many").mkdir()
+    for n, name in enumerate(("a b.csv", "b+c.csv", "z.csv")):  # smaller files are packed after larger ones, whatever their names
+        (tmp_path / "many" / name).write_text("id,title,author,editor,pub_date,venue,volume,issue,page,type,publisher\n" + "".join(f"doi:{n}-{i:03},,,,,,,,,,\n" for i in range(5 + 40 * n)))
+    for path, fmt in ((str(tmp_path / "many"), "csv"), (str(tmp_path / "parquet"), "parquet")):
+        if fmt == "parquet":
+            spark.read.option("header", True).csv(str(tmp_path / "many")).orderBy("id").coalesce(1).write.option("parquet.block.size", 1000).parquet(path)
+        rows = io.read_input(spark, path, fmt).collect()
+        ids = [r.id for r in sorted(rows, key=lambda r: (r.file_seq, r.row_seq))]
+        assert ids == sorted(ids) and len(ids) == 135 and {r.file_seq for r in rows} == ({0, 1, 2} if fmt == "csv" else {0})
 
 
 def test_plans_have_no_products(spark, small):

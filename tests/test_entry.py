@@ -27,7 +27,12 @@ def test_without_text_operators(tmp_path):
         (shutil.copytree if os.path.isdir(f"{ROOT}/{x}") else shutil.copy)(f"{ROOT}/{x}", tmp_path / x)
     shutil.rmtree(tmp_path / "biblake" / "llm", ignore_errors=True)
     code = "import __spark_entry__ as e; q = e.queries(); assert 'overview_counts' in q and not any(n.startswith('op1') for n in q); e.oracle_sql()"
-    subprocess.run([sys.executable, "-c", code], cwd=tmp_path, env={**os.environ, "PYTHONPATH": str(tmp_path)}, check=True)
+    env = {**os.environ, "PYTHONPATH": str(tmp_path)}
+    subprocess.run([sys.executable, "-c", code], cwd=tmp_path, env=env, check=True)
+    shutil.copytree(f"{ROOT}/tests", tmp_path / "tests")
+    shutil.rmtree(tmp_path / "tests" / "llm", ignore_errors=True)
+    subprocess.run([sys.executable, "-m", "pytest", "tests", "-q", "--collect-only"], cwd=tmp_path, env=env, check=True, stdout=subprocess.DEVNULL)
+    subprocess.run([sys.executable, "-m", "pytest", "tests/test_rules.py", "-x", "-q"], cwd=tmp_path, env=env, check=True, stdout=subprocess.DEVNULL)
 
 
 def plain(v):
