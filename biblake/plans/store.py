@@ -7,6 +7,7 @@ import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 #: Rows that a bucket holds on average before the buckets are doubled.
 ROWS = 500_000
@@ -66,11 +67,11 @@ class Lake:
         stream, _, n = batch_id.rpartition("/")
         return int(n) <= known["streams"].get(stream, -1) if stream and n.isdigit() else batch_id in known["batches"]
 
-    def _read(self, table: dict, buckets: list[int] | None = None) -> DataFrame | None:
+    def _read(self, table: dict, buckets: list[int] | None = None) -> DataFrame:
         """The rows of some buckets, or all: only their directories are listed and opened."""
-        at = table["at"]
-        paths = [f"{self.path}/{d}/bucket={b}" for b, d in sorted(at.items()) if buckets is None or int(b) in buckets]
-        return self.spark.read.parquet(*paths) if paths else None
+        schema = StructType.fromJson(table["schema"])
+        paths = [f"{self.path}/{d}/bucket={b}" for b, d in sorted(table["at"].items()) if buckets is None or int(b) in buckets]
+        return self.spark.read.schema(schema).parquet(*paths) if paths else self.spark.createDataFrame([], schema)
 
     def rows(self, table: str = "rows", keys: list | None = None) -> DataFrame | None:
         """A table, or those of its rows that have one of ``keys``, read from the keys' buckets alone; None before its first batch."""
@@ -81,8 +82,7 @@ class Lake:
             return self._read(known)
         names = self.spark.createDataFrame([(k,) for k in keys], "k string" if all(isinstance(k, str) for k in keys) else "k bigint")
         hit = {r[0] for r in names.select(self._bucket(F.col("k"), known["n"])).distinct().collect()}
-        found = self._read(known, sorted(hit))
-        return found.where(F.col(known["key"]).isin(*keys)) if found is not None else self._read(known).limit(0)
+        return self._read(known, sorted(hit)).where(F.col(known["key"]).isin(*keys))
 
     def buckets_of(self, table: str, key: Column) -> Column | None:
         """The bucket that a key falls into, to prune by."""
@@ -95,7 +95,7 @@ class Lake:
         if known is None:
             return None
         hit = [r[0] for r in keys.select(self._bucket(F.col(keys.columns[0]), known["n"])).distinct().collect()]
-        return self._read(known, hit) if hit else self._read(known).limit(0)
+        return self._read(known, hit)
 
     def apply(self, batch: DataFrame, batch_id: str, order: list[str] | None = None) -> bool:
         """Adds a batch to the table 'rows' (see ``commit``); False if it was applied before."""
@@ -127,12 +127,11 @@ class Lake:
             n *= 2
         names = rows.columns
         new = rows.withColumns({"_key": F.col(key), "bucket": self._bucket(F.col(key), n), "_old": F.lit(1)})
-        old, at = None, {}
+        at = {}
         if table:
             hit = None if n != old_n else [r[0] for r in new.select("bucket").distinct().collect()]
             at = {} if hit is None else {b: d for b, d in table["at"].items() if int(b) not in hit}
             old = self._read(table, hit)
-        if old is not None:
             names = [*names, *(c for c in old.columns if c not in names)]
             new = new.unionByName(old.withColumns({"_key": F.col(key), "bucket": self._bucket(F.col(key), n), "_old": F.lit(0)}), allowMissingColumns=True)
         if how == "replace":
@@ -145,7 +144,7 @@ class Lake:
             picks = [F.min_by(c, F.when(F.col(c).isNotNull(), place)).alias(c) for c in names]
             out = new.groupBy("bucket", "_key").agg(*picks).drop("_key")
         out.repartition(n, "bucket").sortWithinPartitions("bucket", key).write.partitionBy("bucket").parquet(f"{self.path}/{part}")
-        sizes = self.spark.read.parquet(f"{self.path}/{part}").groupBy("bucket").agg(F.count("*").alias("c")).collect()
-        mine = {str(r.bucket): part for r in sizes}
-        kept = sum((table or {}).get("sizes", {}).get(b, 0) for b in at)
-        return {"n": n, "key": key, "rows": kept + sum(r.c for r in sizes), "at": {**at, **mine}, "sizes": {**{b: (table or {"sizes": {}})["sizes"].get(b, 0) for b in at}, **{str(r.bucket): r.c for r in sizes}}}
+        written = self.spark.read.schema(out.schema).parquet(f"{self.path}/{part}").groupBy("bucket").agg(F.count("*").alias("c")).collect()
+        sizes = {b: table["sizes"][b] for b in at} | {str(r.bucket): r.c for r in written}
+        schema = StructType([f for f in out.schema.fields if f.name != "bucket"]).jsonValue()
+        return {"n": n, "key": key, "rows": sum(sizes.values()), "at": at | {str(r.bucket): part for r in written}, "sizes": sizes, "schema": schema}
