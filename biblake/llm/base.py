@@ -205,6 +205,17 @@ def split_hot(members: DataFrame, keys: list[str], spread: Column, target: int,
     return dealt.withColumn("_other", other).withColumns({"part_a": F.least("own_part", "_other"), "part_b": F.greatest("own_part", "_other")}).drop("_rows", "_chunks", "_other")
 
 
+def split_only_hot(members: DataFrame, keys: list[str], spread: Column, target: int, few: int) -> DataFrame:
+    """The same for keys of which nearly all have company: the rows move only once, when they are dealt. What is looked up is the keys above the target;
+    they are broadcast while there are no more than ``few``."""
+    hot = durable(members.groupBy(*keys).agg(F.count("*").alias("_rows")).where(F.col("_rows") > target))
+    per = F.broadcast(hot) if hot.count() <= few else rekeyed(hot, *keys)
+    chunks = F.coalesce(F.ceil(F.col("_rows") / F.lit(target)), F.lit(1)).cast("int")
+    dealt = members.join(per, keys, "left").withColumns({"_chunks": chunks, "own_part": F.pmod(spread, chunks).cast("int")})
+    other = F.explode(F.sequence(F.lit(0), F.col("_chunks") - 1))
+    return dealt.withColumn("_other", other).withColumns({"part_a": F.least("own_part", "_other"), "part_b": F.greatest("own_part", "_other")}).drop("_rows", "_chunks", "_other")
+
+
 def grouped(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Table]:
     """Runs of equal keys of rows sorted by them; a run may cross batches."""
     held: list[pa.RecordBatch] = []

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from biblake.llm.base import MASK, batch, grouped, merge_labels, mixed, over_batches, slices, split_hot, whole_again, whole_rows, word_hashes
+from biblake.llm.base import MASK, batch, grouped, merge_labels, mixed, over_batches, slices, split_hot, split_only_hot, whole_again, whole_rows, word_hashes
 from biblake.operators.cluster import connected_components
 from biblake.session import durable, parallelism, rekeyed
 
@@ -226,8 +226,10 @@ def digest(documents: DataFrame) -> DataFrame:
 #: Near copies by shingles: five words, a Jaccard similarity of 0.8, found with 128-bit SimHashes that differ in at most 30 bits
 #: (about 19 +- 4 do at that similarity, 64 +- 6 for texts that share nothing), which meet with this probability, taken over that spread.
 ALIKE_WORDS, ALIKE, WIDE_LIMIT, MEET, APART = 5, 0.8, 30, 0.98, 0.15
-#: Documents in candidate pairs whose ids are broadcast, to take only their texts into the exchange.
+#: Ids or buckets that are broadcast, to take only what belongs to them into an exchange.
 FEW = 1_000_000
+#: Documents in a bucket, if they are spread evenly: comparing them costs less than more tables of smaller buckets.
+BUCKET = 256
 
 
 def wide_simhash(hashes: np.ndarray) -> tuple[int, int]:
@@ -259,7 +261,7 @@ def meeting(bits: int, count: int) -> float:
 
 def bands_for(n: int, seed: int = 17) -> list[tuple[int, int]]:
     """(word, mask) pairs: random bits of one of the two words, as many as make small buckets of n documents, as often as MEET needs."""
-    bits = max(8, min(26, int(math.log2(max(n, 2) / 24)) if n > 24 else 8))
+    bits = max(8, min(26, int(math.log2(max(n, BUCKET) / BUCKET))))
     count = next(c for c in range(1, 1 << 12) if meeting(bits, c) >= MEET)
     rng = random.Random(seed)
     return [(i % 2, _signed(sum(1 << b for b in rng.sample(range(64), bits)))) for i in range(count)]
@@ -278,7 +280,7 @@ def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", tex
     ``label`` if some of them are one group already.
 
     The pairs connect all groups, they are not all pairs. In each bucket a document is paired with the nearest ones before it that are
-    within the limit, not tried and not in its group yet: one in the first round, twice as many in each further one, until no
+    within the limit, not tried and not in its group yet: one in the first round, four times as many in each further one, until no
     document has any left. So a group of k near copies gives k - 1 pairs a bucket. A document that found none is no longer asked, and buckets
     in which none is asked are left out. Pairs are checked on the texts' whole shingle sets.
     """
@@ -288,11 +290,14 @@ def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", tex
     out = pa.schema([("a", pa.int64()), ("b", pa.int64())])
     texts = documents.select(F.col(key).cast("bigint").alias("of"), F.col(text).alias("t"))
 
-    def candidates(state: DataFrame, take: int) -> DataFrame:
-        """state: (key, w0, w1, label, tried, ask)."""
+    def candidates(state: DataFrame, take: int, asked: int | None) -> DataFrame:
+        """state: (key, w0, w1, label, tried, ask); asked: how many are, None for all."""
         names = ["key", "w0", "w1", "label", "tried", "ask"]
         cells = state.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col(f"w{w}").bitwiseAND(F.lit(m)).alias("v")) for i, (w, m) in enumerate(bands)]))).select(*names, "cell.t", "cell.v")
-        parts = split_hot(cells, ["t", "v"], F.xxhash64("key"), PART, F.max("ask") & (F.min("label") != F.max("label")))
+        if asked is not None:  # only buckets in which a document is asked
+            mine = cells.where("ask").select("t", "v").distinct()
+            cells = cells.join(F.broadcast(mine) if asked * len(bands) <= FEW else rekeyed(mine, "t", "v"), ["t", "v"], "left_semi")
+        parts = split_only_hot(cells, ["t", "v"], F.xxhash64("key"), PART, FEW)
         dealt = parts.repartition(n, "t", "v", "part_a", "part_b").sortWithinPartitions("t", "v", "part_a", "part_b", "key").select("t", "v", "part_a", "part_b", *names)
 
         def nearest(batches):
@@ -332,21 +337,22 @@ def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", tex
         return both.select("a", "b", F.coalesce(shared >= ALIKE * (F.size("x") + F.size("y") - shared), F.lit(False)).alias("alike"))
 
     none = F.array().cast("array<bigint>")
-    pairs, take = None, 1
+    pairs, take, asked = None, 1, None
     group = marks.select("key", "group")
     state = marks.select("key", "w0", "w1", F.col("group").alias("label"), none.alias("tried"), F.lit(True).alias("ask"))
     while True:
-        maybe = durable(candidates(state, take))
+        maybe = durable(candidates(state, take, asked))
         if maybe.isEmpty():
             break
         found = durable(checked(maybe))
-        pairs, take = found if pairs is None else durable(pairs.union(found)), 2 * take
+        pairs, take = found if pairs is None else durable(pairs.union(found)), 4 * take
         held = pairs.where("alike").join(rekeyed(group.withColumnRenamed("key", "a"), "a"), "a").withColumnRenamed("group", "src").join(rekeyed(group.withColumnRenamed("key", "b"), "b"), "b").withColumnRenamed("group", "dst")
         labels = connected_components(held.select("src", "dst")).select(F.col("node").alias("group"), F.col("component").alias("label"))
         tried = pairs.where(~F.col("alike")).groupBy(F.col("a").alias("key")).agg(F.collect_set("b").alias("tried"))
         ask = found.select(F.col("a").alias("key")).distinct().withColumn("ask", F.lit(True))
         state = marks.join(rekeyed(labels, "group"), "group", "left").join(rekeyed(tried, "key"), "key", "left").join(rekeyed(ask, "key"), "key", "left")
         state = durable(state.select("key", "w0", "w1", F.coalesce("label", "group").alias("label"), F.coalesce("tried", none).alias("tried"), F.coalesce("ask", F.lit(False)).alias("ask")))
+        asked = state.where("ask").count()
     return (maybe.withColumn("alike", F.lit(False)) if pairs is None else pairs).where("alike").select("a", "b")
 
 
