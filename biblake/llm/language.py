@@ -108,8 +108,8 @@ def held_out(key: Column) -> Column:
 def train(documents: DataFrame, sample: int = SAMPLE, languages: int = LANGUAGES) -> Model:
     """Fits the codes' classifiers to a hash-chosen sample of the labelled documents that are not held out.
 
-    The languages are counted over the whole table. What comes to the driver is bounded: by ``languages`` counts and ``sample`` rows of
-    features, those of the smallest hashes; rows that repeat an id and a text are learned from once.
+    The languages are counted over the whole table. What comes to the driver is bounded: by ``languages`` counts and about ``sample`` rows of
+    features, as each text of a language is drawn by its hash with a chance that gives so many, and texts that repeat come once.
     """
     rows = documents.where(F.col("lang").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", "text", "lang")
     counts = {r.lang: r.n for r in rows.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(languages).collect()}
@@ -130,7 +130,7 @@ def train(documents: DataFrame, sample: int = SAMPLE, languages: int = LANGUAGES
             yield batch(out, [b.column(0), b.column(2), b.column(3), [r.astype(np.float16).tobytes() if k else None for r, k in zip(x, ok)]])
 
     made = over_batches(drawn.select(F.col("doc_id").cast("bigint"), "text", "lang", "h"), work, "doc_id bigint, lang string, h bigint, x binary").where("x is not null")
-    got = made.dropDuplicates(["lang", "h"]).orderBy("h", "lang").limit(sample).collect()
+    got = sorted(made.dropDuplicates(["lang", "h"]).collect(), key=lambda r: (r.h, r.lang))[:sample]
     return fit(np.array([np.frombuffer(r.x, np.float16) for r in got], np.float32).reshape(-1, BINS), [r.lang for r in got])
 
 
