@@ -244,7 +244,7 @@ def sql() -> dict[str, str]:
         "curate_batch": f"""WITH RECURSIVE {_DOC},{_closure('c', 'ids')},
             m AS (SELECT comp, doc_id, source, lang FROM d1 JOIN c USING (doc_id)),
             i AS (SELECT comp, string_agg(id, ' ' ORDER BY id) AS id FROM (SELECT DISTINCT comp, id FROM c JOIN ids USING (doc_id)) GROUP BY comp),
-            a AS (SELECT comp, string_agg(name, '; ' ORDER BY at) AS author FROM (SELECT comp, 'Team ' || upper(source[1]) || source[2:] AS name, min(doc_id) AS at FROM m WHERE source IS NOT NULL GROUP BY ALL) GROUP BY comp),
+            a AS (SELECT comp, string_agg(name, '; ' ORDER BY first_doc) AS author FROM (SELECT comp, 'Team ' || upper(source[1]) || source[2:] AS name, min(doc_id) AS first_doc FROM m WHERE source IS NOT NULL GROUP BY ALL) GROUP BY comp),
             f AS (SELECT comp, dense_rank() OVER (ORDER BY comp) AS n, arg_min(source, doc_id) AS source, arg_min(lang, doc_id) FILTER (WHERE lang IS NOT NULL) AS type, CAST(min(doc_id) % 50 AS VARCHAR) AS volume,
               CASE WHEN bool_or(doc_id % 2 = 0) THEN '2020-02' END AS pub_date FROM m GROUP BY comp)
             SELECT 'br/060' || n AS eid, id, author, pub_date, volume, type, upper(source[1]) || source[2:] AS publisher FROM f JOIN i USING (comp) LEFT JOIN a USING (comp)""",
