@@ -131,13 +131,17 @@ def _none(spark, schema: str) -> DataFrame:
 
 
 def _resolved(rows: DataFrame, cells: tuple[str, ...], kind: str, index: DataFrame, options: Options, last: DataFrame | None) -> tuple[DataFrame, DataFrame]:
-    """((id, eid) after the batch, counters) of the entities with identifiers that the cells name."""
-    at = [F.coalesce(c, F.lit(0)).alias(n) for c, n in (("file_seq", "f"), ("row_seq", "r"))]
+    """((id, eid) after the batch, counters) of the entities with identifiers that the cells name.
+
+    Rows may have rank and eid: stored ones (rank 0) come first and have no place in a file, so their entity tells them apart.
+    """
+    extra = [F.col(c) if c in rows.columns else F.lit(None).cast(kind).alias(c) for c, kind in (("rank", "int"), ("eid", "string"))]
+    at = [*extra, *(F.coalesce(c, F.lit(0)).alias(n) for c, n in (("file_seq", "f"), ("row_seq", "r")))]
     each = None
     for c in cells:
         part = rows.select(*at, F.lit(c).alias("c"), F.posexplode(people(F.col(c))).alias("i", "p"))
         each = part if each is None else each.union(part)
-    keyed = each.where(F.size("p.ids") > 0).select(F.struct("f", "r", "c", "i").alias("key"), _checked(F.col("p.ids"))[0].alias("ids"), F.lit(None).cast("string").alias("declared"))
+    keyed = each.where(F.size("p.ids") > 0).select(F.struct("rank", "f", "r", "eid", "c", "i").alias("key"), _checked(F.col("p.ids"))[0].alias("ids"), F.lit(None).cast("string").alias("declared"))
     keyed = durable(keyed.where(F.size("ids") > 0))
     named, minted = assign(keyed, index.select("id", "eid"), kind, options, last)
     owned = keyed.join(named.select("key", "eid"), "key").select("eid", F.explode("ids").alias("id"), "key")
@@ -231,7 +235,7 @@ def curate(rows: DataFrame, id_index: DataFrame, stored: DataFrame, options: Opt
     after = durable(newly_owned(incoming.select("eid", F.explode("ids").alias("id"), "key"), index))
     id_cells = after.join(touched, "eid", "left_semi").groupBy("eid").agg(F.array_join(F.array_sort(F.collect_set("id")), " ").alias("id"))
 
-    said_by = both.select(F.col("key.file_seq").alias("file_seq"), F.col("key.row_seq").alias("row_seq"), "author", "editor", "publisher", "venue")
+    said_by = both.select("rank", "eid", F.col("key.file_seq").alias("file_seq"), F.col("key.row_seq").alias("row_seq"), "author", "editor", "publisher", "venue")
     agents, agent_counters = resolve_agents(said_by, known.agents if known.agents is not None else _none(spark, "id string, eid string"), options, known.agent_last)
     venues, counters = resolve_venues(said_by, known.venues if known.venues is not None else _none(spark, "id string, eid string"), options, counters)
     agents, venues, counters = durable(agents), durable(venues), durable(counters)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from biblake.plans.curate import Known, Options, curate
 from biblake.plans.store import Lake
-from biblake.session import durable, shared_folder, table
+from biblake.session import durable, parallelism, shared_folder, table
 from biblake.sources import adapters as A
 from biblake.sources.schema import COLUMNS
 
@@ -133,7 +133,7 @@ def curated_batch(lake: Lake, rows: DataFrame, batch_id: str) -> bool:
     if lake._applied(lake.manifest(), batch_id):
         return False
     spark = lake.spark
-    rows = durable(rows)
+    rows = durable(rows.repartition(parallelism(spark)))  # one large file would be repaired in one task
     held = {t: lake.rows(t) for t in (*_STATE, "works", "counters", "agent_counters", "ledger")}
     state = {t: held[t].select(*[c.split()[0] for c in s.split(", ")]) if held[t] is not None else spark.createDataFrame([], s) for t, s in _STATE.items()}
     stored = held["works"].select("eid", *COLUMNS) if held["works"] is not None else spark.createDataFrame([], ", ".join(f"{c} string" for c in ("eid", *COLUMNS)))

@@ -421,6 +421,19 @@ def test_people_in_curation(spark):
     assert r.editor == "Poe, Cy [viaf:3]" and r.publisher == "Acme Press [registry:9]"
 
 
+def test_stored_agents_stay_apart(spark):
+    """Works of an earlier batch have no place in a file: their contributors are still told apart, and a new identifier goes to its own person."""
+    rows = spark.createDataFrame([line(k, id=f"doi:10.1000/{k}", author=f"Lee, Ann [per:{k}]") for k in range(1, 6)], SCHEMA)
+    none = spark.createDataFrame([], ", ".join(f"{c} string" for c in ("eid", *COLUMNS)))
+    first = C.curate(rows, spark.createDataFrame([], "id string, eid string"), none)
+    late = spark.createDataFrame([line(k, id=f"doi:10.1000/{k}", author=f"Lee, Ann [per:{k} viaf:{k}]") for k in range(1, 6)], SCHEMA)
+    known = C.Known(last=first.counters, agents=first.agents, agent_last=first.agent_counters, venues=first.venues, containers=first.containers)
+    again = C.curate(late, first.id_index, first.table.checkpoint(), known=known)
+    got = {r.id: r.eid for r in again.agents.collect()}
+    assert len({got[f"per:{k}"] for k in range(1, 6)}) == 5 and all(got[f"viaf:{k}"] == got[f"per:{k}"] for k in range(1, 6))
+    assert {tuple(r) for r in again.agent_counters.collect()} == {tuple(r) for r in first.agent_counters.collect()}
+
+
 def test_containment_in_curation(spark):
     """Volumes and issues are one under one venue only; a second batch finds them again."""
     rows = spark.createDataFrame(
