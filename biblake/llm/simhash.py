@@ -279,16 +279,19 @@ def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", tex
     """(a, b): documents whose five-word shingles overlap by 0.8 or more, b before a. marks: (key, w0, w1) of the documents to compare, and
     ``label`` if some of them are one group already.
 
-    The pairs connect all groups, they are not all pairs. In each bucket a document is paired with the nearest ones before it that are
-    within the limit, not tried and not in its group yet: one in the first round, four times as many in each further one, until no
-    document has any left. So a group of k near copies gives k - 1 pairs a bucket. A document that found none is no longer asked, and buckets
-    in which none is asked are left out. Pairs are checked on the texts' whole shingle sets.
+    The pairs connect all groups, they are not all pairs. A document is paired with the nearest ones before it, of all its buckets, that are
+    within the limit, not tried and not in its group yet: one in the first round, eight times as many in each further one, until no
+    document has any left. So a group of k near copies gives k - 1 pairs, in however many buckets they meet. A document that found none is no
+    longer asked, and buckets in which none is asked are left out. Pairs are checked on the texts' whole shingle sets; the texts are joined to
+    them, as they are smaller than the sets, and nothing is grouped by pair.
     """
     n = parallelism(documents.sparkSession)
     marks = marks.where((F.col("w0") != 0) | (F.col("w1") != 0)).select("key", "w0", "w1", F.col("label" if "label" in marks.columns else "key").alias("group"))
     bands = bands_for(marks.count())
-    out = pa.schema([("a", pa.int64()), ("b", pa.int64())])
-    texts = documents.select(F.col(key).cast("bigint").alias("of"), F.col(text).alias("t"))
+    out = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("far", pa.int32())])
+    texts = documents.select(F.col(key).cast("bigint").alias("of"), F.col(text).alias("t")).where("of is not null")
+    if not texts.groupBy("of").agg(F.count("*").alias("n")).where("n > 1").isEmpty():  # of rows that repeat an id one text is compared
+        texts = texts.groupBy("of").agg(F.max("t").alias("t"))
 
     def candidates(state: DataFrame, take: int, asked: int | None) -> DataFrame:
         """state: (key, w0, w1, label, tried, ask); asked: how many are, None for all."""
@@ -307,7 +310,7 @@ def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", tex
                 ids, label, ask = (g.column(c).to_numpy() for c in ("key", "label", "ask"))
                 x, y = (g.column(c).to_numpy().view(np.uint64) for c in ("w0", "w1"))
                 tried = g.column("tried").to_pylist()
-                later, earlier = [], []
+                later, earlier, apart = [], [], []
                 for s in range(1, len(ids), 512):
                     e = min(s + 512, len(ids))
                     far = np.bitwise_count(x[s:e, None] ^ x[None, :e]).astype(np.int16) + np.bitwise_count(y[s:e, None] ^ y[None, :e])
@@ -319,20 +322,26 @@ def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", tex
                         near = near[np.argsort(far[i, near], kind="stable")][:take]
                         later.append(np.full(len(near), s + i))
                         earlier.append(near)
+                        apart.append(far[i, near])
                 if later:
                     i, j = np.concatenate(later), np.concatenate(earlier)
-                    yield batch(out, [ids[i], ids[j]])
+                    yield batch(out, [ids[i], ids[j], np.concatenate(apart).astype(np.int32)])
 
-        return over_batches(dealt, nearest, "a bigint, b bigint").where("a != b").distinct()
+        met = over_batches(dealt, nearest, "a bigint, b bigint, far int").where("a != b")
+        pair = F.struct("far", "b")
+        if take == 1:
+            return met.groupBy("a").agg(F.min(pair).alias("x")).select("a", "x.b")
+        return met.groupBy("a").agg(F.slice(F.array_sort(F.collect_set(pair)), 1, take).alias("x")).select("a", F.explode("x.b").alias("b"))
 
     def checked(found: DataFrame) -> DataFrame:
         """(a, b, alike)"""
-        sides = found.select("a", "b", F.explode(F.array("a", "b")).alias("of"))
-        wanted = durable(sides.select("of").distinct())
+        wanted = durable(found.select(F.explode(F.array("a", "b")).alias("of")).distinct())
         some = texts.join(F.broadcast(wanted), "of", "left_semi") if wanted.count() <= FEW else texts
-        ws, sets = _shingles(F.col("t"))
-        each = sides.join(some, "of").select("a", "b", "of", ws.alias("ws")).select("a", "b", "of", sets.alias("set"))
-        both = each.groupBy("a", "b").agg(F.max(F.when(F.col("of") == F.col("a"), F.col("set"))).alias("x"), F.max(F.when(F.col("of") == F.col("b"), F.col("set"))).alias("y"))
+        one = found.join(rekeyed(some, "of"), F.col("a") == F.col("of")).select("a", "b", F.col("t").alias("x"))
+        two = rekeyed(one, "b").join(rekeyed(some, "of"), F.col("b") == F.col("of")).select("a", "b", "x", "t")
+        (ws, sets), (more, _) = _shingles(F.col("x")), _shingles(F.col("t"))
+        half = two.select("a", "b", "t", ws.alias("ws")).select("a", "b", "t", sets.alias("x"))
+        both = half.select("a", "b", "x", more.alias("ws")).select("a", "b", "x", sets.alias("y"))
         shared = F.size(F.array_intersect("x", "y"))
         return both.select("a", "b", F.coalesce(shared >= ALIKE * (F.size("x") + F.size("y") - shared), F.lit(False)).alias("alike"))
 
@@ -345,7 +354,7 @@ def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", tex
         if maybe.isEmpty():
             break
         found = durable(checked(maybe))
-        pairs, take = found if pairs is None else durable(pairs.union(found)), 4 * take
+        pairs, take = found if pairs is None else durable(pairs.union(found)), 8 * take
         held = pairs.where("alike").join(rekeyed(group.withColumnRenamed("key", "a"), "a"), "a").withColumnRenamed("group", "src").join(rekeyed(group.withColumnRenamed("key", "b"), "b"), "b").withColumnRenamed("group", "dst")
         labels = connected_components(held.select("src", "dst")).select(F.col("node").alias("group"), F.col("component").alias("label"))
         tried = pairs.where(~F.col("alike")).groupBy(F.col("a").alias("key")).agg(F.collect_set("b").alias("tried"))
