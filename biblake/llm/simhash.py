@@ -226,23 +226,37 @@ def digest(documents: DataFrame) -> DataFrame:
 #: Near copies by shingles: five words, a Jaccard similarity of 0.8, found with 128-bit SimHashes that differ in at most 30 bits
 #: (about 19 +- 4 do at that similarity, 64 +- 6 for texts that share nothing), which meet with this probability, taken over that spread.
 ALIKE_WORDS, ALIKE, WIDE_LIMIT, MEET, APART = 5, 0.8, 30, 0.98, 0.15
-#: Ids or buckets that are broadcast, to take only what belongs to them into an exchange.
-FEW = 1_000_000
+#: Large buckets, and rows of documents to compare, that are broadcast.
+FEW, FEW_ROWS = 1_000_000, 250_000
+#: Documents of a thousand shingles or less (longer ones count as more) that one task compares; larger groups are cut.
+TOGETHER = 2000
 #: Documents in a bucket, if they are spread evenly: comparing them costs less than more tables of smaller buckets.
 BUCKET = 256
 
 
-def wide_simhash(hashes: np.ndarray) -> tuple[int, int]:
-    """A 128-bit SimHash of word hashes' five-word shingles, as two signed numbers."""
+def shingle_set(hashes: np.ndarray) -> np.ndarray:
+    """The hashed five-word shingles of word hashes, each once, in order; of fewer words one shingle."""
     n = len(hashes)
     if not n:
-        return 0, 0
+        return np.zeros(0, np.uint64)
     k = min(ALIKE_WORDS, n)
+    h = np.zeros(n - k + 1, np.uint64)
     with np.errstate(over="ignore"):
-        h = np.zeros(n - k + 1, np.uint64)
         for j in range(k):
             h = h * np.uint64(0x9E3779B97F4A7C15) + hashes[j : n - k + 1 + j]
-        h = mixed(h)
+    return np.unique(mixed(h))
+
+
+def wide_simhash(hashes: np.ndarray) -> tuple[int, int]:
+    """A 128-bit SimHash of word hashes' set of five-word shingles, as two signed numbers."""
+    return wide_of_set(shingle_set(hashes))
+
+
+def wide_of_set(h: np.ndarray) -> tuple[int, int]:
+    """The same of the set. Shingles that repeat count once, as they do in the similarity."""
+    if not len(h):
+        return 0, 0
+    with np.errstate(over="ignore"):
         both = np.stack([h, mixed(h + np.uint64(0xD1B54A32D192ED03))], axis=1)
     votes = np.zeros(128, np.int64)
     for s in range(0, len(h), 4096):
@@ -267,102 +281,131 @@ def bands_for(n: int, seed: int = 17) -> list[tuple[int, int]]:
     return [(i % 2, _signed(sum(1 << b for b in rng.sample(range(64), bits)))) for i in range(count)]
 
 
-def _shingles(text: Column) -> tuple[Column, Column]:
-    """(words, to be named ws; the set of hashed shingles of ws)."""
-    ws = F.filter(F.split(F.lower(text), "[\\x20\\x09-\\x0D]+"), lambda w: w != "")
-    size = F.size("ws")
-    at = F.sequence(F.lit(1), F.greatest(size - ALIKE_WORDS + 1, F.lit(1)))
-    return ws, F.array_distinct(F.transform(at, lambda i: F.xxhash64(F.array_join(F.slice("ws", i, ALIKE_WORDS), " "))))
+class Marked:
+    """Documents in order of id, with the group, the 128-bit mark and the number of shingles of each; ``part``: only those of different parts are compared."""
+
+    def __init__(self, rows: pa.Table, part: np.ndarray | None = None):
+        self.ids, self.group, self.n = (rows.column(c).to_numpy() for c in ("key", "group", "n"))
+        self.x, self.y = (rows.column(c).to_numpy().view(np.uint64) for c in ("w0", "w1"))
+        self.part = part
+
+    def near(self, s: int, e: int) -> tuple[np.ndarray, np.ndarray]:
+        """For documents s to e and all before e: (bits that differ, whether the two may be alike: within the limit, of sizes that
+        allow it, not of one group, the second one earlier)."""
+        far = np.bitwise_count(self.x[s:e, None] ^ self.x[None, :e]) + np.bitwise_count(self.y[s:e, None] ^ self.y[None, :e])
+        n, m = self.n[s:e, None], self.n[None, :e]
+        near = (far <= WIDE_LIMIT) & (self.group[None, :e] != self.group[s:e, None]) & (n >= ALIKE * m) & (m >= ALIKE * n) & (np.arange(e)[None, :] < np.arange(s, e)[:, None])
+        if self.part is not None:
+            near &= self.part[None, :e] != self.part[s:e, None]
+        return far, near
+
+    def blocks(self, rows: int = 512):
+        for s in range(1, len(self.ids), rows):
+            e = min(s + rows, len(self.ids))
+            yield s, *self.near(s, e)
+
+    def maybe(self) -> np.ndarray:
+        """For each document the first one it is joined with by steps between documents that may be alike."""
+        roots = np.arange(len(self.ids))
+        for s, _, near in self.blocks():
+            i, j = np.nonzero(near)
+            if len(i):
+                roots = merge_labels(roots, s + i, j)
+        return roots
+
+    def alike(self, texts: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
+        """For each document the first one of its group, and of what that is linked to. Every pair that may be alike is compared on
+        the whole shingle sets, unless links have joined the two already."""
+        size = len(self.ids)
+        needed = np.zeros(size, bool)
+        for s, _, near in self.blocks():
+            needed[s : s + len(near)] |= near.any(axis=1)
+            needed[: near.shape[1]] |= near.any(axis=0)
+        _, first, of = np.unique(self.group, return_index=True, return_inverse=True)
+        start = first[of]
+        roots = start.copy()
+        if not needed.any():
+            return start, roots
+        empty = np.zeros(0, np.uint64)
+        sets = [shingle_set(word_hashes((texts[i].as_py() or "").lower())) if needed[i] else empty for i in range(size)]
+        lens = np.array([len(x) for x in sets])
+        begins = np.cumsum(lens) - lens
+        words, numbers = np.unique(np.concatenate(sets), return_inverse=True)
+        del sets
+        here = np.zeros(len(words), bool)
+        for s, far, near in self.blocks():
+            for i in (s + np.flatnonzero(near.any(axis=1))).tolist():
+                others = np.flatnonzero(near[i - s])
+                others = others[np.argsort(far[i - s, others], kind="stable")]
+                mine = numbers[begins[i] : begins[i] + lens[i]]
+                here[mine] = True
+                take = 8
+                while len(others := others[roots[others] != roots[i]]):
+                    some, others = others[:take], others[take:]
+                    n = lens[some]
+                    edges = np.cumsum(n) - n
+                    shared = np.add.reduceat(here[numbers[np.repeat(begins[some] - edges, n) + np.arange(n.sum())]], edges, dtype=np.int64)
+                    for r in np.unique(roots[some[shared >= ALIKE * (lens[i] + n - shared)]]).tolist():
+                        a, b = sorted((r, int(roots[i])))
+                        roots[roots == b] = a
+                    take = min(8 * take, 2048)
+                here[mine] = False
+        return start, roots
 
 
 def alike_pairs(documents: DataFrame, marks: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(a, b): documents whose five-word shingles overlap by 0.8 or more, b before a. marks: (key, w0, w1) of the documents to compare, and
-    ``label`` if some of them are one group already.
-
-    The pairs connect all groups, they are not all pairs. A document is paired with the nearest ones before it, of all its buckets, that are
-    within the limit, not tried and not in its group yet: one in the first round, eight times as many in each further one, until no
-    document has any left. So a group of k near copies gives k - 1 pairs, in however many buckets they meet. A document that found none is no
-    longer asked, and buckets in which none is asked are left out. Pairs are checked on the texts' whole shingle sets; the texts are joined to
-    them, as they are smaller than the sets, and nothing is grouped by pair.
+    """(a, b) that connect all documents whose five-word shingles overlap by 0.8 or more, b before a. marks: (key, w0, w1) of the documents to
+    compare, ``label`` if some of them are one group already, ``n`` (their number of different shingles) if known.
+
+    A bucket does not give its pairs: it gives each document in it the first one that it reaches by steps within the limit, one row a member.
+    What all buckets join is a lot of documents that may be alike. The texts of a lot come together once, and all its pairs within the limit
+    are compared on the whole shingle sets, in the task; only what connects the groups leaves it, a row a member. A lot of more than
+    ``TOGETHER`` is cut by the buckets' values if that is less work, else into pairs of parts.
     """
     n = parallelism(documents.sparkSession)
-    marks = marks.where((F.col("w0") != 0) | (F.col("w1") != 0)).select("key", "w0", "w1", F.col("label" if "label" in marks.columns else "key").alias("group"))
+    group, size = F.col("label" if "label" in marks.columns else "key"), F.col("n") if "n" in marks.columns else F.lit(1)
+    marks = marks.where((F.col("w0") != 0) | (F.col("w1") != 0)).select("key", "w0", "w1", group.alias("group"), size.cast("bigint").alias("n"))
     bands = bands_for(marks.count())
-    out = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("far", pa.int32())])
+    values = [F.col(f"w{w}").bitwiseAND(F.lit(m)) for w, m in bands]
+    out = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+    names = ["key", "group", "n", "w0", "w1"]
     texts = documents.select(F.col(key).cast("bigint").alias("of"), F.col(text).alias("t")).where("of is not null")
     if not texts.groupBy("of").agg(F.count("*").alias("n")).where("n > 1").isEmpty():  # of rows that repeat an id one text is compared
         texts = texts.groupBy("of").agg(F.max("t").alias("t"))
 
-    def candidates(state: DataFrame, take: int, asked: int | None) -> DataFrame:
-        """state: (key, w0, w1, label, tried, ask); asked: how many are, None for all."""
-        names = ["key", "w0", "w1", "label", "tried", "ask"]
-        cells = state.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.col(f"w{w}").bitwiseAND(F.lit(m)).alias("v")) for i, (w, m) in enumerate(bands)]))).select(*names, "cell.t", "cell.v")
-        if asked is not None:  # only buckets in which a document is asked
-            mine = cells.where("ask").select("t", "v").distinct()
-            cells = cells.join(F.broadcast(mine) if asked * len(bands) <= FEW else rekeyed(mine, "t", "v"), ["t", "v"], "left_semi")
-        parts = split_only_hot(cells, ["t", "v"], F.xxhash64("key"), PART, FEW)
-        dealt = parts.repartition(n, "t", "v", "part_a", "part_b").sortWithinPartitions("t", "v", "part_a", "part_b", "key").select("t", "v", "part_a", "part_b", *names)
-
-        def nearest(batches):
-            for g in grouped(batches, ["t", "v", "part_a", "part_b"]):
-                if g.num_rows < 2:
-                    continue
-                ids, label, ask = (g.column(c).to_numpy() for c in ("key", "label", "ask"))
-                x, y = (g.column(c).to_numpy().view(np.uint64) for c in ("w0", "w1"))
-                tried = g.column("tried").to_pylist()
-                later, earlier, apart = [], [], []
-                for s in range(1, len(ids), 512):
-                    e = min(s + 512, len(ids))
-                    far = np.bitwise_count(x[s:e, None] ^ x[None, :e]).astype(np.int16) + np.bitwise_count(y[s:e, None] ^ y[None, :e])
-                    far[(np.arange(e)[None, :] >= np.arange(s, e)[:, None]) | (label[None, :e] == label[s:e, None]) | ~ask[s:e, None]] = 999
-                    for i in np.flatnonzero(far.min(axis=1) <= WIDE_LIMIT).tolist():
-                        near = np.flatnonzero(far[i] <= WIDE_LIMIT)
-                        if tried[s + i]:
-                            near = near[~np.isin(ids[near], tried[s + i])]
-                        near = near[np.argsort(far[i, near], kind="stable")][:take]
-                        later.append(np.full(len(near), s + i))
-                        earlier.append(near)
-                        apart.append(far[i, near])
-                if later:
-                    i, j = np.concatenate(later), np.concatenate(earlier)
-                    yield batch(out, [ids[i], ids[j], np.concatenate(apart).astype(np.int32)])
-
-        met = over_batches(dealt, nearest, "a bigint, b bigint, far int").where("a != b")
-        pair = F.struct("far", "b")
-        if take == 1:
-            return met.groupBy("a").agg(F.min(pair).alias("x")).select("a", "x.b")
-        return met.groupBy("a").agg(F.slice(F.array_sort(F.collect_set(pair)), 1, take).alias("x")).select("a", F.explode("x.b").alias("b"))
-
-    def checked(found: DataFrame) -> DataFrame:
-        """(a, b, alike)"""
-        wanted = durable(found.select(F.explode(F.array("a", "b")).alias("of")).distinct())
-        some = texts.join(F.broadcast(wanted), "of", "left_semi") if wanted.count() <= FEW else texts
-        one = found.join(rekeyed(some, "of"), F.col("a") == F.col("of")).select("a", "b", F.col("t").alias("x"))
-        two = rekeyed(one, "b").join(rekeyed(some, "of"), F.col("b") == F.col("of")).select("a", "b", "x", "t")
-        (ws, sets), (more, _) = _shingles(F.col("x")), _shingles(F.col("t"))
-        half = two.select("a", "b", "t", ws.alias("ws")).select("a", "b", "t", sets.alias("x"))
-        both = half.select("a", "b", "x", more.alias("ws")).select("a", "b", "x", sets.alias("y"))
-        shared = F.size(F.array_intersect("x", "y"))
-        return both.select("a", "b", F.coalesce(shared >= ALIKE * (F.size("x") + F.size("y") - shared), F.lit(False)).alias("alike"))
-
-    none = F.array().cast("array<bigint>")
-    pairs, take, asked = None, 1, None
-    group = marks.select("key", "group")
-    state = marks.select("key", "w0", "w1", F.col("group").alias("label"), none.alias("tried"), F.lit(True).alias("ask"))
-    while True:
-        maybe = durable(candidates(state, take, asked))
-        if maybe.isEmpty():
-            break
-        found = durable(checked(maybe))
-        pairs, take = found if pairs is None else durable(pairs.union(found)), 8 * take
-        held = pairs.where("alike").join(rekeyed(group.withColumnRenamed("key", "a"), "a"), "a").withColumnRenamed("group", "src").join(rekeyed(group.withColumnRenamed("key", "b"), "b"), "b").withColumnRenamed("group", "dst")
-        labels = connected_components(held.select("src", "dst")).select(F.col("node").alias("group"), F.col("component").alias("label"))
-        tried = pairs.where(~F.col("alike")).groupBy(F.col("a").alias("key")).agg(F.collect_set("b").alias("tried"))
-        ask = found.select(F.col("a").alias("key")).distinct().withColumn("ask", F.lit(True))
-        state = marks.join(rekeyed(labels, "group"), "group", "left").join(rekeyed(tried, "key"), "key", "left").join(rekeyed(ask, "key"), "key", "left")
-        state = durable(state.select("key", "w0", "w1", F.coalesce("label", "group").alias("label"), F.coalesce("tried", none).alias("tried"), F.coalesce("ask", F.lit(False)).alias("ask")))
-        asked = state.where("ask").count()
-    return (maybe.withColumn("alike", F.lit(False)) if pairs is None else pairs).where("alike").select("a", "b")
+    cells = marks.withColumn("cell", F.explode(F.array(*[F.struct(F.lit(i).alias("t"), v.alias("v")) for i, v in enumerate(values)]))).select(*names, "cell.t", "cell.v")
+    where = ["t", "v", "part_a", "part_b"]
+    dealt = split_only_hot(cells, ["t", "v"], F.xxhash64("key"), PART, FEW).repartition(n, *where).sortWithinPartitions(*where, "key").select(*where, *names)
+
+    def met(batches):
+        for g in grouped(batches, where):
+            if g.num_rows > 1:
+                lot = Marked(g)
+                roots = lot.maybe()
+                kids = np.flatnonzero(roots != np.arange(len(roots)))
+                if len(kids):
+                    yield batch(out, [lot.ids[kids], lot.ids[roots[kids]]])
+
+    lots = connected_components(over_batches(dealt, met, "a bigint, b bigint").where("a != b").select(F.col("a").alias("src"), F.col("b").alias("dst")))
+    members = marks.join(rekeyed(lots.select(F.col("node").alias("key"), F.col("component").alias("lot")), "key"), "key")
+    cut = split_hot(members, ["lot"], F.xxhash64("key"), TOGETHER, F.min("group") < F.max("group"), F.array(*values), F.lit(1.0) + F.col("n") / 1000)
+    fine = [F.coalesce("fine.i", F.lit(-1)).alias("i"), F.coalesce("fine.v", F.lit(0)).alias("v")]
+    where_lots = ["lot", "i", "v", "part_a", "part_b"]
+    sent = durable(cut.select("lot", *fine, "part_a", "part_b", "own_part", *names))
+    some = texts.join(F.broadcast(sent) if sent.count() <= FEW_ROWS else rekeyed(sent, "key"), F.col("of") == F.col("key"))
+    together = some.repartition(n, *where_lots).sortWithinPartitions(*where_lots, "key").select(*where_lots, "own_part", *names, "t")
+
+    def linked(batches):
+        for g in grouped(batches, where_lots):
+            if g.num_rows > 1:
+                apart = g.column("part_a")[0] != g.column("part_b")[0]
+                lot = Marked(g, g.column("own_part").to_numpy() if apart else None)
+                start, roots = lot.alike(g.column("t"))
+                kids = np.flatnonzero((start == np.arange(len(start))) & (roots != start))
+                if len(kids):
+                    yield batch(out, [lot.ids[kids], lot.ids[roots[kids]]])
+
+    return over_batches(together, linked, "a bigint, b bigint").where("a != b")
 
 
 def one_of_each(documents: DataFrame) -> DataFrame:
@@ -372,21 +415,24 @@ def one_of_each(documents: DataFrame) -> DataFrame:
     document that is like any fingerprint of a group joins it. Of rows that repeat an id, those of the kept fingerprint stay. Rows with
     a null id stay.
     """
-    out = pa.schema([("key", pa.int64()), ("fp", pa.int64()), ("w0", pa.int64()), ("w1", pa.int64())])
+    out = pa.schema([("key", pa.int64()), ("fp", pa.int64()), ("w0", pa.int64()), ("w1", pa.int64()), ("n", pa.int64())])
+
+    def mark(text):
+        h = shingle_set(word_hashes((text or "").lower()))
+        return *wide_of_set(h), len(h)
 
     def work(batches):
         for b in slices(batches):
             texts = b.column(1).to_pylist()
-            wide = [wide_simhash(word_hashes(t)) for t in texts]
-            yield batch(out, [b.column(0), np.array([simhash(t) for t in texts], np.uint64).view(np.int64), [w[0] for w in wide], [w[1] for w in wide]])
+            yield batch(out, [b.column(0), np.array([simhash(t) for t in texts], np.uint64).view(np.int64), *zip(*map(mark, texts))])
 
     rows = documents.select(F.col("doc_id").cast("bigint"), "text")
-    marks = durable(over_batches(rows, work, "key bigint, fp bigint, w0 bigint, w1 bigint"))
+    marks = durable(over_batches(rows, work, "key bigint, fp bigint, w0 bigint, w1 bigint, n bigint"))
     found = durable(_components(marks.select("key", "fp")))
     firsts = found.where("key = component_id").select("key").distinct()
-    one = marks.where("key is not null").groupBy("fp").agg(F.min(F.struct("key", "w0", "w1")).alias("m")).select("fp", "m.key", "m.w0", "m.w1")
+    one = marks.where("key is not null").groupBy("fp").agg(F.min(F.struct("key", "w0", "w1", "n")).alias("m")).select("fp", "m.key", "m.w0", "m.w1", "m.n")
     named = found.where("key is not null").groupBy("fp").agg(F.min("component_id").alias("label"))
-    some = one.join(rekeyed(named, "fp"), "fp").groupBy("key").agg(F.min(F.struct("label", "w0", "w1")).alias("m")).select("key", "m.label", "m.w0", "m.w1")
+    some = one.join(rekeyed(named, "fp"), "fp").groupBy("key").agg(F.min(F.struct("label", "w0", "w1", "n")).alias("m")).select("key", "m.label", "m.w0", "m.w1", "m.n")
     some = durable(some)
     pairs = alike_pairs(documents, some)
     of = lambda c: some.select(F.col("key").alias(c), F.col("label").alias(f"{c}_group"))
